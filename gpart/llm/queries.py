@@ -6,15 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import packing, token_counts
+from gpart.llm import decontamination, packing, token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_decontamination": decontamination.op1_decontamination,
         "op6_token_counts": token_counts.op6_token_counts,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Where SQL can express a query; the others are tested against brute force, exact round trips or held-out accuracy."""
+    return {"op1_decontamination": decontamination.OP1_SQL}
