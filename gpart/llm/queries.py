@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import decontamination, packing, token_counts
+from gpart.llm import chat_format, decontamination, packing, token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,9 +14,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_decontamination": decontamination.op1_decontamination,
         "op6_token_counts": token_counts.op6_token_counts,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
+        "op10_chat_formatting": chat_format.op10_chat_formatting,
     }
 
 
 def oracle_sql() -> dict[str, str]:
     """Where SQL can express a query; the others are tested against brute force, exact round trips or held-out accuracy."""
-    return {"op1_decontamination": decontamination.OP1_SQL}
+    return {"op1_decontamination": decontamination.OP1_SQL, "op10_chat_formatting": chat_format.OP10_SQL}
