@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import chat_format, decontamination, packing, sharding, token_counts
+from gpart.llm import chat_format, decontamination, language_id, packing, sharding, token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_decontamination": decontamination.op1_decontamination,
+        "op2_language_id": language_id.op2_language_id,
         "op4_sharding": sharding.op4_sharding,
         "op6_token_counts": token_counts.op6_token_counts,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
