@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import chat_format, decontamination, language_id, packing, sharding, token_counts
+from gpart.llm import chat_format, decontamination, language_id, packing, sharding, token_counts, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_language_id": language_id.op2_language_id,
         "op4_sharding": sharding.op4_sharding,
         "op6_token_counts": token_counts.op6_token_counts,
+        "op7_toxicity": toxicity.op7_toxicity,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
         "op10_chat_formatting": chat_format.op10_chat_formatting,
     }
