@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import chat_format, decontamination, html_extraction, language_id, packing, sharding, token_counts, toxicity
+from gpart.llm import chat_format, decontamination, html_extraction, language_id, ngram_join, packing, sharding, token_counts, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_decontamination": decontamination.op1_decontamination,
         "op2_language_id": language_id.op2_language_id,
+        "op3_ngram_jaccard_join": ngram_join.op3_ngram_jaccard_join,
         "op4_sharding": sharding.op4_sharding,
         "op5_html_extraction": html_extraction.op5_html_extraction,
         "op6_token_counts": token_counts.op6_token_counts,
