@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gpart.llm import chat_format, decontamination, html_extraction, language_id, ngram_join, packing, sharding, token_counts, toxicity
+from gpart.llm import chat_format, decontamination, embedding_dedup, html_extraction, language_id, ngram_join, packing, sharding, token_counts, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_html_extraction": html_extraction.op5_html_extraction,
         "op6_token_counts": token_counts.op6_token_counts,
         "op7_toxicity": toxicity.op7_toxicity,
+        "op8_embedding_near_dedup": embedding_dedup.op8_embedding_near_dedup,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
         "op10_chat_formatting": chat_format.op10_chat_formatting,
     }
@@ -25,4 +26,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     """Where SQL can express a query; the others are tested against brute force, exact round trips or held-out accuracy."""
-    return {"op1_decontamination": decontamination.OP1_SQL, "op10_chat_formatting": chat_format.OP10_SQL}
+    return {"op1_decontamination": decontamination.OP1_SQL, "op8_embedding_near_dedup": embedding_dedup.OP8_SQL, "op10_chat_formatting": chat_format.OP10_SQL}
