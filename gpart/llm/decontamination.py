@@ -171,18 +171,20 @@ def blocks(items: DataFrame, window: int, block_words: int, id_col: str, text_co
 
 def decontaminate(
     docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text",
-    window: int = 10, min_span: int = 1, max_coverage: float = 0.5, block_words: int = 400_000, texts: bool = True,
+    window: int = 10, min_span: int = 1, max_coverage: float = 0.5, block_words: int = 400_000, texts: bool = True, carry: tuple[str, ...] = (),
 ) -> DataFrame:
     """The columns of FOUND for every text and, with texts=True, clean_text: the text without hit spans of at least min_span words;
-    null where more than max_coverage of its words is hit (and where the text is null)."""
+    null where more than max_coverage of its words is hit (and where the text is null). Columns named in carry come along."""
     spark = docs.sparkSession
-    source = of(docs, doc_id=id_col, text=text_col)
+    source = of(docs, doc_id=id_col, text=text_col, **{f"_{c}": c for c in carry})
     automata = [spark.sparkContext.broadcast(a) for a in blocks(items, window, block_words, item_id_col, item_text_col)]
-    schema = FOUND + (", clean_text string" if texts else "")
+    own = FOUND + (", clean_text string" if texts else "")
+    schema = own + "".join(f", _{c} {docs.schema[c].dataType.simpleString()}" for c in carry)
 
-    def digest(doc: list, text: list, found) -> dict[str, list]:
-        out: dict[str, list] = {name.split()[0]: [] for name in schema.split(", ")}
-        for data, i in zip(text, range(len(doc)), strict=True):
+    def digest(batch: pa.RecordBatch, found) -> dict[str, list]:
+        doc, text = batch.column("doc_id").to_pylist(), utf8(batch, "text")
+        out: dict[str, list] = {name.split()[0]: [] for name in own.split(", ")}
+        for i, data in enumerate(text):
             words = words_of(data)
             spans, names = found(i, words)
             n_hit = sum(b - a for a, b in spans)
@@ -194,11 +196,14 @@ def decontaminate(
                 values["clean_text"] = None if data is None or n_hit > max_coverage * len(words) else without(data, spans, min_span) if spans else data.decode("utf-8", "replace")
             for name, value in values.items():
                 out[name].append(value)
-        return out
+        return out | {f"_{c}": batch.column(f"_{c}") for c in carry}
+
+    def named(found: DataFrame) -> DataFrame:
+        return found.select(*[x.split()[0] for x in own.split(", ")], *[F.col(f"_{c}").alias(c) for c in carry])
 
     if len(automata) == 1:
         only = automata[0]
-        return scan(source, lambda batch: digest(batch.column("doc_id").to_pylist(), utf8(batch, "text"), lambda i, words: only.value.find(words)), schema)
+        return named(scan(source, lambda batch: digest(batch, lambda i, words: only.value.find(words)), schema))
 
     def spans_in(automaton):
         def rows(batch: pa.RecordBatch) -> dict[str, list]:
@@ -208,14 +213,14 @@ def decontaminate(
         return rows
 
     keyed = source.withColumn("key", F.sha2(F.coalesce("text", F.lit("")), 256))
-    each = [scan(keyed, spans_in(a), "key string, spans array<int>, items array<string>").where(F.size("items") > 0).dropDuplicates(["key"]) for a in automata]
+    each = [scan(keyed.select("key", "text"), spans_in(a), "key string, spans array<int>, items array<string>").where(F.size("items") > 0).dropDuplicates(["key"]) for a in automata]
     found = reduce(DataFrame.unionByName, each).groupBy("key").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.flatten(F.collect_list("items")).alias("items"))
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         spans, names = batch.column("spans").to_pylist(), batch.column("items").to_pylist()
-        return digest(batch.column("doc_id").to_pylist(), utf8(batch, "text"), lambda i, _: (merged(list(zip(s[::2], s[1::2], strict=True))) if (s := spans[i]) else [], set(names[i] or ())))
+        return digest(batch, lambda i, _: (merged(list(zip(s[::2], s[1::2], strict=True))) if (s := spans[i]) else [], set(names[i] or ())))
 
-    return scan(keyed.join(found, "key", "left").drop("key"), rows, schema)
+    return named(scan(keyed.join(found, "key", "left").drop("key"), rows, schema))
 
 
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
