@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,3 +27,23 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         if moved.where("before <> component").isEmpty():
             return labels
     raise RuntimeError(f"labels still move after {most_rounds} rounds")
+
+
+def forest(links: np.ndarray, rows: np.ndarray, columns: np.ndarray) -> list[tuple[int, int]]:
+    """A spanning forest of the links between the nodes `rows` and `columns` (which may be the same)."""
+    root: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        root.setdefault(x, x)
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    out = []
+    for r, c in zip(*np.nonzero(links), strict=True):
+        a, b = find(int(rows[r])), find(int(columns[c]))
+        if a != b:
+            root[max(a, b)] = min(a, b)
+            out.append((int(rows[r]), int(columns[c])))
+    return out

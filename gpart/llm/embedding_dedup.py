@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gpart.llm.common import cut, of, table
-from gpart.llm.components import components
+from gpart.llm.components import components, forest
 
 
 class SmallWorld:
@@ -165,26 +165,6 @@ def search(graph: SmallWorld, queries: np.ndarray, limit: float, audits: int, re
     return links
 
 
-def forest(links: np.ndarray, rows: np.ndarray, columns: np.ndarray) -> list[tuple[int, int]]:
-    """A spanning forest of the links between the nodes `rows` and `columns` (which may be the same)."""
-    root: dict[int, int] = {}
-
-    def find(x: int) -> int:
-        root.setdefault(x, x)
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
-        return x
-
-    out = []
-    for r, c in zip(*np.nonzero(links), strict=True):
-        a, b = find(int(rows[r])), find(int(columns[c]))
-        if a != b:
-            root[max(a, b)] = min(a, b)
-            out.append((int(rows[r]), int(columns[c])))
-    return out
-
-
 SHARD = "label int, dim int, shard int, graph binary"
 HITS = "node long, n long, other long"
 

@@ -5,13 +5,15 @@
 2. N-grams are ordered by sketch count, rare ones first (any order is correct; this one keeps blocks small). Two sets that
    overlap enough share an n-gram among the first n - ceil(least * n) + 1 of each. These make the incidence matrix; an n-gram's
    column is a block.
-3. In each block every node meets the block's smallest node; such pairs within the size bound are verified exactly, and the
-   links give components. So a block of copies costs as many pairs as it has nodes.
-4. Blocks that still hold several components are multiplied out between different components only: overlap counts are
-   accumulated, pairs whose count and places bound the overlap below the limit are discarded, and the rest is verified.
-
-Every two nodes that share a block are thus verified, bounded away, or known to be connected: no link between components is
-lost. Null texts and texts without words have no n-grams and are linked with nothing; texts of fewer than n words have one.
+3. In each block every node meets the block's smallest node; such pairs within the size bound are verified exactly. Links
+   give components; overlaps of half the union give families. So a block costs as many pairs as it has nodes.
+4. Families of several components are multiplied out: nodes in blocks, one product of incidence matrices for each pair of
+   blocks, from which a task returns a spanning forest of the links between components.
+5. Between families, overlap counts are accumulated over the n-grams that several families share, pairs whose count and places
+   bound the overlap below the limit are discarded, and the rest is verified.
+
+Every two nodes that share a block are thus counted exactly, bounded away, or known to be connected: no link between components
+is lost. Null texts and texts without words have no n-grams and are linked with nothing; texts of fewer than n words have one.
 Repeated rows (even with one id) share a node. Extra columns are ignored.
 """
 
@@ -26,8 +28,8 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gpart.llm.common import Memo, cut, of, pieces, scan, table, utf8
-from gpart.llm.components import components
+from gpart.llm.common import Memo, cut, of, pieces, table, utf8
+from gpart.llm.components import components, forest
 
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 SKETCH_BITS, CHUNK_BITS = 22, 16
@@ -38,8 +40,8 @@ _WORDS: list[Memo] = []
 
 def word_hashes() -> Memo:
     if not _WORDS:
-        _WORDS.append(Memo(xxhash.xxh3_64_intdigest, 600_000))
-    return _WORDS[0]
+        _WORDS.append(Memo(xxhash.xxh3_64_intdigest))
+    return _WORDS[0].use()
 
 
 def shingles(text: bytes | None, n: int) -> np.ndarray:
@@ -119,12 +121,6 @@ def least_overlap(size: int, percent: int) -> int:
     return -(-size * percent // 100)
 
 
-def similar(percent: int):
-    """Column: sets sa and sb of sizes na and nb are similar enough."""
-    both = F.size(F.array_intersect("sa", "sb"))
-    return 100 * both >= percent * (F.size("sa") + F.size("sb") - both)
-
-
 class Join:
     def __init__(self, docs: DataFrame, n: int, percent: int, most_broadcast: int):
         self.docs, self.n, self.percent, self.most_broadcast = docs, n, percent, most_broadcast
@@ -162,39 +158,106 @@ class Join:
     def within_size(self, a: str, b: str):
         return (100 * F.col(a) >= self.percent * F.col(b)) & (100 * F.col(b) >= self.percent * F.col(a))
 
-    def links(self, pairs: DataFrame) -> DataFrame:
-        """The pairs (a, b) of nodes whose sets are similar enough, by their whole sets."""
-        pairs = cut(pairs)
-        wanted = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct().join(self.nodes, "node").select(F.col("first_id").alias("doc_id"))
-        wanted = cut(wanted.distinct())
-        few = wanted.limit(self.most_broadcast + 1).count() <= self.most_broadcast
-        texts = self.docs.join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi").select("text")
+    def gathered(self, wanted: DataFrame, key: str) -> DataFrame:
+        """wanted: (node, keys), keys an array of structs of type `key`. One row (key, node, grams) for each node and key: sets are
+        made from the texts where these are read and move once, to where they are needed."""
+        ids = cut(wanted.join(self.nodes, "node").select(F.col("first_id").alias("doc_id"), "keys"))
+        few = ids.limit(self.most_broadcast + 1).count() <= self.most_broadcast
+        texts = self.docs.join(F.broadcast(ids) if few else ids, "doc_id").select("text", "keys")
         n = self.n
 
-        def rows(batch: pa.RecordBatch) -> dict[str, list]:
-            own = [s for s in (shingles(t, n) for t in utf8(batch, "text")) if len(s)]
-            return {"node": [node_of(s) for s in own], "grams": [s.view(np.int64) for s in own]}
-
-        sets = cut(scan(texts, rows, "node long, grams array<long>").dropDuplicates(["node"]))  # an id may come twice
-        of_b = pairs.join(sets.select(F.col("node").alias("b"), F.col("grams").alias("sb")), "b")
-        return cut(of_b.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("sa")), "a").where(similar(self.percent)).select("a", "b").distinct())
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for whole in batches:
+                for batch in pieces(whole, 256):
+                    sets = [shingles(t, n) for t in utf8(batch, "text")]
+                    kept = [i for i, own in enumerate(sets) if len(own)]
+                    keys = batch.column("keys").take(pa.array(kept, pa.int64()))
+                    yield pa.RecordBatch.from_arrays([keys, pa.array([node_of(sets[i]) for i in kept], pa.int64()), pa.array([sets[i].view(np.int64) for i in kept], pa.list_(pa.int64()))], names=["keys", "node", "grams"])
+
+        return texts.mapInArrow(run, f"keys array<{key}>, node long, grams array<long>").select(F.explode("keys").alias("key"), "node", "grams").select("key.*", "node", "grams")
+
+    def verified(self, pairs: DataFrame, per_task: int = 500) -> DataFrame:
+        """(a, b, linked, near) of the pairs (a, b), by their whole sets; near: an overlap of half the union. The partners of one node
+        a are dealt over several tasks, each with a's set."""
+        many = pairs.groupBy("a").agg(F.ceil(F.count("*") / per_task).cast("int").alias("salts"))
+        dealt = pairs.join(many, "a").withColumn("salt", F.pmod(F.xxhash64("b"), F.col("salts")).cast("int"))
+        rows = dealt.select(F.col("b").alias("node"), F.struct("a", "salt").alias("key")).unionAll(dealt.select("a", "salt").distinct().select(F.col("a").alias("node"), F.struct("a", "salt").alias("key")))
+        wanted = rows.groupBy("node").agg(F.collect_list("key").alias("keys"))  # a node has as many as leading n-grams, or as its partners' tasks
+        percent = self.percent
+
+        def compared(key: tuple, rows: pa.Table) -> pa.Table:
+            own = rows.column("node").to_numpy()
+            sets = [np.asarray(x.values) for x in rows.column("grams").combine_chunks()] if rows.num_rows else []
+            a = key[0].as_py()
+            out: dict[str, list] = {"a": [], "b": [], "linked": [], "near": []}
+            at = np.flatnonzero(own == a)
+            if len(at):
+                pivot = np.sort(sets[at[0]])
+                for node, other in zip(own.tolist(), sets, strict=True):
+                    if node != a:
+                        place = np.searchsorted(pivot, other)
+                        both = int((pivot[np.minimum(place, len(pivot) - 1)] == other).sum())
+                        union = len(pivot) + len(other) - both
+                        for name, value in (("a", a), ("b", node), ("linked", 100 * both >= percent * union), ("near", 2 * both >= union)):
+                            out[name].append(value)
+            return pa.table([pa.array(out["a"], pa.int64()), pa.array(out["b"], pa.int64()), pa.array(out["linked"], pa.bool_()), pa.array(out["near"], pa.bool_())], names=list(out))
+
+        return cut(self.gathered(wanted, "struct<a:bigint,salt:int>").groupBy("a", "salt").applyInArrow(compared, "a long, b long, linked boolean, near boolean"))
+
+    def multiplied(self, families: DataFrame, block: int = 1024) -> DataFrame:
+        """Links (a, b) within families (node, family, component), all pairs counted: each pair of blocks of a family is one product of
+        incidence matrices, of which a task returns a spanning forest of the links between different components."""
+        sizes = families.groupBy("family").agg(F.ceil(F.count("*") / block).cast("int").alias("blocks"))
+        dealt = families.join(sizes, "family").withColumn("i", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+        key = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.col("family"), F.least("i", j).alias("i"), F.greatest("i", j).alias("j"), F.col("i").alias("own"), F.col("component")))
+        wanted = dealt.select("node", key.alias("keys"))
+        percent = self.percent
+
+        def product(rows: pa.Table) -> pa.Table:
+            node, component, own = (rows.column(c).to_numpy() for c in ("node", "component", "own"))
+            i, j = (rows.column(c)[0].as_py() for c in ("i", "j"))
+            sets = [np.asarray(x.values) for x in rows.column("grams").combine_chunks()]
+            left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
+            sizes = np.array([len(x) for x in sets])
+            grams, where, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+            row = np.repeat(np.arange(len(sets)), sizes)
+            shared = counts[where] > 1  # what one set has alone overlaps with nothing
+            row, column = row[shared], (np.cumsum(counts > 1) - 1)[where[shared]]
+            overlap = np.zeros((len(left), len(right)), dtype=np.float32)
+            width = 4096
+            for start in range(0, int((counts > 1).sum()), width):
+                part = (column >= start) & (column < start + width)
+                incidence = np.zeros((len(sets), width), dtype=np.float32)
+                incidence[row[part], column[part] - start] = 1
+                overlap += incidence[left] @ incidence[right].T
+            both = overlap.astype(np.int64)
+            linked = (100 * both >= percent * (sizes[left][:, None] + sizes[right][None, :] - both)) & (component[left][:, None] != component[right][None, :])
+            edges = forest(linked, node[left], node[right])
+            return pa.table({"a": pa.array([x for x, _ in edges], pa.int64()), "b": pa.array([y for _, y in edges], pa.int64())})
+
+        return cut(self.gathered(wanted, "struct<family:bigint,i:int,j:int,own:int,component:bigint>").groupBy("family", "i", "j").applyInArrow(product, "a long, b long"))
 
     def components(self) -> DataFrame:
         blocks = cut(self.incidence())
-        met = blocks.where((F.col("node") != F.col("pivot.node")) & self.within_size("n", "pivot.n")).select(F.col("pivot.node").alias("a"), F.col("node").alias("b")).distinct()
-        met = cut(met)
-        linked = self.links(met)
+        met = cut(blocks.where((F.col("node") != F.col("pivot.node")) & self.within_size("n", "pivot.n")).select(F.col("pivot.node").alias("a"), F.col("node").alias("b")).distinct())
+        tried = self.verified(met)
+        linked = tried.where("linked").select("a", "b")
         known = components(linked)
-        at = cut(blocks.select("gram", "node", "n", "pos").join(known, "node", "left").withColumn("component", F.coalesce("component", "node")))
-        several = at.groupBy("gram").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("gram")
+        # families: what half-overlapping pairs connect; their inner pairs are multiplied out, so that only pairs between families remain
+        family = cut(components(tried.where("near").select("a", "b")).withColumnRenamed("component", "family").join(known, "node", "left").withColumn("component", F.coalesce("component", "node")))
+        unsettled = family.groupBy("family").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("family")
+        inner = self.multiplied(family.join(unsettled, "family", "left_semi"))
+        at = cut(blocks.select("gram", "node", "n", "pos").join(family, "node", "left").withColumn("family", F.coalesce("family", "node")))
+        several = at.groupBy("gram").agg(F.min("family").alias("low"), F.max("family").alias("high")).where("low <> high").select("gram")
         still = cut(at.join(several, "gram", "left_semi"))
-        left, right = (still.select("gram", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "pos", "component")]) for s in "ab")
-        product = left.join(right, "gram").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.within_size("n_a", "n_b"))
+        left, right = (still.select("gram", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "pos", "family")]) for s in "ab")
+        product = left.join(right, "gram").where((F.col("node_a") < F.col("node_b")) & (F.col("family_a") != F.col("family_b")) & self.within_size("n_a", "n_b"))
         overlaps = product.groupBy(F.col("node_a").alias("a"), F.col("node_b").alias("b"), "n_a", "n_b").agg(F.count("*").alias("shared"), F.max("pos_a").alias("pos_a"), F.max("pos_b").alias("pos_b"))
         most = F.col("shared") + F.least(F.col("n_a") - F.col("pos_a"), F.col("n_b") - F.col("pos_b")) - 1  # all common n-grams up to the last shared one are counted
         able = overlaps.where(100 * most >= self.percent * (F.col("n_a") + F.col("n_b") - most)).select("a", "b")
         known_pairs = met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-        more = self.links(able.join(known_pairs, ["a", "b"], "left_anti"))
+        outer = self.verified(cut(able.join(known_pairs, ["a", "b"], "left_anti"))).where("linked").select("a", "b")
+        more = inner.unionAll(outer)
         return known if more.isEmpty() else components(linked.unionAll(more))
 
 
