@@ -58,9 +58,14 @@ def utf8(batch: pa.RecordBatch, name: str) -> list[bytes | None]:
 
 
 class Memo(dict):
-    """A dict that computes what it lacks and starts afresh when it holds `most` entries; long keys are not kept."""
+    """A dict that computes what it lacks and starts afresh when it holds `most` entries; long keys are not kept.
 
-    def __init__(self, make: Callable, most: int = 600_000, longest: int = 64):
+    A Python worker serves many stages one after another: the memo in use is the only one that holds anything.
+    """
+
+    active: Memo | None = None
+
+    def __init__(self, make: Callable, most: int = 300_000, longest: int = 64):
         super().__init__()
         self.make, self.most, self.longest = make, most, longest
 
@@ -71,3 +76,13 @@ class Memo(dict):
                 self.clear()
             self[key] = value
         return value
+
+    def use(self) -> Memo:
+        if Memo.active is not self:
+            if Memo.active is not None:
+                Memo.active.clear()
+            Memo.active = self
+        return self
+
+    def __reduce__(self):
+        return Memo, (self.make, self.most, self.longest)

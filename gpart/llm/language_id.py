@@ -103,7 +103,7 @@ def train(labelled: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
 def predict(docs: DataFrame, model: LanguageModel | None, *, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, lang_pred, score of every row, and the columns named in carry."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    own = of(docs, doc_id=id_col, text=text_col, **{f"_{c}": c for c in carry})
+    own = of(docs, doc_id=id_col, text=text_col, **{f"_{c}": c for c in carry if c != text_col})
     types = "".join(f", _{c} {docs.schema[c].dataType.simpleString()}" for c in carry)
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
@@ -115,7 +115,7 @@ def predict(docs: DataFrame, model: LanguageModel | None, *, id_col: str = "doc_
             out = model.scores([texts[i] for i in part])
             for i, best, value in zip(part, out.argmax(1), out.max(1), strict=True):
                 said[i], score[i] = model.languages[best], float(min(1.0, max(0.0, (value + 1) / 2)))
-        return {"doc_id": batch.column("doc_id"), "lang_pred": said, "score": score} | {f"_{c}": batch.column(f"_{c}") for c in carry}
+        return {"doc_id": batch.column("doc_id"), "lang_pred": said, "score": score} | {f"_{c}": batch.column("text" if c == text_col else f"_{c}") for c in carry}
 
     found = scan(own, rows, PREDICTED + types)
     return found.select("doc_id", "lang_pred", "score", *[F.col(f"_{c}").alias(c) for c in carry])

@@ -35,7 +35,7 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
-        self.of_word = Memo(self.encode, 1_000_000)
+        self.of_word = Memo(self.encode, 500_000)
 
     def encode(self, text: str) -> bytes:
         return np.array(self.encoder.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
@@ -43,7 +43,7 @@ class WordEncoder:
     def ids(self, text: str) -> bytes:
         if any(c in text for c in self.ODD):
             return self.encode(text)
-        return b"".join(map(self.of_word.__getitem__, text.split()))
+        return b"".join(map(self.of_word.use().__getitem__, text.split()))
 
 
 _ENCODERS: dict[str, WordEncoder] = {}

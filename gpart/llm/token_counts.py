@@ -31,7 +31,7 @@ def byte_letters() -> dict[str, int]:
 class MergeCounter:
     """Counts tokens as the byte-level BPE of a tokenizers file does, by merges alone."""
 
-    def __init__(self, path: str, memo: int = 600_000):
+    def __init__(self, path: str, memo: int = 500_000):
         import regex
 
         with open(path, encoding="utf-8") as f:
@@ -83,7 +83,7 @@ class MergeCounter:
         return n - merged
 
     def count(self, text: str) -> int:
-        of_word, words = self.of_word, self.words
+        of_word, words = self.of_word.use(), self.words
         if self.special is None or not self.special.search(text):
             return sum(map(of_word.__getitem__, words(text)))
         parts = self.special.split(text)

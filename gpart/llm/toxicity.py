@@ -56,6 +56,9 @@ def edit_automaton(word: str, most: int):
     return closed({(0, 0)}), step, lambda state: any(at == len(word) for at, _ in state)
 
 
+MISS = (0.0, 0)
+
+
 class Lexicon:
     """Words and beginnings with weights; looks words up exactly, by beginning, and within one edit."""
 
@@ -75,7 +78,7 @@ class Lexicon:
             self.tails.add(term[len(term) // 2 :])
         self.head_sizes, self.tail_sizes = sorted({len(x) for x in self.heads}), sorted({len(x) for x in self.tails})
         self.sizes = {len(t) + d for t in self.exact if len(t) >= fuzzy_from for d in (-1, 0, 1)}
-        self.of_word = Memo(self.look_up, 600_000)
+        self.of_word = Memo(self.look_up)
 
     def look_up(self, word: str) -> tuple[float, int]:
         """(weight, edits); the weight is 0 where nothing matches."""
@@ -87,7 +90,7 @@ class Lexicon:
         if len(word) in self.sizes and (any(word[:k] in self.heads for k in self.head_sizes) or any(word[-k:] in self.tails for k in self.tail_sizes)):
             if term := self.near(word, 1):
                 return self.exact[term], 1
-        return 0.0, 0
+        return MISS
 
     def near(self, word: str, edits: int) -> str | None:
         start, step, accepts = edit_automaton(word, edits)
@@ -129,7 +132,7 @@ class ToxicityModel:
 
     def hits(self, text: str | None) -> tuple[list[str], list[tuple[int, float, int]]]:
         words = WORDS.findall(text.lower()) if text else []
-        found = self.lexicon().of_word
+        found = self.lexicon().of_word.use()
         return words, [(i, *hit) for i, hit in enumerate(map(found.__getitem__, words)) if hit[0]]
 
     def features(self, text: str | None) -> list[float]:
@@ -258,13 +261,13 @@ def hash_of(word: str) -> int:
 def score(docs: DataFrame, model: ToxicityModel | None, *, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.3, carry: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, score, predicted of every row, and the columns named in carry."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    own = of(docs, doc_id=id_col, text=text_col, **{f"_{c}": c for c in carry})
+    own = of(docs, doc_id=id_col, text=text_col, **{f"_{c}": c for c in carry if c != text_col})
     types = "".join(f", _{c} {docs.schema[c].dataType.simpleString()}" for c in carry)
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         model, texts = held.value, batch.column("text").to_pylist()
         out = model.score([model.features(t) for t in texts]).tolist() if model else [0.0] * len(texts)
-        return {"doc_id": batch.column("doc_id"), "score": out, "predicted": [int(s >= threshold) for s in out]} | {f"_{c}": batch.column(f"_{c}") for c in carry}
+        return {"doc_id": batch.column("doc_id"), "score": out, "predicted": [int(s >= threshold) for s in out]} | {f"_{c}": batch.column("text" if c == text_col else f"_{c}") for c in carry}
 
     return scan(own, rows, SCORED + types).select("doc_id", "score", "predicted", *[F.col(f"_{c}").alias(c) for c in carry])
 
