@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from gpart.session import cut
+from gpart.session import checkpointed as cut
 
 __all__ = ["cut", "of", "scan", "table", "utf8", "pieces", "Memo"]
 
