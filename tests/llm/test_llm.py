@@ -356,9 +356,10 @@ def test_pipeline_stages(spark):
         if name == "toxicity":
             labels = spark.read.parquet(f"{SF}/labels.parquet")
             assert after.join(labels.where("toxic = 0"), "doc_id").count() >= 0.98 * kept.join(labels.where("toxic = 0"), "doc_id").count()
+        if name == "ngram_jaccard_join":
+            assert ngram_join.ngram_join(after, n=5, percent=80).where(F.col("doc_id") != F.col("component_id")).count() == 0
         kept = after
     assert counts[1] == counts[0] and counts[1] > counts[2] > counts[3] >= counts[4]
     assert decontamination.decontaminate(kept, spark.read.parquet(f"{SF}/benchmark.parquet")).where("contaminated").count() == 0
-    assert ngram_join.ngram_join(kept).where(F.col("doc_id") != F.col("component_id")).count() <= 1
     pieces = corpus_pipeline.STAGES[-1][1](spark, kept, SF)
     assert pieces.select("doc_id").distinct().count() == counts[4]
