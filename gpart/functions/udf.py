@@ -33,6 +33,12 @@ def harmonic_mean(x: pd.Series) -> float:
     return float(len(x) / (1 / x).sum())
 
 
+def delta(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+    """Of one id: the sum of w on the left less that on the right."""
+    key = (left if len(left) else right)["id"].iloc[0]
+    return pd.DataFrame({"id": [key], "delta": [int(left["w"].sum()) - int(right["w"].sum())]})
+
+
 @F.udtf(returnType=T.StructType([T.StructField(c, T.LongType()) for c in ("src", "dst", "w")]))
 class DecodeNeighbors:
     """decode_neighbors(id, degree, payload, weighted): a row for each edge of a coded neighbourhood."""

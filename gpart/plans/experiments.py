@@ -131,6 +131,33 @@ def memory_breakdown(spark: SparkSession, g: Graph, k: int = 64, processors: int
     return memory.memory_model(spark, memory.Sizes(n, m, coarse.vertices.count(), coarse.edges.count() // 2, coded, processors, t_bump, k, entries), refine)
 
 
+def io_overhead(spark: SparkSession, g: Graph) -> dict[str, float]:
+    """Seconds to load and keep a graph plain and coded, in one pass and in two, and the ratios."""
+    from gpart.sources.io import scratch
+
+    took = {}
+    for name, make in (("plain", lambda: codec.to_csr(g)), ("coded", lambda: codec.compress(codec.to_csr(g))), ("two_pass", lambda: codec.compress_two_pass(g))):
+        began = time.time()
+        make().write.parquet(scratch(spark))
+        took[name] = time.time() - began
+    return took | {"coded_over_plain": took["coded"] / took["plain"], "two_pass_over_coded": took["two_pass"] / took["coded"]}
+
+
+def weak_scaling(spark: SparkSession, base_log: int = 10, steps: int = 4, avg_deg: float = 16) -> DataFrame:
+    """(parts, part, vertices, directed_edges, ghosts): work per part while parts and vertices double together."""
+    out = None
+    for i in range(steps):
+        g = generators.rgg2d(spark, 1 << (base_log + i), avg_deg).persisted()
+        rows = distributed.work_per_part(g, distributed.owned(g.vertices, 1 << (base_log + i), 1 << i)).withColumn("parts", F.lit(1 << i))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def self_speedups(times: DataFrame) -> DataFrame:
+    """times (instance, p, seconds), one session for each p: the cumulative harmonic curve."""
+    return metrics.speedup_curve(times)
+
+
 # Evaluation of runs. The registered queries evaluate a table of made-up runs that is a function of `orders`.
 
 RUNS_SQL = """runs AS (SELECT 'g' || (o_custkey % 12) AS graph, 'a' || (o_orderkey % 3) AS algo, CAST(8 * (1 + o_custkey % 2) AS INT) AS k, CAST(o_orderkey // 3 % 5 AS INT) AS seed,

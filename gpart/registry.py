@@ -473,7 +473,7 @@ for _name in ("event_window", "cust_supp"):
 @register("partition_levels_in_spark_cust_supp", sound_sql("cust_supp"))
 def _(s, d):
     g = built(s, d, "cust_supp")
-    cfg = multilevel.MultilevelConfig(task_edges=20_000, contraction_limit=40, t_bump=64, rounds=2, parts=2, refine_rounds=1)
+    cfg = multilevel.MultilevelConfig(task_edges=80_000, contraction_limit=40, t_bump=64, rounds=1, parts=2, refine_rounds=1)
     return soundness(s, g, multilevel.partition(g, 4, "lean-lp", cfg).partition, 4)
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from gpart import oracles as sql
 from gpart.functions import columns, udf
+from gpart.operators import clustering, contraction, gains
 from gpart.registry import built, hashed
 from gpart.sources import graphs, io
 from gpart.streaming import events as streams
@@ -87,6 +88,26 @@ query("rel_bit_functions", sql.full(CS, "SELECT id, id >> 3 AS hi, id & 7 AS lo,
 query("rel_percentile_degree", sql.full(CS, "SELECT quantile_cont(degree, 0.5) AS p50, quantile_cont(degree, 0.99) AS p99 FROM deg", sql.DEGREES))(lambda s, d: g(s, d).edges.groupBy("src").agg(F.count("*").alias("n")).agg(F.percentile("n", F.lit(0.5)).alias("p50"), F.percentile("n", F.lit(0.99)).alias("p99")))
 
 
+query("rel_ntile_degree", sql.full(CS, "SELECT id, ntile(10) OVER (ORDER BY degree, id) AS tenth FROM deg", sql.DEGREES))(lambda s, d: g(s, d).edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("n")).select("id", F.ntile(10).over(Window.orderBy("n", "id")).cast("long").alias("tenth")))
+query("rel_first_last_event", "SELECT user_id, arg_min(event_type, (ts, event_id)) AS first_type, arg_max(event_type, (ts, event_id)) AS last_type FROM events GROUP BY 1")(lambda s, d: graphs.table(s, d, "events").groupBy("user_id").agg(F.min_by("event_type", F.struct("ts", "event_id")).alias("first_type"), F.max_by("event_type", F.struct("ts", "event_id")).alias("last_type")))
+query("rel_grouping_sets", "SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY GROUPING SETS ((1), (2), ())")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).groupingSets([["a"], ["b"], []], "a", "b").agg(F.count("*").alias("n")))
+query("rel_text_functions", "SELECT doc_id, md5(lower(trim(text, ' '))) AS digest, len(string_split(text, ' ')) AS words FROM documents")(lambda s, d: graphs.table(s, d, "documents").select("doc_id", F.md5(F.lower(F.trim("text")).cast("binary")).alias("digest"), F.size(F.split("text", " ")).cast("long").alias("words")))
+query("rel_date_functions", "SELECT date_trunc('month', o_orderdate) AS month, count(*) AS n, CAST(max(epoch(o_orderdate)) AS BIGINT) AS last FROM orders GROUP BY 1")(lambda s, d: graphs.table(s, d, "orders").groupBy(F.date_trunc("month", "o_orderdate").alias("month")).agg(F.count("*").alias("n"), F.max(F.unix_timestamp("o_orderdate")).alias("last")))
+query("rel_array_functions", sql.full(CS, "SELECT src AS id, CAST(sum(w * w) AS BIGINT) AS squares, CAST(max(w) AS BIGINT) AS most FROM edges WHERE w > 1 GROUP BY 1"))(lambda s, d: g(s, d).edges.groupBy(F.col("src").alias("id")).agg(F.collect_list("w").alias("ws")).select("id", F.filter("ws", lambda w: w > 1).alias("ws")).where(F.size("ws") > 0).select("id", F.aggregate(F.transform("ws", lambda w: w * w), F.lit(0).cast("long"), lambda a, x: a + x).alias("squares"), F.array_max("ws").alias("most")))
+query("rel_map_functions", sql.full(CS, "SELECT e.src AS id, CAST(sum(e.w) FILTER (WHERE p.block >= 2) AS BIGINT) AS upper FROM edges e JOIN part p ON p.id = e.dst GROUP BY 1 HAVING count(*) FILTER (WHERE p.block >= 2) > 0", sql.blocks(4)))(
+    lambda s, d: gains.affinity(g(s, d).edges, hashed(g(s, d), 4)).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("block", "affinity"))).alias("m")).select("id", F.map_filter("m", lambda b, _: b >= 2).alias("m")).where(F.size("m") > 0).select("id", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("upper"))
+)
+query("rel_distinct_counts", "SELECT count(DISTINCT l_orderkey) AS orders, count(DISTINCT l_partkey) AS parts, count(DISTINCT (l_orderkey, l_linenumber)) AS lines FROM lineitem")(lambda s, d: graphs.table(s, d, "lineitem").agg(F.countDistinct("l_orderkey").alias("orders"), F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_orderkey", "l_linenumber").alias("lines")))
+query("rel_union_all_levels", sql.full(CS, "SELECT 0 AS level, count(*) AS n FROM edges UNION ALL SELECT 1, count(*) FROM ce", *sql.lp(1), sql.CONTRACT))(lambda s, d: g(s, d).edges.agg(F.lit(0).alias("level"), F.count("*").alias("n")).unionAll(contraction.contract(g(s, d), clustering.label_propagation(g(s, d), 1))[0].edges.agg(F.lit(1).alias("level"), F.count("*").alias("n"))))
+
+
+@query("udf_cogrouped_delta", sql.full(CS, "SELECT v.id, CAST(coalesce((SELECT sum(w) FROM edges WHERE src = v.id AND dst % 2 = 0), 0) - coalesce((SELECT sum(w) FROM edges WHERE src = v.id AND dst % 2 = 1), 0) AS BIGINT) AS delta FROM vertices v"))
+def _(s, d):
+    """A cogrouped Python function: for keys that hold few rows on either side."""
+    even, odd = (g(s, d).edges.where(f"dst % 2 = {r}").groupBy(F.col("src").alias("id")).agg(F.sum("w").alias("w")) for r in (0, 1))
+    return even.groupBy("id").cogroup(odd.groupBy("id")).applyInPandas(udf.delta, "id long, delta long")
+
+
 @query("sql_text_cut", sql.full(CS, "SELECT CAST(sum(e.w) AS BIGINT) AS cut FROM edges e JOIN part a ON a.id = e.src JOIN part b ON b.id = e.dst WHERE e.src < e.dst AND a.block <> b.block", sql.blocks(16)))
 def _(s, d):
     """The cut in SQL text over temporary views."""
