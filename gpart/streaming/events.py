@@ -17,9 +17,13 @@ from gpart.session import checkpoint_dir
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The events as a stream of files. ts is the event time."""
+    """The events as a stream of files; ts, the event time, as a point in time. The table is one file of its folder, or a folder."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).parquet(f"{sf_dir}/events.parquet")
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/events.parquet")
+    folder = path.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(path).isDirectory()
+    reader = spark.readStream.schema(schema)
+    stream = reader.parquet(f"{sf_dir}/events.parquet") if folder else reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def complete(stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -39,12 +43,12 @@ def complete(stream: DataFrame, mode: str = "append") -> DataFrame:
 def window_counts(events: DataFrame, width: str, step: str | None = None, late: str = "1 hour") -> DataFrame:
     """(start, event_type, n) for tumbling (no step) or sliding windows; complete when the run ends."""
     frame = F.window("ts", width, step) if step else F.window("ts", width)
-    return events.withWatermark("ts", late).groupBy(frame.alias("win"), "event_type").agg(F.count("*").alias("n")).select(F.col("win.start").alias("start"), "event_type", "n")
+    return events.withWatermark("ts", late).groupBy(frame.alias("win"), "event_type").agg(F.count("*").alias("n")).select(F.col("win.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
 
 
 def session_counts(events: DataFrame, gap: str, late: str = "1 hour") -> DataFrame:
     """(user_id, start, until, n) for sessions that end after a gap."""
-    return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("win"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("win.start").alias("start"), F.col("win.end").alias("until"), "n")
+    return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("win"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("win.start").cast("timestamp_ntz").alias("start"), F.col("win.end").cast("timestamp_ntz").alias("until"), "n")
 
 
 def first_of_user_type(events: DataFrame, late: str = "3650 days") -> DataFrame:

@@ -28,6 +28,15 @@ def g(s, d):
     return built(s, d, "cust_supp")
 
 
+def micros(df, *names):
+    """Times as microseconds, which every engine writes alike."""
+    return df.withColumns({n: F.unix_micros(F.col(n).cast("timestamp")) for n in names})
+
+
+def either(name):
+    return F.coalesce(F.col(name).cast("string"), F.lit("all")).alias(name)
+
+
 CS = "cust_supp"
 EDGES = sql.full(CS, "SELECT src, dst, w FROM edges")
 
@@ -54,19 +63,19 @@ query("rel_two_hop_counts", sql.full("page_path", "SELECT a.src AS id, count(DIS
 @query("rel_interval_join_events", "SELECT count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR")
 def _(s, d):
     """Pairs of a user's events within six hours: bucketed by six hours, so that a range join is an equality join."""
-    bucket = F.floor(F.unix_micros("ts") / 21_600_000_000)
+    bucket = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 21_600_000_000)
     ev = graphs.table(s, d, "events").select("user_id", "ts", bucket.alias("b"))
     left = ev.select("user_id", F.col("ts").alias("t0"), F.explode(F.array(F.col("b"), F.col("b") + 1)).alias("b"))
-    return left.join(ev, ["user_id", "b"]).where((F.col("ts") > F.col("t0")) & (F.unix_micros("ts") <= F.unix_micros("t0") + 21_600_000_000)).agg(F.count("*").alias("n"))
+    return left.join(ev, ["user_id", "b"]).where((F.col("ts") > F.col("t0")) & (F.unix_micros(F.col("ts").cast("timestamp")) <= F.unix_micros(F.col("t0").cast("timestamp")) + 21_600_000_000)).agg(F.count("*").alias("n"))
 
 
-@query("rel_asof_join_events", "SELECT o_orderkey, e.event_id FROM (SELECT o_orderkey, o_custkey % 100 AS user_id, o_orderdate FROM orders) o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.user_id = e.user_id AND o.o_orderdate >= e.ts")
+@query("rel_asof_join_events", "SELECT o_orderkey, coalesce(e.event_id, -1) AS event_id FROM (SELECT o_orderkey, o_custkey % 100 AS user_id, o_orderdate FROM orders) o ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY 1, 2) e ON o.user_id = e.user_id AND o.o_orderdate >= e.ts")
 def _(s, d):
     """Each order with its user's last event before it: one sorted pass over the union of both, no pairs."""
     ev = graphs.table(s, d, "events").groupBy("user_id", "ts").agg(F.max("event_id").alias("event_id")).select("user_id", "ts", "event_id", F.lit(None).cast("long").alias("o_orderkey"), F.lit(0).alias("kind"))
     orders = graphs.table(s, d, "orders").select((F.col("o_custkey") % 100).alias("user_id"), F.col("o_orderdate").alias("ts"), F.lit(None).cast("long").alias("event_id"), "o_orderkey", F.lit(1).alias("kind"))
     line = Window.partitionBy("user_id").orderBy("ts", "kind").rowsBetween(Window.unboundedPreceding, 0)
-    return ev.unionByName(orders).withColumn("last", F.last("event_id", ignorenulls=True).over(line)).where("kind = 1").select("o_orderkey", F.col("last").alias("event_id"))
+    return ev.unionByName(orders).withColumn("last", F.last("event_id", ignorenulls=True).over(line)).where("kind = 1").select("o_orderkey", F.coalesce("last", F.lit(-1)).alias("event_id"))
 
 
 query("rel_theta_grid", sql.full(CS, "SELECT t.tau, count(*) AS n FROM deg, (SELECT unnest([5, 10, 20, 40, 80]) AS tau) t WHERE degree >= t.tau GROUP BY 1", sql.DEGREES))(lambda s, d: g(s, d).edges.groupBy("src").agg(F.count("*").alias("degree")).join(F.broadcast(s.createDataFrame([(x,) for x in (5, 10, 20, 40, 80)], "tau int")), F.col("degree") >= F.col("tau")).groupBy("tau").agg(F.count("*").alias("n")))
@@ -74,11 +83,11 @@ query("rel_theta_grid", sql.full(CS, "SELECT t.tau, count(*) AS n FROM deg, (SEL
 # ---- aggregations, windows, sorting, sets ----
 
 query("rel_salted_aggregate", sql.full(CS, "SELECT src AS id, CAST(sum(w) AS BIGINT) AS w FROM edges GROUP BY 1"))(lambda s, d: g(s, d).edges.groupBy("src", (columns.scramble("dst") % 8).alias("salt")).agg(F.sum("w").alias("w")).groupBy(F.col("src").alias("id")).agg(F.sum("w").alias("w")))
-query("rel_cube_orders", "SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY CUBE (1, 2)")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).cube("a", "b").agg(F.count("*").alias("n")))
-query("rel_rollup_orders", "SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY ROLLUP (1, 2)")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).rollup("a", "b").agg(F.count("*").alias("n")))
-query("rel_pivot_blocks", sql.full(CS, "SELECT id % 5 AS r, count(*) FILTER (WHERE block = 0) AS b0, count(*) FILTER (WHERE block = 1) AS b1, count(*) FILTER (WHERE block = 2) AS b2 FROM part GROUP BY 1", sql.blocks(3)))(lambda s, d: hashed(g(s, d), 3).withColumn("r", F.col("id") % 5).groupBy("r").pivot("block", [0, 1, 2]).agg(F.count("*")).select("r", *[F.coalesce(F.col(str(b)), F.lit(0)).alias(f"b{b}") for b in range(3)]))
+query("rel_cube_orders", "SELECT coalesce(CAST(a AS VARCHAR), 'all') AS a, coalesce(CAST(b AS VARCHAR), 'all') AS b, n FROM (SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY CUBE (1, 2))")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).cube("a", "b").agg(F.count("*").alias("n")).select(either("a"), either("b"), "n"))
+query("rel_rollup_orders", "SELECT coalesce(CAST(a AS VARCHAR), 'all') AS a, coalesce(CAST(b AS VARCHAR), 'all') AS b, n FROM (SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY ROLLUP (1, 2))")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).rollup("a", "b").agg(F.count("*").alias("n")).select(either("a"), either("b"), "n"))
+query("rel_pivot_blocks", sql.full(CS, "SELECT id % 5 AS r, count(*) FILTER (WHERE block = 0) AS b0, count(*) FILTER (WHERE block = 1) AS b1, count(*) FILTER (WHERE block = 2) AS b2 FROM part GROUP BY 1", sql.blocks(3)))(lambda s, d: hashed(g(s, d), 3).withColumn("r", F.col("id") % 5).groupBy("r").pivot("block", [0, 1, 2]).agg(F.count("id")).select("r", *[F.coalesce(F.col(str(b)), F.lit(0)).alias(f"b{b}") for b in range(3)]))
 query("rel_window_ranks", sql.full(CS, "SELECT id, row_number() OVER (ORDER BY degree DESC, id) AS rn, rank() OVER (ORDER BY degree DESC) AS rk, dense_rank() OVER (ORDER BY degree DESC) AS dr FROM deg", sql.DEGREES))(lambda s, d: g(s, d).edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("n")).select("id", F.row_number().over(Window.orderBy(F.desc("n"), "id")).cast("long").alias("rn"), F.rank().over(Window.orderBy(F.desc("n"))).cast("long").alias("rk"), F.dense_rank().over(Window.orderBy(F.desc("n"))).cast("long").alias("dr")))
-query("rel_range_window_events", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: graphs.table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-3_600_000_000, 0)).alias("n")))
+query("rel_range_window_events", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: graphs.table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("n")))
 query("rel_heaviest_edges", sql.full(CS, "SELECT src, dst, w FROM edges WHERE src < dst ORDER BY w DESC, src, dst LIMIT 50"))(lambda s, d: g(s, d).edges.where("src < dst").orderBy(F.desc("w"), "src", "dst").limit(50))
 query("rel_top_neighbours", sql.full(CS, "SELECT src, dst, place FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS place FROM edges) WHERE place <= 3"))(lambda s, d: g(s, d).edges.withColumn("place", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("w"), "dst")).cast("long")).where("place <= 3").select("src", "dst", "place"))
 query("rel_edge_set_difference", sql.full(CS, "SELECT src, dst FROM edges WHERE src % 2 = 0 EXCEPT SELECT src, dst FROM edges WHERE dst % 3 = 0"))(lambda s, d: g(s, d).edges.where("src % 2 = 0").select("src", "dst").subtract(g(s, d).edges.where("dst % 3 = 0").select("src", "dst")))
@@ -90,9 +99,9 @@ query("rel_percentile_degree", sql.full(CS, "SELECT quantile_cont(degree, 0.5) A
 
 query("rel_ntile_degree", sql.full(CS, "SELECT id, ntile(10) OVER (ORDER BY degree, id) AS tenth FROM deg", sql.DEGREES))(lambda s, d: g(s, d).edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("n")).select("id", F.ntile(10).over(Window.orderBy("n", "id")).cast("long").alias("tenth")))
 query("rel_first_last_event", "SELECT user_id, arg_min(event_type, (ts, event_id)) AS first_type, arg_max(event_type, (ts, event_id)) AS last_type FROM events GROUP BY 1")(lambda s, d: graphs.table(s, d, "events").groupBy("user_id").agg(F.min_by("event_type", F.struct("ts", "event_id")).alias("first_type"), F.max_by("event_type", F.struct("ts", "event_id")).alias("last_type")))
-query("rel_grouping_sets", "SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY GROUPING SETS ((1), (2), ())")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).groupingSets([["a"], ["b"], []], "a", "b").agg(F.count("*").alias("n")))
+query("rel_grouping_sets", "SELECT coalesce(CAST(a AS VARCHAR), 'all') AS a, coalesce(CAST(b AS VARCHAR), 'all') AS b, n FROM (SELECT o_custkey % 3 AS a, o_orderkey % 2 AS b, count(*) AS n FROM orders GROUP BY GROUPING SETS ((1), (2), ()))")(lambda s, d: graphs.table(s, d, "orders").select((F.col("o_custkey") % 3).alias("a"), (F.col("o_orderkey") % 2).alias("b")).groupingSets([["a"], ["b"], []], "a", "b").agg(F.count("*").alias("n")).select(either("a"), either("b"), "n"))
 query("rel_text_functions", "SELECT doc_id, md5(lower(trim(text, ' '))) AS digest, len(string_split(text, ' ')) AS words FROM documents")(lambda s, d: graphs.table(s, d, "documents").select("doc_id", F.md5(F.lower(F.trim("text")).cast("binary")).alias("digest"), F.size(F.split("text", " ")).cast("long").alias("words")))
-query("rel_date_functions", "SELECT date_trunc('month', o_orderdate) AS month, count(*) AS n, CAST(max(epoch(o_orderdate)) AS BIGINT) AS last FROM orders GROUP BY 1")(lambda s, d: graphs.table(s, d, "orders").groupBy(F.date_trunc("month", "o_orderdate").alias("month")).agg(F.count("*").alias("n"), F.max(F.unix_timestamp("o_orderdate")).alias("last")))
+query("rel_date_functions", "SELECT epoch_us(date_trunc('month', o_orderdate)) AS month, count(*) AS n, CAST(max(epoch(o_orderdate)) AS BIGINT) AS last FROM orders GROUP BY 1")(lambda s, d: graphs.table(s, d, "orders").groupBy(F.unix_micros(F.date_trunc("month", F.col("o_orderdate").cast("timestamp"))).alias("month")).agg(F.count("*").alias("n"), F.max(F.unix_timestamp(F.col("o_orderdate").cast("timestamp"))).alias("last")))
 query("rel_array_functions", sql.full(CS, "SELECT src AS id, CAST(sum(w * w) AS BIGINT) AS squares, CAST(max(w) AS BIGINT) AS most FROM edges WHERE w > 1 GROUP BY 1"))(lambda s, d: g(s, d).edges.groupBy(F.col("src").alias("id")).agg(F.collect_list("w").alias("ws")).select("id", F.filter("ws", lambda w: w > 1).alias("ws")).where(F.size("ws") > 0).select("id", F.aggregate(F.transform("ws", lambda w: w * w), F.lit(0).cast("long"), lambda a, x: a + x).alias("squares"), F.array_max("ws").alias("most")))
 query("rel_map_functions", sql.full(CS, "SELECT e.src AS id, CAST(sum(e.w) FILTER (WHERE p.block >= 2) AS BIGINT) AS upper FROM edges e JOIN part p ON p.id = e.dst GROUP BY 1 HAVING count(*) FILTER (WHERE p.block >= 2) > 0", sql.blocks(4)))(
     lambda s, d: gains.affinity(g(s, d).edges, hashed(g(s, d), 4)).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("block", "affinity"))).alias("m")).select("id", F.map_filter("m", lambda b, _: b >= 2).alias("m")).where(F.size("m") > 0).select("id", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("upper"))
@@ -127,9 +136,9 @@ query("udtf_decode_neighbors", sql.full("event_window", "SELECT src, dst FROM ed
 
 # ---- streams ----
 
-query("stream_tumbling", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")(lambda s, d: streams.complete(streams.window_counts(streams.event_stream(s, d), "1 day"), "complete"))
-query("stream_sliding", "SELECT s AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 12 HOUR, ts), time_bucket(INTERVAL 12 HOUR, ts) - INTERVAL 12 HOUR]) AS s FROM events) GROUP BY 1, 2")(lambda s, d: streams.complete(streams.window_counts(streams.event_stream(s, d), "24 hours", "12 hours"), "complete"))
-query("stream_session", "SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS until, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS grp FROM (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL THEN 1 ELSE 0 END AS fresh FROM events)) GROUP BY user_id, grp")(lambda s, d: streams.complete(streams.session_counts(streams.event_stream(s, d), "6 hours"), "complete"))
+query("stream_tumbling", "SELECT epoch_us(time_bucket(INTERVAL 1 DAY, ts)) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")(lambda s, d: micros(streams.complete(streams.window_counts(streams.event_stream(s, d), "1 day"), "complete"), "start"))
+query("stream_sliding", "SELECT epoch_us(s) AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 12 HOUR, ts), time_bucket(INTERVAL 12 HOUR, ts) - INTERVAL 12 HOUR]) AS s FROM events) GROUP BY 1, 2")(lambda s, d: micros(streams.complete(streams.window_counts(streams.event_stream(s, d), "24 hours", "12 hours"), "complete"), "start"))
+query("stream_session", "SELECT user_id, epoch_us(min(ts)) AS start, epoch_us(max(ts) + INTERVAL 6 HOUR) AS until, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS grp FROM (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL THEN 1 ELSE 0 END AS fresh FROM events)) GROUP BY user_id, grp")(lambda s, d: micros(streams.complete(streams.session_counts(streams.event_stream(s, d), "6 hours"), "complete"), "start", "until"))
 query("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")(lambda s, d: streams.complete(streams.first_of_user_type(streams.event_stream(s, d))))
 query("stream_static_join", f"SELECT event_id, CAST({sql.h('user_id', 1)} % 8 AS INT) AS block FROM events")(lambda s, d: streams.complete(streams.with_partition(streams.event_stream(s, d), graphs.table(s, d, "events").select(F.col("user_id").alias("id")).distinct().select("id", (columns.scramble("id", 1) % 8).cast("int").alias("block")))))
 
