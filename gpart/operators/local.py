@@ -93,8 +93,11 @@ def grow(g: LocalGraph, target: int, method: str, rng: random.Random) -> list[in
 
 def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[int], rng: random.Random, patience: int = 200, once: set[int] | None = None) -> list[tuple[int, int, int]]:
     """Localised search: moves (vertex, from, to), best first from the seeds outward, losses too, each vertex at most once; what
-    comes after the best feasible prefix is undone. blocks changes to the result."""
+    comes after the best prefix is undone. blocks changes to the result. On the way a block may be too heavy by one vertex, else
+    full blocks could never exchange vertices; a prefix with fewer blocks too heavy is better than any other."""
     k = len(caps)
+    heaviest = max((g.weights[v] for v in range(len(g.weights)) if once is None or v not in once), default=0)
+    rooms = [c + heaviest for c in caps]
     loads = g.loads(blocks, k)
     moved = set() if once is None else once
     stamp: dict[int, int] = {}
@@ -106,7 +109,7 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
             inside[blocks[u]] = inside.get(blocks[u], 0) + w
         own = blocks[v]
         kept = inside.pop(own, 0)
-        fits = [(a - kept, -loads[b], b) for b, a in inside.items() if loads[b] + g.weights[v] <= caps[b]]
+        fits = [(a - kept, -loads[b], b) for b, a in inside.items() if loads[b] + g.weights[v] <= rooms[b]]
         if loads[own] > caps[own]:
             light = min(range(k), key=loads.__getitem__)
             if light != own and loads[light] + g.weights[v] <= caps[light]:
@@ -127,16 +130,16 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
         value, _, v, to, when = heappop(heap)
         if v in moved or stamp[v] != when:
             continue
-        if loads[to] + g.weights[v] > caps[to]:
+        if loads[to] + g.weights[v] > rooms[to]:
             push(v)
             if stamp[v] > 50:
                 moved.add(v)
             continue
         own = blocks[v]
-        over -= loads[own] > caps[own]
+        over -= (loads[own] > caps[own]) + (loads[to] > caps[to])
         loads[own] -= g.weights[v]
         loads[to] += g.weights[v]
-        over += loads[own] > caps[own]
+        over += (loads[own] > caps[own]) + (loads[to] > caps[to])
         blocks[v] = to
         moved.add(v)
         log.append((v, own, to))
