@@ -284,8 +284,14 @@ def test_plan_fills_each_slot_once():
             for i in range(until - first):
                 load[base + i // each] += length
                 assert at + (i % each + 1) * length <= 100
-        assert sum(load.values()) == sum(k * n for k, n in histogram.items()) and max(load.values()) <= 100
-        assert len(load) <= 11 / 9 * -(-sum(load.values()) // 100) + 6 or min(histogram) > 33
+        rooms: list[int] = []  # best fit decreasing, item by item
+        for length in sorted((k for k, n in histogram.items() for _ in range(n)), reverse=True):
+            fits = [i for i, room in enumerate(rooms) if room >= length]
+            if fits:
+                rooms[min(fits, key=rooms.__getitem__)] -= length
+            else:
+                rooms.append(100 - length)
+        assert sum(load.values()) == sum(k * n for k, n in histogram.items()) and max(load.values()) <= 100 and len(load) == len(rooms)
 
 
 # 8
