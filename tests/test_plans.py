@@ -58,3 +58,18 @@ def test_python_is_not_needed_for_measures(ring):
     part = ring.vertices.select("id", (F.col("id") % 4).cast("int").alias("block"))
     text = plan(metrics.cut_fraction(ring.edges, part))
     assert "Python" not in text and "Arrow" not in text
+
+
+def test_choices_by_size(spark, ring):
+    from gpart.plans import planner
+
+    assert planner.partitions_for(10) == 8 and planner.partitions_for(1 << 40) == (24 << 40 >> 28)
+    assert planner.salts_for(100, 10_000, 10) == 1 and planner.salts_for(5_000, 10_000, 10) == 8
+    labels = clustering.singletons(ring.vertices)
+    assert "BroadcastHashJoin" in plan(planner.joined_with_labels(ring.edges, labels)) and "BroadcastExchange" not in plan(planner.joined_with_labels(ring.edges.hint("merge"), labels, 10)).replace("AdaptiveSparkPlan", "")
+    part = ring.vertices.select("id", (F.col("id") % 3).cast("int").alias("block"))
+    table = gains.GainTable(ring, part, 3)
+    moves = part.where("id < 40").select(F.col("id").alias("pos"), "id", F.col("block").alias("from_block"), ((F.col("block") + 1) % 3).cast("int").alias("to_block"))
+    few = moves.where("id < 4")
+    for some in (few, moves):
+        assert sorted(planner.updated(table, some).affinities().collect()) == sorted(table.apply(some).affinities().collect())
