@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,29 +17,37 @@ from gpart.sources.graphs import Graph
 MOST_EDGES = 4_000_000
 
 
-def local_copy(graph: Graph, most_edges: int = MOST_EDGES) -> tuple[list[int], local.LocalGraph]:
-    """(ids, graph) on the driver, of a graph whose size is checked first."""
+def local_arrays(graph: Graph, most_edges: int = MOST_EDGES) -> tuple[np.ndarray, tuple]:
+    """(ids, arrays of weights, sources, targets and edge weights) on the driver, of a graph whose size is checked first."""
     count = graph.edges.count()
     if count > most_edges:
         raise ValueError(f"{count} edges are too many for one task; coarsen further")
-    vertices = sorted((r["id"], r["w"]) for r in graph.vertices.collect())
-    place = {v: i for i, (v, _) in enumerate(vertices)}
-    edges = [(place[r["src"]], place[r["dst"]], r["w"]) for r in graph.edges.collect()]
-    return [v for v, _ in vertices], local.LocalGraph.of(len(vertices), [w for _, w in vertices], sorted(edges))
+    vertices = graph.vertices.select("id", "w").toArrow().sort_by("id")
+    edges = graph.edges.select("src", "dst", "w").toArrow().sort_by([("src", "ascending"), ("dst", "ascending")])
+    ids = vertices.column("id").to_numpy()
+    src, dst = (np.searchsorted(ids, edges.column(c).to_numpy()) for c in ("src", "dst"))
+    return ids, (vertices.column("w").to_numpy(), src.astype(np.int32), dst.astype(np.int32), edges.column("w").to_numpy())
+
+
+def local_copy(graph: Graph, most_edges: int = MOST_EDGES) -> tuple[list[int], local.LocalGraph]:
+    """(ids, graph) on the driver."""
+    ids, arrays = local_arrays(graph, most_edges)
+    return ids.tolist(), local.LocalGraph.of_arrays(arrays)
 
 
-def attempts(spark: SparkSession, ids: list[int], g: local.LocalGraph, k: int, cap: int, seeds: list[int], methods=local.METHODS, tries: int = 2, fm: bool = False) -> DataFrame:
+def attempts(spark: SparkSession, arrays: tuple, k: int, cap: int, seeds: list[int], methods=local.METHODS, tries: int = 2, fm: bool = False) -> DataFrame:
     """(seed, overload, cut, blocks): a partition by each seed, from a full copy of the graph in its task."""
-    held = spark.sparkContext.broadcast(g)
+    held = spark.sparkContext.broadcast(arrays)
 
     def run(batches):
+        g = local.LocalGraph.of_arrays(held.value)
         for b in batches:
             out = {"seed": [], "overload": [], "cut": [], "blocks": []}
             for seed in b.column("seed").to_pylist():
-                blocks = local.solve(held.value, k, cap, seed, tries, methods, fm=fm)
+                blocks = local.solve(g, k, cap, seed, tries, methods, fm=fm)
                 out["seed"].append(seed)
-                out["overload"].append(sum(max(0, x - cap) for x in held.value.loads(blocks, k)))
-                out["cut"].append(held.value.cut(blocks))
+                out["overload"].append(sum(max(0, x - cap) for x in g.loads(blocks, k)))
+                out["cut"].append(g.cut(blocks))
                 out["blocks"].append(blocks)
             yield pa.RecordBatch.from_arrays([pa.array(out["seed"], pa.int64()), pa.array(out["overload"], pa.int64()), pa.array(out["cut"], pa.int64()), pa.array(out["blocks"], pa.list_(pa.int32()))], names=list(out))
 
@@ -48,11 +57,11 @@ def attempts(spark: SparkSession, ids: list[int], g: local.LocalGraph, k: int, c
 def initial_partition(graph: Graph, k: int, eps: float, seed: int = 1, tries: int = 4, methods=local.METHODS, fm: bool = False) -> DataFrame:
     """(id, block) of the best attempt: least overload, then least cut, then smallest seed."""
     spark = graph.vertices.sparkSession
-    ids, g = local_copy(graph)
-    cap, _ = block_cap(sum(g.weights), k, eps)
-    found = attempts(spark, ids, g, k, cap, [seed * 1000 + i for i in range(tries)], methods, fm=fm)
+    ids, arrays = local_arrays(graph)
+    cap, _ = block_cap(int(arrays[0].sum()), k, eps)
+    found = attempts(spark, arrays, k, cap, [seed * 1000 + i for i in range(tries)], methods, fm=fm)
     best = found.orderBy("overload", "cut", "seed").first()
-    return spark.createDataFrame(list(zip(ids, best["blocks"], strict=True)), "id long, block int")
+    return spark.createDataFrame(list(zip(ids.tolist(), best["blocks"], strict=True)), "id long, block int")
 
 
 def extend_blocks(graph: Graph, partition: DataFrame, shares: dict[int, int], cap: int, seed: int = 1) -> DataFrame:

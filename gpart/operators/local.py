@@ -27,6 +27,15 @@ class LocalGraph:
             adjacent[a].append((b, w))
         return LocalGraph(list(weights), adjacent)
 
+    @staticmethod
+    def of_arrays(arrays: tuple) -> LocalGraph:
+        """From arrays (weights, src, dst, w), edges by rising source."""
+        weights, src, dst, w = (a.tolist() for a in arrays)
+        adjacent: Adjacency = [[] for _ in weights]
+        for a, b, x in zip(src, dst, w, strict=True):
+            adjacent[a].append((b, x))
+        return LocalGraph(weights, adjacent)
+
     def part(self, vertices: list[int]) -> LocalGraph:
         place = {v: i for i, v in enumerate(vertices)}
         return LocalGraph([self.weights[v] for v in vertices], [[(place[u], w) for u, w in self.adjacent[v] if u in place] for v in vertices])
@@ -103,13 +112,17 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
     stamp: dict[int, int] = {}
     heap: list[tuple[int, int, int, int, int]] = []
 
+    table: dict[int, dict[int, int]] = {}  # affinities of the vertices seen so far
+
     def push(v: int) -> None:
-        inside: dict[int, int] = {}
-        for u, w in g.adjacent[v]:
-            inside[blocks[u]] = inside.get(blocks[u], 0) + w
+        inside = table.get(v)
+        if inside is None:
+            inside = table[v] = {}
+            for u, w in g.adjacent[v]:
+                inside[blocks[u]] = inside.get(blocks[u], 0) + w
         own = blocks[v]
-        kept = inside.pop(own, 0)
-        fits = [(a - kept, -loads[b], b) for b, a in inside.items() if loads[b] + g.weights[v] <= rooms[b]]
+        kept = inside.get(own, 0)
+        fits = [(a - kept, -loads[b], b) for b, a in inside.items() if b != own and a and loads[b] + g.weights[v] <= rooms[b]]
         if loads[own] > caps[own]:
             light = min(range(k), key=loads.__getitem__)
             if light != own and loads[light] + g.weights[v] <= caps[light]:
@@ -148,7 +161,10 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
             best_over, best, best_at, idle = over, total, len(log), 0
         else:
             idle += 1
-        for u, _ in g.adjacent[v]:
+        for u, w in g.adjacent[v]:
+            if (held := table.get(u)) is not None:
+                held[own] -= w
+                held[to] = held.get(to, 0) + w
             if u not in moved:
                 push(u)
     for v, own, _ in reversed(log[best_at:]):

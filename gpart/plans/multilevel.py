@@ -26,7 +26,7 @@ class MultilevelConfig:
     hub_degree: int = codec.HUB_DEGREE
     chunk: int = codec.CHUNK
     contraction_limit: int = 2000  #: coarsest vertices for each block
-    task_edges: int = 300_000  #: a level of no more directed edges is solved further within one task; 0: never by this rule
+    task_edges: int = 1_500_000  #: a level of no more directed edges is solved further within one task; 0: never by this rule
     least_shrink: float = 0.95  #: a level with more of its vertices left is the last
     two_hop_above: float = 0.6  #: pair up lonely vertices if more of a level's vertices would be left
     refine_rounds: int = 3
