@@ -31,11 +31,11 @@ class WordEncoder:
     #: Python's split() takes these for white space, the tokenizer does not.
     ODD = ("\x1c", "\x1d", "\x1e", "\x1f")
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, memo: int):
         from tokenizers import Tokenizer
 
         self.encoder = Tokenizer.from_file(path)
-        self.of_word = Memo(self.encode, 500_000)
+        self.of_word = Memo(self.encode, memo)
 
     def encode(self, text: str) -> bytes:
         return np.array(self.encoder.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
@@ -46,20 +46,20 @@ class WordEncoder:
         return b"".join(map(self.of_word.use().__getitem__, text.split()))
 
 
-_ENCODERS: dict[str, WordEncoder] = {}
+_ENCODERS: dict[tuple[str, int], WordEncoder] = {}
 
 
-def encoder(path: str) -> WordEncoder:
-    if path not in _ENCODERS:
-        _ENCODERS[path] = WordEncoder(path)
-    return _ENCODERS[path]
+def encoder(path: str, memo: int) -> WordEncoder:
+    if (path, memo) not in _ENCODERS:
+        _ENCODERS[path, memo] = WordEncoder(path, memo)
+    return _ENCODERS[path, memo]
 
 
-def pieces_of(docs: DataFrame, tokenizer: str, capacity: int, end_id: int, id_col: str, text_col: str) -> DataFrame:
+def pieces_of(docs: DataFrame, tokenizer: str, capacity: int, end_id: int, id_col: str, text_col: str, memo: int) -> DataFrame:
     path, end = tokenizer if "/" in tokenizer else None, int(end_id).to_bytes(4, "little")
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
-        ids_of = encoder(path or public_tokenizers.path(tokenizer)).ids
+        ids_of = encoder(path or public_tokenizers.path(tokenizer), memo).ids
         out: dict[str, list] = {name: [] for name in ("doc_id", "piece", "start", "length", "ids_crc32", "salt")}
         for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
             ids = (ids_of(text) if text else b"") + end
@@ -120,9 +120,9 @@ def ranks(df: DataFrame, key: str, salt: str, histogram: dict[int, int], per_buc
     return dealt.withColumn("within", F.row_number().over(order) - 1).join(before, [key, "bucket"]).withColumn("rank", F.col("before") + F.col("within")).drop("within", "before", "buckets", "bucket")
 
 
-def pack(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", tokenizer: str = "word_bpe_49k.json", capacity: int = 2048, end_id: int = 0) -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece."""
-    found = cut(pieces_of(docs, tokenizer, capacity, end_id, id_col, text_col))
+def pack(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", tokenizer: str = "word_bpe_49k.json", capacity: int = 2048, end_id: int = 0, memo: int = 1_000_000) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece. memo: words a worker remembers, about 200 MB a million."""
+    found = cut(pieces_of(docs, tokenizer, capacity, end_id, id_col, text_col, memo))
     histogram = {r[0]: r[1] for r in found.groupBy("length").count().collect()}  # at most `capacity` rows
     plan = found.sparkSession.createDataFrame(plan_slots(histogram, capacity) or [(0, 0, 0, 0, 1, 0)], PLAN)
     ranked = ranks(found, "length", "salt", histogram)
