@@ -68,9 +68,9 @@ def ladder_equal(g: Graph, k: int) -> DataFrame:
 
 # Workloads, on the tables of a folder or on generated graphs. The thresholds of the paper's large graphs are scaled by callers.
 
-SET_A = ("copurchase", "cust_supp", "fk_tree", "event_chain", "event_window", "page_host", "page_path", "doc_lines", "knn8")
+SET_A = ("copurchase", "cust_supp", "fk_tree", "event_chain", "event_window", "page_host", "page_path", "doc_line_links", "knn8")
 HEAVY = ("cust_supp", "page_path", "token_bigram", "conv_turns", "doc_label")
-WEB = ("page_host", "page_path", "doc_lines", "token_bigram")
+WEB = ("page_host", "page_path", "doc_line_links", "token_bigram")
 
 
 def inputs(spark: SparkSession, sf_dir: str, names) -> dict[str, Graph]:

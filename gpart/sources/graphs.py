@@ -86,13 +86,27 @@ def page_path(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame |
     return pages.groupBy(F.concat(F.lit("p"), F.col("page_id").cast("string")).alias("a"), F.concat(F.lit("t"), "token").alias("b")).agg(F.count("*").alias("w")), None
 
 
-def doc_lines(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
+def long_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, line): the trimmed lines of more than 20 characters of each document."""
     docs = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))
-    own = docs.where(F.length("line") > 20).distinct()
+    return docs.where(F.length("line") > 20)
+
+
+def doc_lines(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
+    """Pairs of documents, of lines in 2 to 50 documents only: a line in d documents makes d (d - 1) / 2 pairs. doc_line_links has every shared line."""
+    own = long_lines(spark, sf_dir).distinct()
     shared = own.groupBy("line").count().where("count BETWEEN 2 AND 50").select("line")
     return pairs_within(own.join(shared, "line"), "line", "doc_id"), None
 
 
+def doc_line_links(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
+    """Documents and every line that two or more share, however many: one edge for each document of a line, so none has to be left out.
+    Lines travel and are named by a digest of 128 bits."""
+    own = long_lines(spark, sf_dir).select("doc_id", F.md5("line").alias("line")).distinct()
+    shared = own.groupBy("line").count().where("count >= 2").select("line")
+    return own.join(shared, "line").select(F.concat(F.lit("d"), F.col("doc_id").cast("string")).alias("a"), F.concat(F.lit("l"), "line").alias("b"), F.lit(1).cast("long").alias("w")), None
+
+
 def token_bigram(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
     words = table(spark, sf_dir, "documents").select(F.filter(F.split(F.lower("text"), "[ \n\t\r]+"), lambda x: x != "").alias("ws"))
     both = words.where(F.size("ws") > 1).select(F.explode(F.arrays_zip(F.slice("ws", 1, F.size("ws") - 1).alias("x"), F.slice("ws", 2, F.size("ws") - 1).alias("y"))).alias("p"))
@@ -135,7 +149,7 @@ def doc_label(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame |
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], tuple[DataFrame, DataFrame | None]]] = {
-    f.__name__: f for f in (copurchase, cust_supp, fk_tree, event_chain, event_window, page_host, page_path, doc_lines, token_bigram, knn8, bench_overlap, conv_turns, doc_label)
+    f.__name__: f for f in (copurchase, cust_supp, fk_tree, event_chain, event_window, page_host, page_path, doc_lines, doc_line_links, token_bigram, knn8, bench_overlap, conv_turns, doc_label)
 }
 
 
