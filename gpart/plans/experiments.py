@@ -60,9 +60,12 @@ def run_table(spark: SparkSession, inputs: dict[str, Graph], algos: list[str], k
     return spark.createDataFrame([measured(name, g, algo, k, seed) for name, g in inputs.items() for algo in algos for k in ks for seed in seeds], RUNS)
 
 
-def ladder_equal(g: Graph, k: int) -> DataFrame:
+def ladder_equal(g: Graph, k: int, cfg: multilevel.MultilevelConfig) -> DataFrame:
     """The number of steps of the ladder, and of different cuts among them: the optimisations do not change the result."""
-    cuts = [metrics.edge_cut(g.edges, multilevel.partition(g, k, p).partition).first()[0] for p in ("base", "tp", "tp-gc", "lean-lp")]
+    results = [multilevel.partition(g, k, step, cfg) for step in ("base", "tp", "tp-gc", "lean-lp")]
+    for result in results:
+        multilevel.require_levels(result.levels, k, cfg)
+    cuts = [metrics.edge_cut(g.edges, result.partition).first()[0] for result in results]
     return g.vertices.sparkSession.createDataFrame([("presets", len(cuts)), ("different_cuts", len(set(cuts)))], "check_name string, value long")
 
 

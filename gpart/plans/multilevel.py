@@ -95,6 +95,14 @@ def coarsen(graph: Graph, k: int, cfg: MultilevelConfig, counters: clustering.Ro
     return levels
 
 
+def require_levels(levels: list[Level], k: int, cfg: MultilevelConfig) -> None:
+    """Fails if a graph that the settings mean to coarsen, with room for clusters of two, got no smaller level."""
+    top = levels[0]
+    total = top.graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
+    if top.m > cfg.task_edges and not should_stop(top.n, None, k, cfg) and cluster_cap(total, top.n, k, cfg) > 1 and levels[-1].n >= top.n:
+        raise RuntimeError(f"{top.n} vertices and {top.m} directed edges were not coarsened")
+
+
 def compressed_input(graph: Graph, cfg: MultilevelConfig) -> tuple[Graph, int]:
     """The graph whose edges are decoded from coded rows wherever they are read, and the coded bytes."""
     weighted = not graph.edges.where("w <> 1").isEmpty()

@@ -25,3 +25,17 @@ def test_a_line_of_many_documents_keeps_its_links(spark, tmp_path):
 def test_document_line_links_and_sql(spark, duck):
     name = "graph_edges_doc_line_links"
     assert rows(entry.queries()[name](spark, SF).toPandas()) == rows(duck(SF, entry.oracle_sql()[name]))
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="no tables")
+def test_solver_queries_coarsen_in_spark(spark, duck, monkeypatch):
+    from gpart.plans import multilevel
+
+    seen, coarsen = [], multilevel.coarsen
+    monkeypatch.setattr(multilevel, "coarsen", lambda *args: seen.append(coarsen(*args)) or seen[-1])
+    name = "partition_lean_lp_event_window"
+    assert rows(entry.queries()[name](spark, SF).toPandas()) == rows(duck(SF, entry.oracle_sql()[name]))
+    (levels,) = seen
+    assert len(levels) > 1 and levels[-1].n < levels[0].n
+    with pytest.raises(RuntimeError):
+        multilevel.require_levels(levels[:1], 4, multilevel.MultilevelConfig(task_edges=0, contraction_limit=100))
