@@ -13,7 +13,8 @@
    bound the overlap below the limit are discarded, and the rest is verified.
 
 Every two nodes that share a block are thus counted exactly, bounded away, or known to be connected: no link between components
-is lost. Null texts and texts without words have no n-grams and are linked with nothing; texts of fewer than n words have one.
+is lost. Only components are computed: neither the links nor their number for each document is returned, since pairs that are already
+connected, or equal, are never enumerated. Null texts and texts without words have no n-grams and are linked with nothing; texts of fewer than n words have one.
 Repeated rows (even with one id) share a node. Extra columns are ignored.
 """
 
