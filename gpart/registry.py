@@ -543,14 +543,9 @@ def _(s, d):
     return baselines.matching_round(g, clustering.singletons(g.vertices), 2)
 
 
-def with_levels(result: multilevel.Result, k: int) -> DataFrame:
-    multilevel.require_levels(result.levels, k, IN_SPARK)
-    return result.partition
-
-
 for _name, _f in (
     ("ldg", lambda g, k, cap: baselines.stream_ldg(g, k, cap)), ("penalty", lambda g, k, cap: baselines.stream_penalty(g, k, cap)), ("buffered", lambda g, k, cap: baselines.stream_buffered(g, k, cap, 1024)),
-    ("matching", lambda g, k, cap: with_levels(baselines.matching_multilevel(g, k, IN_SPARK, enforce_balance=True), k)), ("matching_distributed", lambda g, k, cap: with_levels(baselines.matching_distributed(g, k, 4, IN_SPARK), k)),
+    ("matching", lambda g, k, cap: baselines.matching_multilevel(g, k, IN_SPARK, enforce_balance=True).partition), ("matching_distributed", lambda g, k, cap: baselines.matching_distributed(g, k, 4, IN_SPARK).partition),
     ("semi_external", lambda g, k, cap: baselines.semi_external(g, k, passes=2)), ("direct", lambda g, k, cap: baselines.direct(g, k)),
 ):
     register(f"baseline_{_name}_check", sound_sql("event_window"))(lambda s, d, f=_f: soundness(s, built(s, d, "event_window"), cut(f(built(s, d, "event_window"), 4, metrics.block_cap(built(s, d, "event_window").vertices.count(), 4, 0.03)[0])), 4))
