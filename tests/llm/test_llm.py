@@ -5,6 +5,7 @@ import hashlib
 import os
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -230,6 +231,56 @@ def test_templates_go_where_content_is_not_marked(spark, most_broadcast):
     assert found[3] == "text 3 of its own" and found[9] == "Site of fame"
 
 
+def test_templates_by_force(spark):
+    """Without the rules: what recurs by words or shape around different contents goes, and nothing else; copies count once."""
+    rng = random.Random(5)
+    say = lambda k: " ".join(rng.choice("abcdefghij") * rng.randrange(1, 6) for _ in range(k))
+    shared, pages, expected = say(60), [], {}
+    for host in ("big", "small", "copies"):
+        body = [say(30), say(20)]
+        for i in range(3 if host == "small" else 12):
+            if host != "copies":
+                body = [say(30), say(20)] + ([shared] if i % 2 else [])
+            elif i % 3 == 0:
+                body = [body[0], body[1] + " x"]  # near copies
+            box = '<div class=share><a href="/x">tell a friend</a></div>'
+            inner = f"<p>{body[0]}</p>{box}" + "".join(f"<p>{x}</p>" for x in body[1:])
+            top = "<ul class=top>" + "".join(f"<li><a href=/{k}>{say(2)}</a></li>" for k in range(rng.randrange(2, 5))) + "</ul>"
+            rows_ = [f"<li>{say(2)}</li>"] if i == 4 else []
+            pages.append((len(pages), f"http://{host}/{i}", f"<html><body>{top}<article><h1>T {i}</h1>{inner}</article><div id=low>{say(3)}</div>{''.join(f'<ol>{x}</ol>' for x in rows_)}<form>no</form></body></html>"))
+            texts = lambda *parts: [" ".join(re.sub("<[^>]*>", " ", x).split()) for x in parts]
+            around = (re.findall(r"<li>.*?</li>", top), re.findall(r"<div id=low>.*?</div>", pages[-1][2]), [x for x in rows_])
+            kept = [[], ["T %d" % i, body[0], *body[1:]], []]
+            if host == "small":  # too few pages
+                kept = [texts(*around[0]), [f"T {i}", body[0], "tell a friend", *body[1:]], texts(*around[1])]
+            expected[len(pages) - 1] = (kept, texts(*around[2]), host)
+    table_ = spark.createDataFrame([(*p, 1, "t") for p in pages], "page_id long, url string, html string, n_chars int, text string")
+    found = {r["page_id"]: r for r in html_extraction.extract(table_, rules=False).collect()}
+    for at, (kept, rare, host) in expected.items():
+        blocks = found[at]["text"].split("\n\n")
+        whole = [x for part in kept for x in part] + rare
+        if host == "copies":  # four different articles: below min_pages
+            assert "tell a friend" in blocks
+        else:
+            assert blocks == whole, (host, at)
+        assert found[at]["n_chars"] == len(found[at]["text"])
+    by_rules = html_extraction.extract(table_).collect()
+    assert all("tell a friend" not in r["text"] for r in by_rules) and sum(r["template_blocks"] for r in by_rules) > 0
+
+
+@pytest.mark.parametrize("page", ["<a " * 20000, "<div>" * 20000 + "x", "<p><table><td>" + "<div>" * 20000, '<a "' * 20001, "<b>" * 20000 + "</div>" * 20000, "<" * 60000, "<!--" * 20000, "<i>x<div>y</i>" * 10000])
+def test_hostile_pages_take_no_time(page):
+    began = time.time()
+    parts = html_extraction.events(page)
+    keys = html_extraction.candidates(parts, "h")[0]
+    html_extraction.main_text(parts, keys, {1})
+    assert time.time() - began < 2
+
+
+def test_no_pages(spark):
+    assert html_extraction.extract(spark.createDataFrame([], "page_id long, url string, html string, text string")).count() == 0
+
+
 # 6 and 9
 
 
