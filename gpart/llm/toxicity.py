@@ -1,10 +1,14 @@
 """Toxicity scores: a learned lexicon, misspellings by Levenshtein automata, and context windows.
 
-The lexicon is learned from labelled texts: words and word beginnings (`lowei*`) that many toxic texts hold in varied
-neighbourhoods and hardly any other text does. A word is exact if it is in the lexicon or begins as one of its beginnings does, and misspelled if a Levenshtein automaton of the word,
-run down the trie of the lexicon's words, accepts within one edit. Around each hit a window of words gives a context score
-(log-odds of its words beside hits in toxic and in other texts), and quotation marks around it make it a quotation. Logistic
-regression over these counts gives the score.
+The lexicon is learned from labelled texts: words and word beginnings (`lowei*`) that toxic texts hold far more often than chance
+lets them, in varied neighbourhoods, and hardly any other text does. A word is exact if it is in the lexicon or begins as one of
+its beginnings does. It is misspelled if its Levenshtein automaton, run down the trie of the lexicon's terms, reaches the end of a
+word within one edit, or the end of a beginning while some start of the word is within one edit of it, unless what was reached is
+ordinary: in two other texts of the sample or more. Around each hit a window of words gives a context score (log-odds of its words
+beside hits in toxic and in other texts, smoothed towards none), and quotation marks around it in its line make it a quotation.
+
+Logistic regression over these counts gives the score. Exact and misspelled hits can only raise it and quotations only lower it:
+the fit also sees each toxic text with its terms misspelled, as toxic, and with its terms quoted, as not, at half weight.
 
 Only the fit looks at a bounded sample: about `per_class` labelled texts of either class, at most `most_candidates`
 candidate terms and `most_terms` chosen ones. Every whole text is scored. Null and empty texts have no hits and get the score of such texts; without labels of
@@ -15,6 +19,7 @@ from __future__ import annotations
 
 import math
 import re
+from bisect import bisect_right
 from collections import Counter, defaultdict
 from dataclasses import dataclass, field
 
@@ -60,24 +65,33 @@ MISS = (0.0, 0)
 
 
 class Lexicon:
-    """Words and beginnings with weights; looks words up exactly, by beginning, and within one edit."""
+    """Words and beginnings with weights; looks words up exactly, by beginning, and within one edit of either. ordinary: what is
+    within an edit of a term but no misspelling."""
 
-    def __init__(self, weights: dict[str, float], fuzzy_from: int = 5):
+    def __init__(self, weights: dict[str, float], ordinary: frozenset[str] = frozenset(), word_from: int = 4, stem_from: int = 5):
         self.exact = {t: w for t, w in weights.items() if not t.endswith("*")}
         self.stems = {t[:-1]: w for t, w in weights.items() if t.endswith("*")}
         self.stem_sizes = sorted({len(t) for t in self.stems})
+        self.ordinary = ordinary
         self.trie: dict = {}
-        # one edit leaves the first or the last half of a term as it is
+        # one edit leaves the first or the last half of a term as it is; the last half may move by a letter
         self.heads, self.tails = set(), set()
-        for term in (t for t in self.exact if len(t) >= fuzzy_from):
+        self.places: set[tuple[int, int]] = set()  # of the last halves of beginnings: where they start and their size
+        words, stems = [t for t in self.exact if len(t) >= word_from], [t for t in self.stems if len(t) >= stem_from]
+        for term in [*words, *(t + "*" for t in stems)]:
             node = self.trie
-            for letter in term:
+            for letter in term.rstrip("*"):
                 node = node.setdefault(letter, {})
-            node[""] = term
+            node["*" if term.endswith("*") else ""] = term
+        for term in words:
             self.heads.add(term[: len(term) // 2])
             self.tails.add(term[len(term) // 2 :])
-        self.head_sizes, self.tail_sizes = sorted({len(x) for x in self.heads}), sorted({len(x) for x in self.tails})
-        self.sizes = {len(t) + d for t in self.exact if len(t) >= fuzzy_from for d in (-1, 0, 1)}
+        self.tail_sizes = sorted({len(x) for x in self.tails})
+        self.stem_tails = {t[len(t) // 2 :] for t in stems}
+        for t in stems:
+            self.heads.add(t[: len(t) // 2])
+            self.places.update((len(t) // 2 + d, len(t) - len(t) // 2) for d in (-1, 0, 1))
+        self.head_sizes = sorted({len(x) for x in self.heads})
         self.of_word = Memo(self.look_up)
 
     def look_up(self, word: str) -> tuple[float, int]:
@@ -87,35 +101,66 @@ class Lexicon:
         for size in self.stem_sizes:
             if (w := self.stems.get(word[:size])) is not None:
                 return w, 0
-        if len(word) in self.sizes and (any(word[:k] in self.heads for k in self.head_sizes) or any(word[-k:] in self.tails for k in self.tail_sizes)):
-            if term := self.near(word, 1):
-                return self.exact[term], 1
-        return MISS
+        found = self.near(word, 1)
+        return MISS if found is None or found[1] in self.ordinary else (found[2], 1)
 
-    def near(self, word: str, edits: int) -> str | None:
+    def near(self, word: str, edits: int) -> tuple[str, str, float] | None:
+        """(term, what of the word is within so many edits of it, the term's weight); whole words before beginnings, heavy ones first."""
+        if edits == 1 and not (any(word[:k] in self.heads for k in self.head_sizes) or any(word[-k:] in self.tails for k in self.tail_sizes) or any(word[a : a + k] in self.stem_tails for a, k in self.places)):
+            return None
         start, step, accepts = edit_automaton(word, edits)
-        stack = [(self.trie, start)]
+        stack, found = [(self.trie, start)], []
         while stack:
             node, state = stack.pop()
             for letter, below in node.items():
                 if letter == "":
                     if accepts(state):
-                        return below
+                        found.append((1, self.exact[below], below, word))
+                elif letter == "*":
+                    found.append((0, self.stems[below[:-1]], below, word[: max(at for at, _ in state)]))
                 elif after := step(state, letter):
                     stack.append((below, after))
-        return None
+        if not found:
+            return None
+        _, weight, term, part = max(found)
+        return term, part, weight
+
+
+MARK = re.compile("[%s\n]" % "".join({*QUOTES, *QUOTES.values()}))
+
 
+def quotations(text: str) -> tuple[list[int], list[int]]:
+    """Starts and ends of what stands between quotation marks of one line, in order."""
+    starts, ends, opened = [], [], {}
+    for m in MARK.finditer(text):
+        mark, at = m[0], m.start()
+        if mark == "\n":
+            opened.clear()
+            continue
+        opening = next((o for o in opened if QUOTES[o] == mark), None)
+        if opening is not None:
+            begin = opened.pop(opening)
+            while starts and starts[-1] >= begin:  # quotations within this one
+                starts.pop(), ends.pop()
+            if not ends or at > ends[-1]:
+                starts.append(begin), ends.append(at)
+            opened = {o: a for o, a in opened.items() if a < begin}
+        elif mark in QUOTES and mark not in opened:
+            opened[mark] = at
+    return starts, ends
 
-def quoted(text: str, at: int, until: int, reach: int = 60) -> bool:
-    """Whether text[at:until] stands between quotation marks, in its line and within reach."""
-    before, after = text[max(0, at - reach) : at].rpartition("\n")[2], text[until : until + reach].partition("\n")[0]
-    for opening, closing in QUOTES.items():
-        if opening == closing:
-            if before.count(opening) % 2 and closing in after:
-                return True
-        elif before.rfind(opening) > before.rfind(closing) and closing in after:
-            return True
-    return False
+
+def quoted(text: str, at: int, until: int) -> bool:
+    """Whether text[at:until] stands between quotation marks, in its line."""
+    starts, ends = quotations(text)
+    i = bisect_right(starts, at) - 1
+    return i >= 0 and until <= ends[i]
+
+
+def misspelled(word: str) -> str:
+    """The word with one edit, which its hash chooses."""
+    at = 1 + hash_of(word) % max(1, len(word) - 1)
+    return (word[:at] + word[at + 1 :], word[:at] + word[at - 1] + word[at:], word[: at - 1] + "x" + word[at:])[hash_of(word + "?") % 3]
 
 
 @dataclass
@@ -123,11 +168,12 @@ class ToxicityModel:
     weights: dict[str, float]
     context: dict[str, float] = field(default_factory=dict)
     coefficients: np.ndarray | None = None
+    ordinary: frozenset[str] = frozenset()
     _lexicon: Lexicon | None = None
 
     def lexicon(self) -> Lexicon:
         if self._lexicon is None:
-            self._lexicon = Lexicon(self.weights)
+            self._lexicon = Lexicon(self.weights, self.ordinary)
         return self._lexicon
 
     def hits(self, text: str | None) -> tuple[list[str], list[tuple[int, float, int]]]:
@@ -140,8 +186,12 @@ class ToxicityModel:
         if not hits:
             return [0.0] * 6
         lowered = text.lower()
-        places = [m.span() for m in WORDS.finditer(lowered)]
-        in_quotes = [quoted(lowered, *places[i]) for i, _, _ in hits]
+        in_quotes = [False] * len(hits)
+        starts, ends = quotations(lowered)
+        if starts:
+            places = [m.span() for m in WORDS.finditer(lowered)]
+            at = [bisect_right(starts, places[i][0]) - 1 for i, _, _ in hits]
+            in_quotes = [k >= 0 and places[i][1] <= ends[k] for k, (i, _, _) in zip(at, hits, strict=True)]
         own = [h for h, q in zip(hits, in_quotes, strict=True) if not q]
         near = [self.context.get(w, 0.0) for i, _, _ in hits for w in words[max(0, i - WINDOW) : i] + words[i + 1 : i + 1 + WINDOW]]
         exact = sum(e == 0 for _, _, e in own)
@@ -159,14 +209,34 @@ def terms_of(words: list[str]) -> set[str]:
     return distinct | {w[:k] + "*" for w in distinct for k in STEMS if len(w) > k}
 
 
-def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.3, rounds: int = 25) -> np.ndarray:
-    """Ridge logistic regression by Newton steps; the intercept, the first column, is free."""
-    beta, free = np.zeros(x.shape[1]), np.eye(x.shape[1]) * ridge
-    free[0, 0] = 1e-6
-    for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ beta, -30, 30)))
-        beta += np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + free, x.T @ (y - p) - free @ beta)
-    return beta
+#: What a feature may do to the score: raise it, lower it, or either (0); the intercept comes first.
+SIGNS = np.array([0, 1, 1, 1, 1, -1, 0])
+
+
+def logistic(x: np.ndarray, y: np.ndarray, weights: np.ndarray, signs: np.ndarray = SIGNS, ridge: float = 0.3, rounds: int = 25) -> np.ndarray:
+    """Weighted ridge logistic regression by Newton steps; the intercept is not shrunk. A coefficient against its sign is held at 0."""
+    used = np.ones(x.shape[1], dtype=bool)
+    while True:
+        own = x[:, used]
+        beta, free = np.zeros(own.shape[1]), np.eye(own.shape[1]) * ridge
+        free[0, 0] = 1e-6
+        for _ in range(rounds):
+            p = 1 / (1 + np.exp(-np.clip(own @ beta, -30, 30)))
+            beta += np.linalg.solve((own * (weights * p * (1 - p))[:, None]).T @ own + free, own.T @ (weights * (y - p)) - free @ beta)
+        whole = np.zeros(x.shape[1])
+        whole[used] = beta
+        if not (against := whole * signs < 0).any():
+            return whole
+        used &= ~against
+
+
+def beyond_chance(a: int, b: int, share: float, terms: int) -> bool:
+    """Whether a of a + b texts are toxic though `share` of all are, in a way that not one of so many terms would show by chance."""
+    n, p = a + b, a / (a + b)
+    if p <= share:
+        return False
+    bits = a * math.log(p / share) + (b * math.log((1 - p) / (1 - share)) if b else 0.0)
+    return bits >= math.log(max(2, terms))
 
 
 def select(candidates: dict[str, tuple[int, int]], n_toxic: int, n_other: int, min_odds: float) -> dict[str, float]:
@@ -178,7 +248,9 @@ def select(candidates: dict[str, tuple[int, int]], n_toxic: int, n_other: int, m
         for k in STEMS:
             if k < len(term.rstrip("*")):
                 best[term[:k] + "*"] = max(best[term[:k] + "*"], a)
-    return {t: w for t, w in odds.items() if w >= min_odds and (not t.endswith("*") or candidates[t][1] == 0 and candidates[t][0] >= 1.3 * best[t])}
+    share = n_toxic / (n_toxic + n_other)
+    odds = {t: w for t, w in odds.items() if w >= min_odds and beyond_chance(*candidates[t], share, len(candidates))}
+    return {t: w for t, w in odds.items() if (not t.endswith("*") or candidates[t][1] == 0 and candidates[t][0] >= 1.3 * best[t])}
 
 
 def train(
@@ -228,27 +300,53 @@ def train(
     model = ToxicityModel(dict(sorted(chosen.items(), key=lambda x: (-x[1], x[0]))[:most_terms]))
     bare = spark.sparkContext.broadcast(model)
 
+    def near_misses(batch: pa.RecordBatch) -> dict[str, list]:
+        found, lexicon = Counter(), bare.value.lexicon()
+        for text in batch.column("text").to_pylist():
+            words = {w for w in WORDS.findall(text.lower()) if lexicon.of_word.use()[w][1]} if text else ()
+            found.update({lexicon.near(w, 1)[1] for w in words})
+        return {"word": list(found), "n": list(found.values())}
+
+    ordinary = scan(sample.where("toxic = 0"), near_misses, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).where("n >= 2")
+    model.ordinary = frozenset(r["word"] for r in ordinary.collect())  # words of the bounded sample
+    knowing = spark.sparkContext.broadcast(ToxicityModel(model.weights, ordinary=model.ordinary))
+
     def windows(batch: pa.RecordBatch) -> dict[str, list]:
         found = Counter()
         for toxic, text in zip(batch.column("toxic").to_pylist(), batch.column("text").to_pylist(), strict=True):
-            words, hits = bare.value.hits(text)
+            words, hits = knowing.value.hits(text)
             found.update((toxic, w) for i, _, _ in hits for w in words[max(0, i - WINDOW) : i] + words[i + 1 : i + 1 + WINDOW])
         return {"toxic": [t for t, _ in found], "word": [w for _, w in found], "n": list(found.values())}
 
     beside = scan(sample, windows, "toxic int, word string, n long").groupBy("word").agg(*[F.sum(F.when(F.col("toxic") == k, F.col("n")).otherwise(0)).alias(f"n{k}") for k in (0, 1)])
     all0, all1 = beside.agg(F.coalesce(F.sum("n0"), F.lit(0)), F.coalesce(F.sum("n1"), F.lit(0))).first()
-    # without hits in other texts their neighbourhoods say nothing
-    common = beside.where(F.col("n0") + F.col("n1") >= 5).orderBy(F.desc(F.col("n0") + F.col("n1")), "word").limit(most_terms).collect() if all0 >= 50 else []
-    model.context = {r["word"]: math.log((r["n1"] + 1) / (all1 + 2)) - math.log((r["n0"] + 1) / (all0 + 2)) for r in common}
-    ready = spark.sparkContext.broadcast(ToxicityModel(model.weights, model.context))
+    common = beside.where(F.col("n0") + F.col("n1") >= 5).orderBy(F.desc(F.col("n0") + F.col("n1")), "word").limit(most_terms).collect()
 
-    def described(batch: pa.RecordBatch) -> dict[str, list]:
-        return {"toxic": batch.column("toxic"), "x": [ready.value.features(t) for t in batch.column("text").to_pylist()]}
+    def share_of(n: int, whole: int, word_share: float, prior: float = 50.0) -> float:
+        """A word's share beside hits of one class, drawn towards its share beside all hits: with few hits it says little."""
+        return (n + prior * word_share) / (whole + prior)
+
+    model.context = {r["word"]: math.log(share_of(r["n1"], all1, q) / share_of(r["n0"], all0, q)) for r in common for q in [(r["n0"] + r["n1"]) / (all0 + all1)]}
+    ready = spark.sparkContext.broadcast(ToxicityModel(model.weights, model.context, ordinary=model.ordinary))
 
-    table_of = scan(sample, described, "toxic int, x array<double>").collect()
-    x, y = np.array([[1.0, *r["x"]] for r in table_of]), np.array([float(r["toxic"]) for r in table_of])
-    model.coefficients = logistic(x, y)
-    return ToxicityModel(model.weights, model.context, model.coefficients)
+    def described(batch: pa.RecordBatch) -> dict[str, list]:
+        out: dict[str, list] = {"toxic": [], "weight": [], "x": []}
+        model = ready.value
+        for toxic, text in zip(batch.column("toxic").to_pylist(), batch.column("text").to_pylist(), strict=True):
+            rows = [(toxic, 1.0, model.features(text))]
+            if toxic and any(rows[0][2]):
+                words, hits = model.hits(text)
+                terms = {words[i] for i, _, _ in hits}
+                rewritten = lambda f: WORDS.sub(lambda m: f(m[0]) if m[0] in terms else m[0], text.lower())  # noqa: B023, E731
+                rows += [(1, 0.5, model.features(rewritten(misspelled))), (0, 0.5, model.features(rewritten(lambda w: f'"{w}"')))]
+            for row in rows:
+                for name, value in zip(out, row, strict=True):
+                    out[name].append(value)
+        return out
+
+    table_of = scan(sample, described, "toxic int, weight double, x array<double>").collect()
+    x, y, w = np.array([[1.0, *r["x"]] for r in table_of]), np.array([float(r["toxic"]) for r in table_of]), np.array([r["weight"] for r in table_of])
+    return ToxicityModel(model.weights, model.context, logistic(x, y, w), model.ordinary)
 
 
 def hash_of(word: str) -> int:

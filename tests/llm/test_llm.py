@@ -149,6 +149,77 @@ def test_misspellings_and_quotations(spark, odd, none):
     assert scored[3] == 1 and scored[0] == 0 and scored[2] == 0
 
 
+def edits(a, b):
+    """Levenshtein distance, cell by cell."""
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        row, last = [i], row
+        for j, y in enumerate(b, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    return row[-1]
+
+
+def test_lexicon_by_force():
+    rng = random.Random(9)
+    word = lambda n: "".join(rng.choice("abc") for _ in range(n))
+    for ordinary in (frozenset(), frozenset(word(5) for _ in range(40))):
+        weights = {word(rng.randrange(2, 8)): float(i + 1) for i in range(12)} | {word(rng.randrange(3, 8)) + "*": float(i + 20) for i in range(4)}
+        lexicon = toxicity.Lexicon(weights, ordinary)
+        for _ in range(800):
+            own = word(rng.randrange(1, 11))
+            stems = {t[:-1]: w for t, w in weights.items() if t.endswith("*")}
+            begun = [s for s in sorted(stems, key=len) if own.startswith(s)]
+            words = [t for t in weights if not t.endswith("*") and len(t) >= 4 and edits(t, own) <= 1]
+            starts = [(stems[s], s) for s in stems if len(s) >= 5 and any(edits(s, own[:k]) <= 1 for k in range(len(own) + 1))]
+            if own in weights:
+                expected = (weights[own], 0)
+            elif begun:
+                expected = (stems[begun[0]], 0)
+            elif words:
+                expected = (0.0, 0) if own in ordinary else (max(weights[t] for t in words), 1)
+            elif starts:
+                weight, s = max(starts)
+                part = own[: max(k for k in range(len(own) + 1) if edits(s, own[:k]) <= 1)]
+                expected = (0.0, 0) if part in ordinary else (weight, 1)
+            else:
+                expected = (0.0, 0)
+            assert lexicon.look_up(own) == expected, own
+
+
+def test_quotations_by_force():
+    rng = random.Random(10)
+    for _ in range(300):
+        text = "".join(rng.choice('ab "\n') for _ in range(rng.randrange(30)))
+        inside, at = set(), 0
+        for line in text.split("\n"):
+            marks = [i for i, c in enumerate(line) if c == '"']
+            for a, b in zip(marks[::2], marks[1::2]):
+                inside |= set(range(at + a, at + b))
+            at += len(line) + 1
+        for i, c in enumerate(text):
+            if c in "ab":
+                assert toxicity.quoted(text, i, i + 1) == (i in inside)
+    assert toxicity.quoted("«a “b” c» d", 1, 2) and toxicity.quoted("«a “b” c» d", 7, 8) and not toxicity.quoted("«a “b” c» d", 10, 11)
+
+
+def test_scores_move_with_what_is_seen(spark, none):
+    """Whole texts, trained end to end: misspelled abuse raises the score, the same in quotation marks does not."""
+    rng = random.Random(3)
+    say = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randrange(2, 8))) for _ in range(n))
+    docs, labels = [], []
+    for i in range(400):
+        bad = i % 4 == 0
+        docs.append((i, f"{say(10)} {rng.choice(['wretched', 'vermin', 'dimwit'])} {say(5)} {rng.choice(['wretched', 'vermin'])} {say(5)}" if bad else say(22)))
+        labels.append((i, int(bad), "x"))
+    model = toxicity.train(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int, text string"))
+    assert {"wretched", "vermin", "dimwit"} <= set(model.weights)
+    scores = dict(zip("plain typos quoted clean".split(), model.score([model.features(t) for t in ("you wretched vermin of a dimwit", "you wretchd vermine of a dimwitt", 'they wrote "you wretched vermin of a dimwit"', "you dear friend of a house")]), strict=True))
+    assert scores["plain"] > 0.9 and scores["typos"] > 0.5 and scores["quoted"] < 0.3 and scores["clean"] < 0.3
+    assert (model.coefficients * toxicity.SIGNS >= 0).all()
+    some = spark.createDataFrame([(1, 1, "t")], "doc_id long, toxic int, text string")
+    assert toxicity.train(none, some) is None and toxicity.train(none, some.where("false")) is None and language_id.train(none.selectExpr("doc_id", "text", "'x' AS lang")) is None
+
+
 # 3
 
 
