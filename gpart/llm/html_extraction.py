@@ -26,6 +26,7 @@ end cuts off is no text. Every step is linear in the page's length.
 
 from __future__ import annotations
 
+import functools
 import html as entities
 import re
 
@@ -37,8 +38,8 @@ from pyspark.sql import functions as F
 from gpart.llm.common import cut, of, scan, table
 
 TEXTS = "page_id long, url string, text string, n_chars long, template_blocks long, rule_blocks long"
-TAG = re.compile(r"""</?[a-zA-Z][^\s/>]*(?:"[^"]*"|'[^']*'|[^"'>])*+""")
-NAME = re.compile(r"</?([a-zA-Z][^\s/>]*)")
+TAG = re.compile(r"""<(/?)([a-zA-Z][^\s/>]*)((?:"[^"]*"|'[^']*'|[^"'>])*+)""")
+COMMENT_END = re.compile(r"--!?>")
 ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""")
 PARTS = re.compile(r"[a-z]+|[A-Z][a-z]*|\d+")
 LETTERS = re.compile(r"[A-Za-z]+")
@@ -108,7 +109,7 @@ def events(page: str) -> list[Event]:
             out.append((CLOSE, stack.pop(), ""))
 
     def close_one_of(tags: set[str], borders: set[str]) -> None:
-        if (depth := stack.last(tags)) > stack.last(borders):
+        if (depth := stack.last(tags)) >= 0 and depth > stack.last(borders):
             close_through(depth)
 
     def say(until: int) -> None:
@@ -117,19 +118,19 @@ def events(page: str) -> list[Event]:
 
     search = 0
     while (start := page.find("<", search)) >= 0:
-        following = page[start + 1 : start + 3]
-        if following[:1] in ("!", "?"):
+        found = TAG.match(page, start)
+        following = "" if found else page[start + 1 : start + 3]
+        if following[:1] in ("!", "?") and following:
             say(start)
             if page.startswith("<!--", start):
-                close = re.compile(r"--!?>").search(page, start + 4)
+                close = COMMENT_END.search(page, start + 4)
                 at = close.end() if close else end
             else:
                 close = page.find(">", start)
                 at = close + 1 if close >= 0 else end
             search = at
             continue
-        name = NAME.match(page, start)
-        if name is None:
+        if found is None:
             if following[:1] == "/" and following[1:]:  # an end tag of nothing
                 say(start)
                 close = page.find(">", start)
@@ -138,15 +139,15 @@ def events(page: str) -> list[Event]:
                 search = start + 1
             continue
         say(start)
-        until = TAG.match(page, start).end()
+        until = found.end()
         if until < end and page[until] != ">":  # a quotation mark without its fellow, of which a page has one of each kind at most
             until = page.find(">", until)
         if until < 0 or until >= end:
             at = end
             break
-        tag, attrs = name[1].lower(), page[name.end() : until]
+        tag, attrs = found[2].lower(), found[3]
         at = search = until + 1
-        if following[0] == "/":
+        if found[1]:
             depth = stack.last((tag,))
             if depth >= 0:
                 # an end tag of a phrase does not end the block that it stands in
@@ -217,14 +218,23 @@ def number(*parts: str) -> int:
     return xxhash.xxh64_intdigest("\x1e".join(parts)) - (1 << 63)
 
 
+@functools.lru_cache(10_000)
+def shape(looks: str, below: frozenset[int]) -> int:
+    return number(looks, *map(str, sorted(below)))
+
+
 class Element:
-    __slots__ = ("tag", "attrs", "parent", "below", "words", "shapes", "chars", "h1", "linked", "never", "marked", "first", "last")
+    __slots__ = ("tag", "attrs", "parent", "below", "words", "shapes", "chars", "h1", "linked", "never", "marked", "first", "last", "leaf")
 
     def __init__(self, tag: str, attrs: str, parent: int, never: bool, marked: bool, first: int):
         self.tag, self.attrs, self.parent, self.never, self.marked, self.first = tag, attrs, parent, never, marked, first
         self.words: list[str] = []  # text and children's hashes, in order
         self.shapes: set[int] = set()
-        self.chars, self.h1, self.linked, self.last, self.below = 0, tag == "h1", tag == "a", first, False
+        self.chars, self.h1, self.linked, self.last, self.below, self.leaf = 0, tag == "h1", tag == "a", first, False, True
+
+    def plain(self) -> bool:
+        """Whether it never goes by its words inside the content."""
+        return self.tag in PROSE or not (self.linked or self.attrs.strip(" /"))
 
 
 def outline(page: list[Event]) -> tuple[list[Element], list[int], list[str]]:
@@ -243,7 +253,7 @@ def outline(page: list[Event]) -> tuple[list[Element], list[int], list[str]]:
             elements.append(Element(value, attrs, stack[-2] if len(stack) > 1 else -1, never, marked, len(texts)))
             hashes.append(0)
         elif kind == TEXT:
-            if (own := " ".join(value.split())) and stack and not elements[stack[-1]].never:
+            if (own := value.strip()) and stack and not elements[stack[-1]].never:
                 here = elements[stack[-1]]
                 here.words.append(own)
                 here.chars += len(own)
@@ -252,12 +262,20 @@ def outline(page: list[Event]) -> tuple[list[Element], list[int], list[str]]:
             at = stack.pop()
             here = elements[at]
             here.last = len(texts)
-            hashes[at] = number(look(here.tag, here.attrs), *here.words)
-            if stack and not here.never:
-                above = elements[stack[-1]]
-                if here.chars:
+            above = elements[stack[-1]] if stack else None
+            if above is not None:
+                above.leaf = False
+            if here.never:
+                continue
+            if here.marked and here.leaf and above is not None and above.marked and here.plain():
+                above.words.append("\x1d".join([here.tag, *here.words]))  # needs no hash of its own
+            else:
+                hashes[at] = number(look(here.tag, here.attrs), *here.words)
+                if above is not None and here.chars:
                     above.words.append(str(hashes[at]))
-                above.shapes.add(number(look(here.tag, here.attrs), *map(str, sorted(here.shapes))))
+            if above is not None:
+                if not here.marked:
+                    above.shapes.add(shape(look(here.tag, here.attrs), frozenset(here.shapes)))
                 above.chars += here.chars
                 above.h1 |= here.h1
                 above.linked |= here.linked
@@ -295,9 +313,9 @@ def candidates(page: list[Event], host: str) -> tuple[list[tuple[int, ...]], lis
                 own.append(number(host, "words", str(hashes[at])))
                 found.append((own[-1], context))
                 if e.tag not in PROSE and not e.h1:
-                    own.append(number(host, "shape", look(e.tag, e.attrs), *map(str, sorted(e.shapes))))
+                    own.append(number(host, "shape", str(shape(look(e.tag, e.attrs), frozenset(e.shapes)))))
                     found.append((own[-1], context))
-            elif e.tag not in PROSE and not around[at] and (e.linked or e.attrs.strip(" /")) and e.parent >= 0 and inside[e.parent]:
+            elif not around[at] and e.parent >= 0 and inside[e.parent] and not e.plain():
                 own.append(number(host, "inside", str(hashes[at])))
                 found.append((own[-1], number(texts[e.first - 1] if e.first else "", texts[e.last] if e.last < len(texts) else "")))
         keys.append(tuple(own))
