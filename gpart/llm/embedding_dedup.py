@@ -1,19 +1,26 @@
 """Near-duplicate vectors by hierarchical navigable small-world graphs, one per shard.
 
-Equal vectors of a label are one node with a count. Nodes of a label are dealt to shards of about `shard_rows`; each shard's task
+Equal vectors of a label are one node with a count (a 64-bit name, checked against a 128-bit digest; names that unequal vectors
+share are drawn anew with another seed). Nodes of a label are dealt to shards of about `shard_rows`; each shard's task
 builds a graph, and every pair of shards of a label is searched both ways by one task, so all vectors query every shard. A search
-descends the layers, widens a beam on the lowest one, and follows all links above the limit from there. Each task audits
-itself: `audits` queries are compared with all vectors of the shard, and while fewer than `recall` of their links are found, the
-beam doubles; a beam as wide as the shard is an exhaustive search. Cosines are in double precision. A task returns counts for each
+descends the layers, widens a beam on the lowest one, and follows all links above the limit from there.
+
+Each search audits itself against all vectors of the shard: `audits` of its queries, and as many planted ones, vectors of the
+shard moved to a cosine between the limit and 1, so that an audit always has links to find however rare real ones are. Recall is
+the mean over the audited queries that have links, so that a hot group's many links do not speak for the others; while
+it is below `recall` for either kind, the beam doubles, and a beam as wide as the shard is an exhaustive search. `audit_report`
+returns what the audits found. Cosines are in double precision. A task returns counts for each
 node and a spanning forest of its links, whose union gives the components.
 
 Vectors that are null, empty, zero or hold null or non-finite components, and those with a null label, are linked with nothing;
-vectors of unlike lengths are never compared. Repeated rows count as vectors. Extra columns are ignored.
+vectors of unlike lengths are never compared. Repeated rows count as vectors; rows without an id are linked like others, and a
+component's id is the smallest there is, null if all are. Extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import pickle
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -148,39 +155,100 @@ class SmallWorld:
         return found
 
 
-def search(graph: SmallWorld, queries: np.ndarray, limit: float, audits: int, recall: float) -> np.ndarray:
-    """links[query, node] of what is found, after as many wider beams as the audit asks for."""
-    audited = np.random.default_rng(1).permutation(len(queries))[:audits]
-    truth = queries[audited] @ graph.vectors.T >= limit
-    width = 16
+def planted(vectors: np.ndarray, limit: float, many: int) -> np.ndarray:
+    """Unit vectors at cosines between limit and 1 to some of the given ones."""
+    rng = np.random.default_rng(2)
+    chosen = vectors[rng.permutation(len(vectors))[:many]]
+    side = rng.normal(size=chosen.shape)
+    side -= (side * chosen).sum(1, keepdims=True) * chosen
+    size = np.linalg.norm(side, axis=1, keepdims=True)
+    side = np.divide(side, size, out=np.zeros_like(side), where=size > 1e-9)
+    cosine = rng.uniform(limit, 1, size=(len(chosen), 1))
+    moved = cosine * chosen + np.sqrt(1 - cosine**2) * side
+    return moved / np.linalg.norm(moved, axis=1, keepdims=True)
+
+
+@dataclass
+class Audit:
+    """Over the queries of a search that were compared with every vector: those with links, the links there are and those found."""
+
+    queries: int = 0
+    true: int = 0
+    found: int = 0
+    width: int = 0
+
+
+def rated(graph: SmallWorld, queries: np.ndarray, truth: np.ndarray, limit: float, width: int) -> tuple[float, int, int, int]:
+    """Mean recall of the queries that have links; their number, their links and those found."""
+    shares, true, found = [], 0, 0
+    for query, row in zip(queries, truth, strict=True):
+        if many := int(row.sum()):
+            hits = int(row[graph.above(query, limit, width)].sum())
+            shares.append(hits / many)
+            true, found = true + many, found + hits
+    return float(np.mean(shares)) if shares else 1.0, len(shares), true, found
+
+
+def search(graph: SmallWorld, queries: np.ndarray, limit: float, audits: int, recall: float) -> tuple[np.ndarray, Audit]:
+    """links[query, node] of what is found, after as many wider beams as the audits ask for, and the last audit."""
+    rng = np.random.default_rng(1)
+    samples = [queries[rng.permutation(len(queries))[:audits]], planted(graph.vectors, limit, audits)]
+    truths = [x @ graph.vectors.T >= limit for x in samples]
+    width, audit = 16, Audit()
     while True:
-        links = np.zeros((len(queries), len(graph.vectors)), dtype=bool)
-        for row in audited:
-            links[row, graph.above(queries[row], limit, width)] = True
-        if (links[audited] & truth).sum() >= recall * truth.sum() or width >= len(graph.vectors):
+        results = [rated(graph, x, truth, limit, width) for x, truth in zip(samples, truths, strict=True)]
+        if min(share for share, *_ in results) >= recall or width >= len(graph.vectors):
             break
         width *= 2
-    for row in np.setdiff1d(np.arange(len(queries)), audited):
-        links[row, graph.above(queries[row], limit, width)] = True
-    return links
+    audit = Audit(*(sum(r[k] for r in results) for k in (1, 2, 3)), width)
+    links = np.zeros((len(queries), len(graph.vectors)), dtype=bool)
+    for row, query in enumerate(queries):
+        links[row, graph.above(query, limit, width)] = True
+    return links, audit
 
 
 SHARD = "label int, dim int, shard int, graph binary"
-HITS = "node long, n long, other long"
+#: Counts of a node, links of the forest (n is 0), and audits (node is null: queries in n, links in other, found in more, width in beam).
+HITS = "node long, n long, other long, more long, beam int"
+
+
+def named_nodes(keyed: DataFrame, seeds: int = 4) -> tuple[DataFrame, DataFrame]:
+    """Rows with `node`, and the nodes; equal vectors of a label share a node and no others do."""
+    digest = F.md5(F.array_join(F.col("vector").cast("array<string>"), " "))
+    for seed in range(seeds):
+        rows = keyed.withColumn("node", F.when(F.col("good"), F.xxhash64("label", "vector", F.lit(seed))))
+        grouped = rows.where("node IS NOT NULL").withColumn("digest", digest).groupBy("label", "node")
+        nodes = cut(grouped.agg(F.first("vector").alias("vector"), F.count("*").alias("many"), F.min("vec_id").alias("first_id"), F.min("digest").alias("low"), F.max("digest").alias("high")))
+        shared = nodes.groupBy("node").agg(F.count("*").alias("labels"), F.max((F.col("low") != F.col("high")).cast("int")).alias("unequal")).where("labels > 1 OR unequal = 1")
+        if shared.isEmpty():
+            return rows.drop("good"), nodes.drop("low", "high").withColumn("dim", F.size("vector"))
+    raise RuntimeError("unequal vectors share a name under every seed")
 
 
 def near_duplicates(
     vectors: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", limit: float = 0.98,
-    shard_rows: int = 8192, beam: int = 48, audits: int = 64, recall: float = 0.999,
+    shard_rows: int = 4096, beam: int = 48, audits: int = 64, recall: float = 0.999,
 ) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row."""
+    return linked(vectors, id_col, vector_col, label_col, limit, shard_rows, beam, audits, recall)[0]
+
+
+def audit_report(
+    vectors: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", limit: float = 0.98,
+    shard_rows: int = 4096, beam: int = 48, audits: int = 64, recall: float = 0.999,
+) -> DataFrame:
+    """searches, queries audited that have links, their links, how many of these were found, and the widest beam, in one row."""
+    hits = linked(vectors, id_col, vector_col, label_col, limit, shard_rows, beam, audits, recall)[1].where("node IS NULL")
+    return hits.agg(F.count("*").alias("searches"), *[F.coalesce(F.sum(c), F.lit(0)).alias(n) for c, n in (("n", "queries"), ("other", "links"), ("more", "found"))], F.max("beam").alias("widest_beam"))
+
+
+def linked(vectors: DataFrame, id_col: str, vector_col: str, label_col: str, limit: float, shard_rows: int, beam: int, audits: int, recall: float) -> tuple[DataFrame, DataFrame]:
+    """The rows of near_duplicates and the table HITS behind them."""
     own = of(vectors, vec_id=id_col, vector=vector_col, label=label_col)
     own = own.withColumn("vector", F.col("vector").cast("array<double>")).withColumn("label", F.col("label").cast("int"))
     finite = F.forall("vector", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
     good = F.coalesce(F.col("label").isNotNull() & finite & F.exists("vector", lambda x: x != 0), F.lit(False))
-    keyed = own.withColumn("node", F.when(good, F.xxhash64("label", "vector")))
-    nodes = keyed.where("node IS NOT NULL").groupBy("label", "node").agg(F.first("vector").alias("vector"), F.count("*").alias("many"), F.min("vec_id").alias("first_id")).withColumn("dim", F.size("vector"))
-    nodes = cut(nodes)
+    keyed, nodes = named_nodes(own.withColumn("good", good))
     sizes = nodes.groupBy("label", "dim").agg(F.ceil(F.count("*") / shard_rows).alias("shards"))
     dealt = nodes.join(sizes, ["label", "dim"]).withColumn("shard", F.pmod(F.xxhash64(F.lit("shard"), "node"), F.col("shards")).cast("int"))
 
@@ -196,36 +264,42 @@ def near_duplicates(
     graphs = cut(dealt.select("label", "dim", "shard", "node", "many", "vector").groupBy("label", "dim", "shard").applyInArrow(built, SHARD))
 
     def searched(rows: pa.Table) -> pa.Table:
-        out: dict[str, list] = {"node": [], "n": [], "other": []}
+        out: dict[str, list] = {"node": [], "n": [], "other": [], "more": [], "beam": []}
+
+        def put(nodes: list, counts: list, others: list, more: list | None = None, beams: list | None = None) -> None:
+            for name, values in zip(out, (nodes, counts, others, more or [None] * len(nodes), beams or [None] * len(nodes)), strict=True):
+                out[name] += values
+
         for left, right, same in zip(*(rows.column(c).to_pylist() for c in ("left", "right", "same")), strict=True):
             graph, a, many_a = pickle.loads(left)
             other, b, many_b = (graph, a, many_a) if same else pickle.loads(right)
-            links = search(other, graph.vectors, limit, audits, recall)
-            links |= (links if same else search(graph, other.vectors, limit, audits, recall)).T
+            links, *seen = search(other, graph.vectors, limit, audits, recall)
             if same:
+                links |= links.T
                 np.fill_diagonal(links, False)
+            else:
+                back, more = search(graph, other.vectors, limit, audits, recall)
+                links |= back.T
+                seen.append(more)
             for ids, counts in ((a, links @ many_b),) if same else ((a, links @ many_b), (b, links.T @ many_a)):
                 hit = np.flatnonzero(counts)
-                out["node"] += ids[hit].tolist()
-                out["n"] += counts[hit].tolist()
-                out["other"] += [None] * len(hit)
+                put(ids[hit].tolist(), counts[hit].tolist(), [None] * len(hit))
             edges = forest(links, a, b)
-            out["node"] += [x for x, _ in edges]
-            out["n"] += [0] * len(edges)
-            out["other"] += [y for _, y in edges]
-        return pa.table({k: pa.array(v, pa.int64()) for k, v in out.items()})
+            put([x for x, _ in edges], [0] * len(edges), [y for _, y in edges])
+            put([None] * len(seen), [x.queries for x in seen], [x.true for x in seen], [x.found for x in seen], [x.width for x in seen])
+        return pa.table([pa.array(v, pa.int32() if k == "beam" else pa.int64()) for k, v in out.items()], names=list(out))
 
     left, right = (graphs.select("label", "dim", F.col("shard").alias(s), F.col("graph").alias(g)) for s, g in (("i", "left"), ("j", "right")))
     pairs = left.join(right, ["label", "dim"]).where("i <= j").withColumn("same", F.col("i") == F.col("j"))
     hits = cut(pairs.groupBy("label", "dim", "i", "j").applyInArrow(searched, HITS))  # one row, two graphs in a group
-    counts = hits.groupBy("node").agg(F.sum("n").alias("n"))
-    linked = components(hits.where("other IS NOT NULL").select(F.col("node").alias("a"), F.col("other").alias("b")))
-    known = nodes.select("node", "many", "first_id").join(counts, "node", "left").join(linked, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    counts = hits.where("node IS NOT NULL").groupBy("node").agg(F.sum("n").alias("n"))
+    groups = components(hits.where("node IS NOT NULL AND other IS NOT NULL").select(F.col("node").alias("a"), F.col("other").alias("b")))
+    known = nodes.select("node", "many", "first_id").join(counts, "node", "left").join(groups, "node", "left").withColumn("component", F.coalesce("component", "node"))
     first = known.groupBy("component").agg(F.min("first_id").alias("component_id"))
     placed = known.join(first, "component").select("node", (F.coalesce("n", F.lit(0)) + F.col("many") - 1).alias("n_links"), "component_id")
     result = keyed.select("vec_id", "node").join(placed, "node", "left")
     component = F.coalesce("component_id", "vec_id")
-    return result.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
+    return result.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.col("node").isNull()).alias("kept")), hits
 
 
 def op8_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -419,28 +419,58 @@ def test_plan_fills_each_slot_once():
 # 8
 
 
+def vectors_by_force(data, limit=0.98):
+    """(vec_id, n_links, component_id, kept) of every row, by all pairs."""
+    good = [i for i, (_, v, label, *_) in enumerate(data) if label is not None and v and all(x is not None and np.isfinite(x) for x in v) and any(v)]
+    root = {i: i for i in range(len(data))}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    many = collections.Counter()
+    for a in good:
+        for b in good:
+            if a < b and data[a][2] == data[b][2] and len(data[a][1]) == len(data[b][1]):
+                x, y = np.array(data[a][1]), np.array(data[b][1])
+                if x @ y / (np.linalg.norm(x) * np.linalg.norm(y)) >= limit:
+                    many[a] += 1
+                    many[b] += 1
+                    root[find(a)] = find(b)
+    least = {}
+    for i, row in enumerate(data):
+        least[find(i)] = min(least.get(find(i), row[0]), row[0])
+    return collections.Counter((row[0], many[i], least[find(i)], row[0] == least[find(i)]) for i, row in enumerate(data))
+
+
 def test_vectors_by_force(spark):
     rng = np.random.default_rng(3)
     base = rng.normal(size=(40, 16))
     data = []
-    for i in range(700):
+    for i in range(500):
         v = base[i % 40] + rng.normal(size=16) * rng.choice([0, 0.05, 0.12])
-        data.append((i, v.tolist(), int(i % 40 % 3)))
-    data += [(900, None, 1), (901, [0.0] * 16, 1), (902, [float("nan")] + [1.0] * 15, 1), (903, base[0].tolist(), None), (904, [None] + [1.0] * 15, 1), (905, [1.0, 0.0], 1), (906, [], 1), (3, data[3][1], data[3][2])]
-    found = embedding_dedup.near_duplicates(spark.createDataFrame(data, "vec_id long, embedding array<double>, label int"), shard_rows=120).toPandas()
-    good = [r for r in data if r[0] < 900]
-    x = np.array([r[1] for r in good])
-    x /= np.linalg.norm(x, axis=1, keepdims=True)
-    links = (x @ x.T >= 0.98) & (np.array([r[2] for r in good])[:, None] == np.array([r[2] for r in good])[None, :])
-    np.fill_diagonal(links, False)
-    expected = collections.Counter((r[0], int(n)) for r, n in zip(good, links.sum(1), strict=True)) + collections.Counter((i, 0) for i in range(900, 907))
-    got = collections.Counter(zip(found.vec_id.tolist(), found.n_links.tolist(), strict=True))
-    assert sum((expected & got).values()) >= 0.99 * len(data) and len(found) == len(data)
-    assert found[found.vec_id >= 900].kept.all()
+        data.append((i, v.tolist(), int(i % 40 % 3), "x", 7))
+    data += [(900, None, 1, "x", 7), (901, [0.0] * 16, 1, "x", 7), (902, [float("nan")] + [1.0] * 15, 1, "x", 7), (903, base[0].tolist(), None, "x", 7), (904, [None] + [1.0] * 15, 1, "x", 7), (905, [1.0, 0.0], 1, "x", 7), (906, [], 1, "x", 7), (3, data[3][1], data[3][2], "x", 7)]
+    table_ = spark.createDataFrame(data, "vec_id long, embedding array<double>, label int, node string, n_links int")
+    found = collections.Counter(tuple(r) for r in embedding_dedup.near_duplicates(table_, shard_rows=90, recall=1.0).select("vec_id", "n_links", "component_id", "kept").collect())
+    assert found == vectors_by_force(data)
+
+
+def test_rare_links_are_audited(spark):
+    """Eight links between two shards of hundreds of vectors: audits have links to find all the same, and report them."""
+    rng = np.random.default_rng(11)
+    v = rng.normal(size=(1200, 24))
+    v[1000:1008] = v[:8] + rng.normal(size=(8, 24)) * 0.02
+    table_ = spark.createDataFrame([(i, x.tolist(), 1) for i, x in enumerate(v)], "vec_id long, embedding array<double>, label int")
+    assert embedding_dedup.near_duplicates(table_, shard_rows=600).where("n_links > 0").count() == 16
+    report = embedding_dedup.audit_report(table_, shard_rows=600).first()
+    assert report["searches"] == 4 and report["links"] >= 4 * 64 and report["found"] >= 0.99 * report["links"]
 
 
 def test_no_vectors(spark):
-    assert embedding_dedup.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
+    nothing = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
+    assert embedding_dedup.near_duplicates(nothing).count() == 0 and embedding_dedup.audit_report(nothing).first()["searches"] == 0
 
 
 # 10
