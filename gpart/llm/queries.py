@@ -26,4 +26,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     """Where SQL can express a query; the others are tested against brute force, exact round trips or held-out accuracy."""
-    return {"op1_decontamination": decontamination.OP1_SQL, "op8_embedding_near_dedup": embedding_dedup.OP8_SQL, "op10_chat_formatting": chat_format.OP10_SQL}
+    return {"op1_decontamination": decontamination.OP1_SQL, "op3_ngram_jaccard_join": ngram_join.OP3_SQL, "op8_embedding_near_dedup": embedding_dedup.OP8_SQL, "op10_chat_formatting": chat_format.OP10_SQL}

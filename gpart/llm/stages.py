@@ -27,11 +27,10 @@ def civil(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near copies (five-word shingles, similarity of 0.8 or more): the one with the smallest id."""
+    """Keeps one document of each group of near copies (five-word shingles, similarity of 0.8 or more): the one with the smallest id.
+    Rows without words stay; rows that share an id, or have none, are told apart by their texts."""
     ship(spark)
-    groups = ngram_join.ngram_join(docs, n=5, percent=80).where("doc_id = component_id").select("doc_id").distinct()
-    # rows that share an id are one document's copies or are told apart by their texts' groups above; one row stays for an id
-    return docs.select(*COLUMNS).join(groups, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*COLUMNS)
+    return ngram_join.one_of_each(docs.select(*COLUMNS), n=5, percent=80)
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -248,9 +248,69 @@ def test_join_by_force(spark, odd, none):
                 root = [min(x, y) if r in (x, y) else r for r in root]
     found = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.ngram_join(docs).collect()}
     assert found == {i: (len(sets[i]), root[i]) for i in range(len(texts))}
+    one = sorted(r["doc_id"] for r in ngram_join.one_of_each(docs, n=4, percent=85).collect())
+    assert one == [i for i in range(len(texts)) if root[i] == i]
     assert ngram_join.ngram_join(odd).count() == odd.count() and ngram_join.ngram_join(none).count() == 0
 
 
+def near_texts(rng, many, words=60, edits=1):
+    base = [rng.choice("abcdefghijklmnopqrstuvwxyz") * 3 for _ in range(words)]
+    out = []
+    for _ in range(many):
+        own = list(base)
+        for _ in range(edits):
+            own[rng.randrange(words)] = f"w{rng.randrange(10**6)}"
+        out.append(" ".join(own))
+    return out
+
+
+def test_families_are_multiplied_in_blocks(spark):
+    """A large component with strangers, small blocks: the same components as by all pairs, however the products are dealt."""
+    rng = random.Random(12)
+    texts = near_texts(rng, 60, edits=1) + near_texts(rng, 25, edits=5)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    sets = [{tuple(t.split()[i : i + 4]) for i in range(57)} for t in texts]
+
+    def merged(root):
+        for a in range(len(texts)):
+            for b in range(a):
+                if 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
+                    x, y = root[a], root[b]
+                    root = [min(x, y) if r in (x, y) else r for r in root]
+        return root
+
+    assert dict(enumerate(merged(list(range(len(texts)))))) == {r["doc_id"]: r["component_id"] for r in ngram_join.ngram_join(docs).collect()}
+    join = ngram_join.Join(docs, 4, 85, 0)  # nothing is broadcast
+    first = {r["first_id"]: r["node"] for r in join.nodes.collect()}
+    families = spark.createDataFrame([(first[i], 1, first[0] if i < 30 else first[i]) for i in range(len(texts))], "node long, family long, component long")
+    found = {frozenset(r) for r in join.multiplied(families, block=10).collect()}
+    parent = {n: (first[0] if i < 30 else n) for i, n in first.items()}
+    for a, b in (tuple(x) for x in found):
+        x, y = parent[a], parent[b]
+        parent = {n: x if p == y else p for n, p in parent.items()}
+    reached = collections.defaultdict(set)
+    for i, n in first.items():
+        reached[parent[n]].add(i)
+    by_force = collections.defaultdict(set)
+    for i, r in enumerate(merged([0 if i < 30 else i for i in range(len(texts))])):
+        by_force[r].add(i)
+    assert sorted(map(sorted, reached.values())) == sorted(map(sorted, by_force.values()))
+
+
+def test_rows_without_or_with_shared_ids_keep_their_links(spark):
+    rng = random.Random(13)
+    a, b, c = (near_texts(rng, 1, words=80)[0].split() for _ in range(3))
+    tail = [f"t{i}" for i in range(40)]
+    middle, far = [*a[:76], "x", "y", "z", "q"], [*a[:72], "s", "t", "u", "v", "x", "y", "z", "q"]
+    rows_ = [(5, a), (None, middle), (9, far), (1, b), (1, c), (None, c + tail), (None, ["alone"] * 9), (None, None), (3, [])]
+    docs = spark.createDataFrame([(i, " ".join(w) if w is not None else None, "x", 1) for i, w in rows_], "doc_id long, text string, node string, h int")
+    found = collections.Counter((r["doc_id"], r["component_id"]) for r in ngram_join.ngram_join(docs, n=4, percent=80).collect())
+    assert found == collections.Counter([(5, 5), (None, 5), (9, 5), (1, 1), (1, 1), (None, None), (None, None), (None, None), (3, 3)])
+    kept = collections.Counter((r["doc_id"], r["text"], r["node"]) for r in ngram_join.one_of_each(docs, n=4, percent=80).collect())
+    text = lambda w: " ".join(w) if w is not None else None
+    assert kept == collections.Counter([(5, text(a), "x"), (1, text(b), "x"), (1, text(c), "x"), (None, text(c + tail), "x"), (None, text(["alone"] * 9), "x"), (None, None, "x"), (3, "", "x")])
+
+
 def test_components_of_chains_and_stars(spark):
     links = [(i, i + 1) for i in range(40)] + [(100, i) for i in range(101, 130)] + [(7, 7)]
     found = {r["node"]: r["component"] for r in components(spark.createDataFrame(links, "a long, b long")).collect()}
