@@ -89,18 +89,27 @@ def format_chats(rows: DataFrame, *, conv_col: str = "conv_id", turn_col: str =
     return with_loss_mask(chosen)
 
 
+#: Turns whose ranges are summed together; sums over a conversation copy what they have, so they go over runs of turns, not turns.
+RUN = 256
+
+
 def with_loss_mask(formatted: DataFrame) -> DataFrame:
-    """Adds loss_mask, from a parse of the formatted string: ends of turns are running sums of their lengths."""
-    parts = formatted.withColumn("parts", turn_strings(F.col("formatted")))
-    # pairs of (end so far, ranges so far); a range is added for each assistant turn
-    lengths = F.transform("parts", lambda s: F.struct(F.length(s).cast("long").alias("size"), s.startswith(MARKS["assistant"][0]).alias("own")))
-    start = F.struct(F.lit(3).cast("long").alias("end"), F.array().cast("array<struct<start:bigint,length:bigint>>").alias("ranges"))
+    """Adds loss_mask, from a parse of the formatted string: ends of turns are running sums of their lengths, within runs of turns and
+    over runs."""
     lead, tail = (len(x) for x in MARKS["assistant"])
+    sizes = F.transform(turn_strings(F.col("formatted")), lambda s: F.struct(F.length(s).cast("long").alias("size"), s.startswith(MARKS["assistant"][0]).alias("own")))
+    runs = formatted.withColumn("sizes", sizes).withColumn("runs", F.transform(F.sequence(F.lit(0), F.floor(F.greatest(F.size("sizes") - 1, F.lit(0)) / RUN).cast("int")), lambda i: F.slice("sizes", i * RUN + 1, RUN)))
+    lengths = F.transform("runs", lambda run: F.aggregate(run, F.lit(0).cast("long"), lambda acc, t: acc + t["size"]))
+    begin = F.struct(F.lit(3).cast("long").alias("end"), F.array().cast("array<bigint>").alias("starts"))
+    starts = F.aggregate(lengths, begin, lambda acc, n: F.struct((acc["end"] + n).alias("end"), F.concat(acc["starts"], F.array(acc["end"])).alias("starts")))["starts"]
     step = lambda acc, t: F.struct(
         (acc["end"] + t["size"]).alias("end"),
         F.when(t["own"], F.concat(acc["ranges"], F.array(F.struct((acc["end"] + lead).alias("start"), (t["size"] - lead - tail).alias("length"))))).otherwise(acc["ranges"]).alias("ranges"),
     )
-    return parts.select("conv_id", "formatted", "escaped", F.aggregate(lengths, start, step)["ranges"].alias("loss_mask"))
+    none = F.array().cast("array<struct<start:bigint,length:bigint>>")
+    ranges = lambda x: F.aggregate(x["run"], F.struct(x["start"].alias("end"), none.alias("ranges")), step)["ranges"]
+    begun = runs.withColumn("starts", starts).withColumn("runs", F.transform(F.arrays_zip("runs", "starts"), lambda x: F.struct(x["runs"].alias("run"), x["starts"].alias("start"))))
+    return begun.select("conv_id", "formatted", "escaped", F.flatten(F.transform("runs", ranges)).alias("loss_mask"))
 
 
 def read_back(chats: DataFrame) -> DataFrame:

@@ -6,8 +6,8 @@ longest suffix of the words so far that occurs in some item: once that is a wind
 holds the suffix of exactly one window tells which items have it. Runs of words that no item uses are passed over first.
 
 The automaton goes to the executors as a broadcast of at most `block_words` item words; more items are scanned in several
-blocks whose findings are merged per text. Null texts have no words. Repeated items count once by item_id (a null id is
-written `null`); repeated documents give repeated rows. Extra columns are ignored.
+blocks whose findings are merged per text. Null texts have no words. Repeated items count once by item_id (items without
+an id are one item, written as a NUL character); repeated documents give repeated rows. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -164,7 +164,7 @@ def blocks(items: DataFrame, window: int, block_words: int, id_col: str, text_co
         if held and size + len(words) > block_words:
             out.append(ItemAutomaton(held, window))
             held, size = [], 0
-        held.append(("null" if row["id"] is None else str(row["id"]), words))
+        held.append(("\0" if row["id"] is None else str(row["id"]), words))
         size += len(words)
     return [*out, ItemAutomaton(held, window)] if held or not out else out
 

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from gpart.llm.common import Memo, cut, of, scan, table
 
-PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt long"
+PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 PLAN = "length long, first long, until long, bin long, per_bin long, room_at long"
 
 
@@ -60,14 +60,12 @@ def pieces_of(docs: DataFrame, tokenizer: str, capacity: int, end_id: int, id_co
 
     def rows(batch: pa.RecordBatch) -> dict[str, list]:
         ids_of = encoder(path or public_tokenizers.path(tokenizer), memo).ids
-        out: dict[str, list] = {name: [] for name in ("doc_id", "piece", "start", "length", "ids_crc32", "salt")}
+        out: dict[str, list] = {name: [] for name in ("doc_id", "piece", "start", "length", "ids_crc32")}
         for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
             ids = (ids_of(text) if text else b"") + end
-            whole = zlib.crc32(ids)
             for piece, at in enumerate(range(0, len(ids), 4 * capacity)):
                 part = ids[at : at + 4 * capacity]
-                crc = zlib.crc32(part)
-                for name, value in (("doc_id", doc), ("piece", piece), ("start", at // 4), ("length", len(part) // 4), ("ids_crc32", crc), ("salt", zlib.crc32(f"{doc} {piece}".encode()) << 31 ^ whole)):
+                for name, value in (("doc_id", doc), ("piece", piece), ("start", at // 4), ("length", len(part) // 4), ("ids_crc32", zlib.crc32(part))):
                     out[name].append(value)
         return out
 
@@ -109,20 +107,22 @@ def plan_slots(histogram: dict[int, int], capacity: int) -> list[tuple[int, int,
     return plan
 
 
-def ranks(df: DataFrame, key: str, salt: str, histogram: dict[int, int], per_bucket: int = 20_000) -> DataFrame:
-    """df with `rank`, gapless from 0 within each key, from counts per (key, bucket); a bucket holds about per_bucket rows."""
+def ranks(df: DataFrame, key: str, salt: str, histogram: dict[int, int], per_bucket: int = 5_000) -> DataFrame:
+    """df with `rank`, gapless from 0 within each key, from counts per (key, bucket); a bucket holds about per_bucket rows. salt: different
+    for every row, so that equal rows are dealt like others."""
     spark = df.sparkSession
     sizes = spark.createDataFrame([(k, max(1, -(-n // per_bucket))) for k, n in histogram.items()] or [(0, 1)], f"{key} long, buckets long")
     dealt = df.join(F.broadcast(sizes), key).withColumn("bucket", F.pmod(F.xxhash64(salt), F.col("buckets")))
     counts = dealt.groupBy(key, "bucket").count()
     before = counts.select(key, "bucket", (F.sum("count").over(Window.partitionBy(key).orderBy("bucket")) - F.col("count")).alias("before"))
-    order = Window.partitionBy(key, "bucket").orderBy(salt, "doc_id", "piece")
+    order = Window.partitionBy(key, "bucket").orderBy(salt)
     return dealt.withColumn("within", F.row_number().over(order) - 1).join(before, [key, "bucket"]).withColumn("rank", F.col("before") + F.col("within")).drop("within", "before", "buckets", "bucket")
 
 
 def pack(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", tokenizer: str = "word_bpe_49k.json", capacity: int = 2048, end_id: int = 0, memo: int = 1_000_000) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece. memo: words a worker remembers, about 200 MB a million."""
-    found = cut(pieces_of(docs, tokenizer, capacity, end_id, id_col, text_col, memo))
+    # the row's number is fixed once it is written down
+    found = cut(pieces_of(docs, tokenizer, capacity, end_id, id_col, text_col, memo).withColumn("salt", F.monotonically_increasing_id()))
     histogram = {r[0]: r[1] for r in found.groupBy("length").count().collect()}  # at most `capacity` rows
     plan = found.sparkSession.createDataFrame(plan_slots(histogram, capacity) or [(0, 0, 0, 0, 1, 0)], PLAN)
     ranked = ranks(found, "length", "salt", histogram)

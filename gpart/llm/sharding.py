@@ -1,6 +1,6 @@
 """Sharding by sampled splitters, in DataFrame functions only: shards of nearly equal bytes.
 
-Records are ordered by (hash of text, hash of id, id), so equal texts stand together. A size-weighted sample of these keys gives
+Records are ordered by (hash of text, hash of id and row number), so equal texts stand together and equal rows can be told apart. A size-weighted sample of these keys gives
 quantile boundaries of many more ranges than shards; records are dealt to the ranges, overfull ranges are sampled again and
 subdivided, and exact sums per range (a bounded table) turn each record's place in its range into its exact place among all
 bytes. The shard is the share of all bytes in which the record's middle lies. Equal texts of up to `whole` of a shard's bytes
@@ -13,6 +13,8 @@ only how the work is dealt out, never a record's shard.
 from __future__ import annotations
 
 from bisect import bisect_right
+from collections import Counter
+from itertools import groupby
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -25,9 +27,9 @@ FINE_BITS = 12
 
 
 def sized(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """doc_id, size, text_crc32 and the order's hashes; the text is read once and left behind."""
+    """doc_id, size, text_crc32 and the order's first hash; the text is read once and left behind."""
     text = F.coalesce("text", F.lit(""))
-    return of(docs, doc_id=id_col, text=text_col).select("doc_id", (F.octet_length(text) + 16).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("h"), F.xxhash64("doc_id").alias("h2"))
+    return of(docs, doc_id=id_col, text=text_col).select("doc_id", (F.octet_length(text) + 16).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("h"))
 
 
 def sampled_keys(records: DataFrame, total: int, keys: int, seed: int) -> list[tuple[Key, float]]:
@@ -39,13 +41,14 @@ def sampled_keys(records: DataFrame, total: int, keys: int, seed: int) -> list[t
 
 
 def quantiles(sample: list[tuple[Key, float]], ranges: int) -> list[Key]:
-    """Boundaries of so many ranges of equal weight in the sample."""
+    """Boundaries of so many ranges of equal weight in the sample. A range starts with a text's first record, unless the text fills ranges."""
     total, run, out = sum(w for _, w in sample), 0.0, []
     for key, weight in sample:
         if run * ranges >= (len(out) + 1) * total and (not out or key > out[-1]):
             out.append(key)
         run += weight
-    return out
+    many = Counter(h for h, _ in out)
+    return [key if many[key[0]] > 1 else (key[0], LOW) for key in out]
 
 
 def deal(records: DataFrame, splitters: list[Key]) -> DataFrame:
@@ -78,7 +81,8 @@ def deal(records: DataFrame, splitters: list[Key]) -> DataFrame:
 def shard(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shards: int = 40, whole: float = 1 / 64, range_rows: int = 50_000, most_ranges: int = 16_384, oversample: int = 16) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard of every record. At most most_ranges * oversample keys are drawn."""
     spark = docs.sparkSession
-    records = cut(sized(docs, id_col, text_col))
+    # the row's number is fixed once it is written down
+    records = cut(sized(docs, id_col, text_col).withColumn("h2", F.xxhash64("doc_id", F.monotonically_increasing_id())))
     count, total = records.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     ranges = min(most_ranges, max(4 * shards, -(-count // range_rows)))
     splitters = quantiles(sampled_keys(records, total, ranges * oversample, 0), ranges)
@@ -99,9 +103,15 @@ def shard(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sh
 
     order = Window.partitionBy("range").orderBy("h", "h2", "doc_id")
     group = Window.partitionBy("range", "h")
+    # texts that go over several ranges are among those that splitters part: where they begin and their bytes over all ranges
+    parted = spark.createDataFrame([(h,) for h in sorted({h for h, h2 in splitters if h2 != LOW})], "h long")
+    parts = sorted((r["h"], r["range"], r["bytes"]) for r in dealt.join(F.broadcast(parted), "h").groupBy("h", "range").agg(F.sum("size").alias("bytes")).collect())  # about a row for each range
+    over_ranges = {h: [(k, size) for x, k, size in own] for h, own in groupby(parts, key=lambda x: x[0])}
+    starts = {k: at for k, _, at in before}
+    apart = spark.createDataFrame([(h, sum(size for _, size in own), starts[own[0][0]] + stats[own[0][0]][1] - own[0][1]) for h, own in over_ranges.items() if len(own) > 1], "h long, whole long, begin long")
     placed = dealt.join(F.broadcast(offsets), "range").withColumn("rank", F.col("n_before") + F.row_number().over(order) - 1)
     placed = placed.withColumn("end", F.col("bytes_before") + F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)))
-    placed = placed.withColumn("group_bytes", F.sum("size").over(group)).withColumn("group_start", F.min(F.col("end") - F.col("size")).over(group))
+    placed = placed.join(F.broadcast(apart), "h", "left").withColumn("group_bytes", F.coalesce("whole", F.sum("size").over(group))).withColumn("group_start", F.coalesce("begin", F.min(F.col("end") - F.col("size")).over(group)))
     small = F.col("group_bytes") <= int(total / shards * whole)
     twice_middle = F.when(small, 2 * F.col("group_start") + F.col("group_bytes")).otherwise(2 * F.col("end") - F.col("size"))
     number = F.least(F.lit(shards - 1), F.floor(twice_middle * shards / F.lit(2 * max(total, 1)))).cast("int")

@@ -333,6 +333,24 @@ def test_shards(spark, copies):
     assert sorted(zip(found.doc_id, found["size"], found.text_crc32, strict=True)) == sorted((i, len(t or "") + 16, zlib.crc32((t or "").encode())) for i, t in data)
 
 
+def test_equal_rows_are_dealt_like_others(spark):
+    """A third of all rows is one row: its copies fill shards evenly, and texts that are not large stay together."""
+    data = [(1, "the same row " * 30)] * 3000 + [(i, f"text {i // 4} " * 20) for i in range(10, 6010)]
+    found = sharding.shard(spark.createDataFrame(data, "doc_id long, text string"), range_rows=100).toPandas()
+    load = found.groupby("shard")["size"].sum()
+    assert load.max() - load.min() <= load.mean() / 16 and len(load) == 40
+    assert found[found.doc_id != 1].groupby("text_crc32")["shard"].nunique().max() == 1
+    packed = packing.pack(spark.createDataFrame(data[2990:3300] + data[:300], "doc_id long, text string"), capacity=64).collect()
+    packed_well(packed, dict(data), 64)
+
+
+def test_long_conversations_have_linear_masks(spark):
+    rows_ = spark.range(6000).selectExpr("1L AS conv_id", "id AS turn", "IF(id % 2 = 0, 'user', 'assistant') AS role", "concat('text ', id) AS text")
+    began = time.time()
+    found = chat_format.read_back(chat_format.format_chats(rows_)).first()
+    assert found["n_turns"] == 6000 and found["loss_chars"] == sum(len(f"text {i}") for i in range(1, 6000, 2)) and time.time() - began < 60
+
+
 def test_shards_of_little(odd, none):
     assert sharding.shard(odd).count() == odd.count() and sharding.shard(none).count() == 0
 
@@ -560,6 +578,24 @@ def test_no_chats(spark):
 # the pipeline
 
 
+def test_stages_of_odd_tables(spark, odd, none):
+    """Nulls, empty and repeated rows and columns with clashing names: each stage gives the columns of documents and defined rows."""
+    import corpus_pipeline
+
+    extra = lambda df: df.selectExpr("doc_id", "text", "'en' AS lang", "'web' AS source", "CAST(length(text) AS BIGINT) AS n_chars", "1 AS score", "node", "7 AS h", "7 AS chunk")
+    for docs in (extra(odd), extra(none)):
+        for name, stage in corpus_pipeline.STAGES:
+            after = stage(spark, docs, SF)
+            if name != "best_fit_packing":
+                assert after.columns == ["doc_id", "text", "lang", "source", "n_chars"], name
+            kept = after.count()
+            if name == "ngram_jaccard_join" and docs.count():
+                # words of ODD: copies of `a`, `a b c d` and `A b c d` leave one row each; rows without words stay
+                assert kept == docs.count() - 3
+            elif name == "toxicity":
+                assert kept == docs.count()
+
+
 @needs_tables
 def test_pipeline_stages(spark):
     import corpus_pipeline
