@@ -53,17 +53,29 @@ def degrees(graph: Graph) -> DataFrame:
     return prefix_sums(every, "id", "degree", "first_edge")
 
 
+#: Neighbours of a hub are ranked within ranges of so many ids.
+SPAN = 1 << 16
+
+
+def placed(graph: Graph, hub_degree: int) -> DataFrame:
+    """(src, dst, w, degree, first_edge, place): edges with their rank among their source's. A hub's edges are ranked in ranges of
+    ids, whose sizes give the ranks before them, so that no task has a whole hub."""
+    edges = graph.edges.join(degrees(graph).withColumnRenamed("id", "src"), "src")
+    edges = edges.withColumn("_span", F.when(F.col("degree") > hub_degree, F.floor(F.col("dst") / SPAN)).otherwise(0))
+    spans = edges.where(F.col("degree") > hub_degree).groupBy("src", "_span").agg(F.count("*").alias("_n"))
+    before = spans.select("src", "_span", (F.sum("_n").over(Window.partitionBy("src").orderBy("_span")) - F.col("_n")).alias("_before"))  # n / SPAN rows for a hub at most
+    ranked = edges.withColumn("place", F.row_number().over(Window.partitionBy("src", "_span").orderBy("dst")) - 1)
+    return ranked.join(before, ["src", "_span"], "left").withColumn("place", F.col("place") + F.coalesce("_before", F.lit(0))).drop("_span", "_before")
+
+
 def to_csr(graph: Graph, hub_degree: int = HUB_DEGREE, chunk: int = CHUNK) -> DataFrame:
     """(id, chunk, first_edge, degree, nbrs, wts): one row for each vertex, or for each chunk of a hub, so that no list grows with a
     hub's degree. Isolated vertices have one empty row."""
-    offsets = degrees(graph)
-    place = F.row_number().over(Window.partitionBy("src").orderBy("dst")) - 1
-    edges = graph.edges.withColumn("place", place).join(offsets.withColumnRenamed("id", "src"), "src")
-    chunks = edges.withColumn("chunk", F.when(F.col("degree") > hub_degree, F.floor(F.col("place") / chunk)).otherwise(0).cast("int"))
+    chunks = placed(graph, hub_degree).withColumn("chunk", F.when(F.col("degree") > hub_degree, F.floor(F.col("place") / chunk)).otherwise(0).cast("int"))
     rows = chunks.groupBy(F.col("src").alias("id"), "chunk").agg(F.min(F.col("first_edge") + F.col("place")).alias("first_edge"), F.sort_array(F.collect_list(F.struct("dst", "w"))).alias("e"))
     full = rows.select("id", "chunk", "first_edge", F.size("e").alias("degree"), F.col("e.dst").alias("nbrs"), F.col("e.w").alias("wts"))
     none = F.array().cast("array<bigint>")
-    empty = offsets.where("degree = 0").select("id", F.lit(0).alias("chunk"), "first_edge", F.lit(0).alias("degree"), none.alias("nbrs"), none.alias("wts"))
+    empty = degrees(graph).where("degree = 0").select("id", F.lit(0).alias("chunk"), "first_edge", F.lit(0).alias("degree"), none.alias("nbrs"), none.alias("wts"))
     return full.unionAll(empty)
 
 
@@ -152,36 +164,86 @@ def encode(ids: np.ndarray, first_edge: np.ndarray, sizes: np.ndarray, nbrs: np.
     return [raw[a:b] for a, b in zip(ends - bytes_of, ends, strict=True)]
 
 
-def decode(vertex: int, degree: int, payload: bytes, weighted: bool) -> tuple[int, list[int], list[int]]:
-    """first_edge, neighbours and weights in decoding order."""
-    numbers = varint_values(np.frombuffer(payload, dtype=np.uint8)).tolist()
-    take = iter(numbers)
-    head = next(take)
-    unzig = lambda v: v >> 1 if not v & 1 else -(v >> 1) - 1
-    nbrs: list[int] = []
-    wts: list[int] = []
-    before, weight = None, 0
-
-    def weigh(count: int) -> None:
-        nonlocal weight
-        for _ in range(count):
-            weight = weight + unzig(next(take)) if weighted else 1
-            wts.append(weight)
-
-    for _ in range(next(take) if head & 1 else 0):
-        start = vertex + unzig(next(take)) if before is None else before + 2 + next(take)
-        length = next(take) + 3
-        nbrs += range(start, start + length)
-        before = start + length - 1
-        weigh(length)
-    before = None
-    while len(nbrs) < degree:
-        before = vertex + unzig(next(take)) if before is None else before + 1 + next(take)
-        nbrs.append(before)
-        weigh(1)
+def unzig(x: np.ndarray) -> np.ndarray:
+    return np.where(x & 1, -(x >> 1) - 1, x >> 1)
+
+
+def within(sizes: np.ndarray) -> np.ndarray:
+    """0, 1, ... for each of the sizes, one after another."""
+    ends = np.cumsum(sizes)
+    return np.arange(int(ends[-1]) if len(ends) else 0) - np.repeat(ends - sizes, sizes)
+
+
+def sums_within(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Running sums that start anew with each group of the given sizes."""
+    run = np.cumsum(values)
+    ends = np.cumsum(sizes)
+    before = np.r_[0, run][ends - sizes] if len(sizes) else run[:0]
+    return run - np.repeat(before, sizes)
+
+
+def decode_rows(ids: np.ndarray, degrees: np.ndarray, payloads: list[bytes], weighted: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First edges of all rows, and neighbours and weights of their edges in decoding order, one row after another. All rows are
+    decoded at once: numbers are found by their places, and differences are undone by running sums."""
+    raw = np.frombuffer(b"".join(payloads), dtype=np.uint8)
+    numbers = varint_values(raw).astype(np.int64)
+    ends = np.cumsum([len(x) for x in payloads])
+    last = np.r_[0, np.cumsum(raw < 128)]
+    start = last[np.r_[0, ends[:-1]]] if len(payloads) else ends  # each row's first number
+    stop = last[ends] if len(payloads) else ends
+    head = numbers[start]
+    many = np.where(head & 1, numbers[np.minimum(start + 1, len(numbers) - 1)], 0)  # intervals
+    at = start + 1 + (head & 1)
+    owner = np.repeat(np.arange(len(ids)), many)
+    turn = within(many)
+    places, lengths = np.empty(len(owner), dtype=np.int64), np.empty(len(owner), dtype=np.int64)
+    first_of = np.cumsum(many) - many
+    if not weighted:
+        places = at[owner] + 2 * turn
+        lengths = numbers[places + 1] + 3
+        after = at + 2 * many
+    else:  # weights stand between intervals, so that each one's place follows from the length before it
+        after = at.copy()
+        for k in range(int(many.max(initial=0))):
+            rows = np.flatnonzero(many > k)
+            here = first_of[rows] + k
+            places[here] = after[rows]
+            lengths[here] = numbers[after[rows] + 1] + 3
+            after[rows] += 2 + lengths[here]
+    codes = numbers[places]
+    before = np.r_[0, lengths[:-1]]
+    starts = sums_within(np.where(turn == 0, ids[owner] + unzig(codes), codes + before + 1), many)
+    in_runs = np.bincount(owner, weights=lengths, minlength=len(ids)).astype(np.int64)
+    rest = degrees - in_runs
+    step = 2 if weighted else 1
+    rest_owner, rest_turn = np.repeat(np.arange(len(ids)), rest), within(rest)
+    rest_places = after[rest_owner] + step * rest_turn
+    codes = numbers[rest_places]
+    leftovers = sums_within(np.where(rest_turn == 0, ids[rest_owner] + unzig(codes), codes + 1), rest)
+    offset = np.cumsum(degrees) - degrees
+    nbrs = np.empty(int(degrees.sum()), dtype=np.int64)
+    wts = np.ones(len(nbrs), dtype=np.int64)
+    runs_before = sums_within(lengths, many) - lengths
+    run_slots = np.repeat(offset[owner] + runs_before, lengths) + within(lengths)
+    rest_slots = offset[rest_owner] + in_runs[rest_owner] + rest_turn
+    nbrs[run_slots] = np.repeat(starts, lengths) + within(lengths)
+    nbrs[rest_slots] = leftovers
+    if weighted:
+        changes = np.empty(len(nbrs), dtype=np.int64)
+        changes[run_slots] = numbers[np.repeat(places + 2, lengths) + within(lengths)]
+        changes[rest_slots] = numbers[rest_places + 1]
+        wts = sums_within(unzig(changes), degrees)
+    if not (after + step * rest == stop).all():
+        raise ValueError("payloads do not hold what their degrees say")
     return head >> 1, nbrs, wts
 
 
+def decode(vertex: int, degree: int, payload: bytes, weighted: bool) -> tuple[int, list[int], list[int]]:
+    """first_edge, neighbours and weights of one row in decoding order."""
+    first, nbrs, wts = decode_rows(np.array([vertex]), np.array([degree]), [payload], weighted)
+    return int(first[0]), nbrs.tolist(), wts.tolist()
+
+
 def compress(csr: DataFrame, intervals: bool = True, weighted: bool = False) -> DataFrame:
     """COMPRESSED rows of CSR rows; weighted=False drops the weights (they are all 1)."""
 
@@ -200,14 +262,10 @@ def decompress(coded: DataFrame, weighted: bool = False) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            src, dst, w, ids = [], [], [], []
-            for vertex, degree, payload in zip(*(b.column(c).to_pylist() for c in ("id", "degree", "payload")), strict=True):
-                first, nbrs, wts = decode(vertex, degree, payload, weighted)
-                src += [vertex] * degree
-                dst += nbrs
-                w += wts
-                ids += range(first, first + degree)
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (src, dst, w, ids)], names=["src", "dst", "w", "edge_id"])
+            ids, degrees = (b.column(c).to_numpy().astype(np.int64) for c in ("id", "degree"))
+            first, dst, w = decode_rows(ids, degrees, b.column("payload").to_pylist(), weighted)
+            edge_ids = np.repeat(first, degrees) + within(degrees)
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (np.repeat(ids, degrees), dst, w, edge_ids)], names=["src", "dst", "w", "edge_id"])
 
     return coded.select("id", "degree", "payload").mapInArrow(run, "src long, dst long, w long, edge_id long")
 
@@ -229,26 +287,35 @@ def plain_bytes(n: int, m: int, weighted: bool) -> int:
     return 8 * (n + 1) + 8 * 2 * m * (2 if weighted else 1)
 
 
+def code_bytes(graph: Graph, weighted: bool = False) -> DataFrame:
+    """(id, degree, gap_bytes, interval_bytes): bytes of each vertex's row, unchunked, with gaps alone and with intervals, by column
+    functions; edges move once, to their source."""
+    line = Window.partitionBy("src").orderBy("dst")
+    before = line.rowsBetween(Window.unboundedPreceding, -1)
+    e = graph.edges.withColumn("last", F.lag("dst").over(line)).withColumn("run", F.col("dst") - F.row_number().over(line))
+    e = e.withColumn("length", F.count("*").over(Window.partitionBy("src", "run"))).withColumn("long", F.col("length") >= 3)
+    e = e.withColumn("head", F.col("long") & (F.col("last").isNull() | (F.col("dst") > F.col("last") + 1)))
+    e = e.withColumn("last_long", F.last(F.when(F.col("long"), F.col("dst")), ignorenulls=True).over(before)).withColumn("last_left", F.last(F.when(~F.col("long"), F.col("dst")), ignorenulls=True).over(before))
+    first = zigzag(F.col("dst") - F.col("src"))
+    size = lambda gap: varint_len(F.coalesce(gap, first))
+    runs = F.when(F.col("head"), size(F.col("dst") - F.col("last_long") - 2) + varint_len(F.col("length") - 3)).when(~F.col("long"), size(F.col("dst") - F.col("last_left") - 1)).otherwise(0)
+    sums = [F.sum(size(F.col("dst") - F.col("last") - 1)).alias("gaps"), F.sum(runs).alias("runs"), F.sum(F.col("head").cast("int")).alias("many")]
+    if weighted:
+        by_order = F.lag("w", 1, 0).over(Window.partitionBy("src").orderBy(F.desc("long"), "dst"))
+        e = e.withColumn("gap_change", varint_len(zigzag(F.col("w") - F.lag("w", 1, 0).over(line)))).withColumn("run_change", varint_len(zigzag(F.col("w") - by_order)))
+        sums += [F.sum("gap_change").alias("gap_weights"), F.sum("run_change").alias("run_weights")]
+    found = degrees(graph).join(e.groupBy(F.col("src").alias("id")).agg(*sums), "id", "left").na.fill(0)
+    flag = (F.col("many") > 0).cast("int")
+    intervals_ = varint_len(2 * F.col("first_edge") + flag) + F.when(flag == 1, varint_len(F.col("many"))).otherwise(0) + F.col("runs")
+    gaps_ = varint_len(2 * F.col("first_edge")) + F.col("gaps")
+    if weighted:
+        intervals_, gaps_ = intervals_ + F.col("run_weights"), gaps_ + F.col("gap_weights")
+    return found.select("id", "degree", gaps_.cast("long").alias("gap_bytes"), intervals_.cast("long").alias("interval_bytes"))
+
+
 def coded_sizes(graph: Graph, intervals_too: bool = True, weighted: bool = False) -> DataFrame:
     """(id, n_bytes) by column functions alone, unchunked: what the payloads will need, before any is made."""
-    e = graph.edges.withColumn("run", F.col("dst") - F.row_number().over(Window.partitionBy("src").orderBy("dst")))
-    length = F.count("*").over(Window.partitionBy("src", "run"))
-    e = e.withColumn("long", (length >= 3) & F.lit(intervals_too)).withColumn("length", length)
-    heads = e.where("long").groupBy("src", "run").agg(F.min("dst").alias("start"), F.count("*").alias("length"))
-    end_before = F.lag(F.col("start") + F.col("length") - 1).over(Window.partitionBy("src").orderBy("start"))
-    heads = heads.select("src", (varint_len(F.coalesce(F.col("start") - end_before - 2, zigzag(F.col("start") - F.col("src")))) + varint_len(F.col("length") - 3)).alias("bytes"))
-    runs = heads.groupBy("src").agg(F.sum("bytes").alias("run_bytes"), F.count("*").alias("runs"))
-    before = F.lag("dst").over(Window.partitionBy("src").orderBy("dst"))
-    rest = e.where("NOT long").select("src", varint_len(F.coalesce(F.col("dst") - before - 1, zigzag(F.col("dst") - F.col("src")))).alias("bytes")).groupBy("src").agg(F.sum("bytes").alias("rest_bytes"))
-    found = degrees(graph).join(runs.withColumnRenamed("src", "id"), "id", "left").join(rest.withColumnRenamed("src", "id"), "id", "left")
-    flag = F.col("runs").isNotNull().cast("int")
-    size = varint_len(2 * F.col("first_edge") + flag) + F.when(flag == 1, varint_len(F.col("runs"))).otherwise(0) + F.coalesce("run_bytes", F.lit(0)) + F.coalesce("rest_bytes", F.lit(0))
-    if weighted:
-        last = F.lag("w", 1, 0).over(Window.partitionBy("src").orderBy(F.desc("long"), "dst"))
-        weights = e.select("src", varint_len(zigzag(F.col("w") - last)).alias("bytes")).groupBy(F.col("src").alias("id")).agg(F.sum("bytes").alias("weight_bytes"))
-        found = found.join(weights, "id", "left")
-        size = size + F.coalesce("weight_bytes", F.lit(0))
-    return found.select("id", size.cast("long").alias("n_bytes"))
+    return code_bytes(graph, weighted).select("id", F.col("interval_bytes" if intervals_too else "gap_bytes").alias("n_bytes"))
 
 
 def plan_packets(offsets: DataFrame, edges_per_packet: int) -> DataFrame:
@@ -283,10 +350,8 @@ def compress_two_pass(graph: Graph, intervals: bool = True, weighted: bool = Fal
 
 def compression_report(graph: Graph, weighted: bool = False) -> DataFrame:
     """n, m, plain and coded bytes (gaps alone, gaps and intervals), ratios, and coded bytes for each undirected edge."""
-    sums = [coded_sizes(graph, runs, weighted).agg(F.sum("n_bytes").alias(name)) for runs, name in ((False, "gap_bytes"), (True, "interval_bytes"))]
-    edges = graph.edges.agg((F.count("*") / 2).cast("long").alias("m"))
-    n = graph.vertices.agg(F.count("*").alias("n"))
-    row = n.crossJoin(edges).crossJoin(sums[0]).crossJoin(sums[1])  # one row each
+    sums = [F.coalesce(F.sum(c), F.lit(0)).cast("long").alias(c) for c in ("gap_bytes", "interval_bytes")]
+    row = code_bytes(graph, weighted).agg(F.count("*").alias("n"), F.coalesce(F.sum("degree") / 2, F.lit(0)).cast("long").alias("m"), *sums)
     plain = 8 * (F.col("n") + 1) + 16 * F.col("m") * (2 if weighted else 1)
     return row.withColumn("plain_bytes", plain).select("n", "m", "plain_bytes", "gap_bytes", "interval_bytes", F.round(F.col("plain_bytes") / F.col("gap_bytes"), 6).alias("gap_ratio"), F.round(F.col("plain_bytes") / F.col("interval_bytes"), 6).alias("interval_ratio"), F.round(F.col("interval_bytes") / F.col("m"), 6).alias("bytes_per_edge"))
 

@@ -150,10 +150,10 @@ def _(s, d):
     return codec.degree_of(codec.compress(codec.to_csr(g)), g.edges.count())
 
 
-@register("codec_neighbors_of_hubs", sql.full("cust_supp", "SELECT src, dst FROM edges WHERE src IN (SELECT id FROM deg WHERE degree > 40)", sql.DEGREES))
+@register("codec_neighbors_of_hubs", sql.full("cust_supp", "SELECT src, dst FROM edges JOIN (SELECT src AS hub, count(*) AS degree FROM edges GROUP BY 1) ON hub = src WHERE degree > 60"))
 def _(s, d):
     g = built(s, d, "cust_supp")
-    return codec.neighbors(codec.compress(codec.to_csr(g)), codec.degrees(g).where("degree > 40")).select("src", "dst")
+    return codec.neighbors(codec.compress(codec.to_csr(g)), codec.degrees(g).where("degree > 60")).select("src", "dst")
 
 
 @register("packet_offsets_cust_supp", sql.full("cust_supp", "SELECT CAST(row_number() OVER (ORDER BY p) - 1 AS INT) AS packet, lo_id, hi_id, n_edges, n_bytes, CAST(coalesce(sum(n_bytes) OVER (ORDER BY p ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS byte_offset FROM (SELECT first_edge // 4096 AS p, min(id) AS lo_id, max(id) AS hi_id, CAST(sum(degree) AS BIGINT) AS n_edges, CAST(sum(n_bytes) AS BIGINT) AS n_bytes FROM sizes GROUP BY 1)", *sql.coded()))
