@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 MODULUS = 2_147_483_647
@@ -47,3 +47,36 @@ def next_power_of_two(x: Column) -> Column:
     for n in range(0, 40):
         out = F.when(x > F.lit(1 << n), F.lit(1 << (n + 1)).cast("long")).otherwise(out)
     return out
+
+
+def running_sum(rows: DataFrame, by: list[str], order: str, value: Column, name: str, width: int = 65_536) -> DataFrame:
+    """rows with the sum of value over the rows of the same `by` up to and including each, in the order of a dense number: sums of
+    ranges of the order give what comes before a range, so that no window has more than `width` rows of a group."""
+    ranged = rows.withColumn("_range", F.floor(F.col(order) / width)).withColumn("_value", value)
+    sums = ranged.groupBy(*by, "_range").agg(F.sum("_value").alias("_sum"))
+    # a row for each range of a group
+    before = sums.select(*by, "_range", (F.sum("_sum").over(Window.partitionBy(*by).orderBy("_range")) - F.col("_sum")).alias("_before"))
+    within = Window.partitionBy(*by, "_range").orderBy(order).rowsBetween(Window.unboundedPreceding, 0)
+    return ranged.withColumn(name, F.sum("_value").over(within)).join(before, [*by, "_range"]).withColumn(name, F.col(name) + F.col("_before")).drop("_range", "_value", "_before")
+
+
+#: Parts into which the movers of one target are dealt before they are ordered.
+ADMISSION_PARTS = 64
+
+
+def admitted_within(moves: DataFrame, target: str, order: list, weight: str, room: Column, inclusive: bool = True, seed: int = 0) -> DataFrame:
+    """Of the moves into (or out of) each target, in the order given, those whose running weight is within the room (inclusive), or
+    begins below it (not inclusive).
+
+    A target's moves are first cut short in parts by the id's hash: what a part's own running weight puts beyond the room is beyond
+    it in the whole order too, and what stays up to and including the first beyond it in each part is enough to put all that
+    follow beyond it. So one window per target sees at most ADMISSION_PARTS times its room, however many wish to move.
+    """
+    part = scramble("id", seed + 77) % ADMISSION_PARTS
+    short = Window.partitionBy(target, "_part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.partitionBy(target).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    gone = lambda line: F.coalesce(F.sum(weight).over(line), F.lit(0))
+    fits = (lambda run: run <= F.col("_room")) if inclusive else (lambda run: run < F.col("_room"))
+    first = moves.withColumn("_room", room).withColumn("_part", part).withColumn("_gone", gone(short)).where(fits(F.col("_gone")))
+    ran = first.withColumn("_gone", gone(whole))
+    return ran.where(fits(F.col("_gone") + F.col(weight)) if inclusive else fits(F.col("_gone"))).drop("_room", "_part", "_gone")

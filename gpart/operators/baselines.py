@@ -57,7 +57,7 @@ def matching_multilevel(graph: Graph, k: int, cfg: MultilevelConfig | None = Non
     total = levels[0].graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
     cap, relaxed = block_cap(total, k, cfg.eps)
     loose = cap if enforce_balance else int(1.3 * cap) + 1
-    while levels[-1].m > cfg.task_edges and levels[-1].n > cfg.contraction_limit * k:
+    while levels[-1].n > cfg.contraction_limit * k:
         current = levels[-1]
         mates = cut(current.graph.vertices.select("id", F.col("id").alias("cluster")))
         for r in range(rounds):

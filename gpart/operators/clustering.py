@@ -11,10 +11,10 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
-from gpart.functions.columns import MODULUS, scramble
+from gpart.functions.columns import MODULUS, admitted_within, scramble
 from gpart.session import cut
 from gpart.sources.graphs import Graph
 
@@ -48,6 +48,11 @@ def batch(vertices: DataFrame, seed: int, part: int, parts: int) -> DataFrame:
     return vertices.where(scramble("id", seed) % parts == part)
 
 
+def in_batch(seed: int, part: int, parts: int):
+    """The same as a condition on a column of ids."""
+    return lambda ids: scramble(ids, seed) % parts == part
+
+
 def order_key(rating, cluster, own, seed: int):
     """What a vertex maximises."""
     return F.struct(rating.alias("rating"), (cluster == own).cast("int").alias("own"), (-scramble(cluster, seed)).alias("tie"), (-cluster).alias("last"))
@@ -73,9 +78,8 @@ def within_room(rated: DataFrame, vertices: DataFrame, labels: DataFrame, cap: i
 
 def admitted(moves: DataFrame, weights: DataFrame, cap: int, seed: int) -> DataFrame:
     """Of the wished moves (id, best, rating, w), those that fit: best first into each cluster, while the running weight is within its room."""
-    line = Window.partitionBy("best").orderBy(F.desc("rating"), scramble("id", seed), "id").rowsBetween(Window.unboundedPreceding, 0)
     room = moves.join(weights.select(F.col("cluster").alias("best"), "weight"), "best", "left").withColumn("weight", F.coalesce("weight", F.lit(0)))
-    return room.withColumn("run", F.sum("w").over(line)).where(F.col("run") + F.col("weight") <= cap).select("id", "best")
+    return admitted_within(room, "best", [F.desc("rating"), scramble("id", seed), F.col("id")], "w", F.lit(cap) - F.col("weight"), seed=seed).select("id", "best")
 
 
 def apply_moves(labels: DataFrame, moves: DataFrame) -> DataFrame:
@@ -84,18 +88,22 @@ def apply_moves(labels: DataFrame, moves: DataFrame) -> DataFrame:
 
 @dataclass
 class RoundStats:
-    """Work of the rounds so far."""
+    """Work of each round so far: vertices that moved, vertices that were bumped, and entries of the bumped ones' tables."""
 
     moved: list[int] = field(default_factory=list)
     bumped: list[int] = field(default_factory=list)
     entries: list[int] = field(default_factory=list)
 
 
+def active_edges(graph: Graph, seed: int, part: int, parts: int) -> DataFrame:
+    """The edges of a sub-batch's vertices."""
+    return graph.edges_of(in_batch(seed, part, parts)) if parts > 1 else graph.edges
+
+
 def lp_round_single(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None) -> DataFrame:
     """One synchronous sub-batch, all vertices treated alike: labels afterwards."""
     own = batch(graph.vertices, seed, part, parts).join(labels, "id")
-    active = graph.edges.join(own.select(F.col("id").alias("src")), "src", "left_semi") if parts > 1 else graph.edges
-    return finish_round(graph, labels, ratings(active, labels), own, seed, cap)
+    return finish_round(graph, labels, ratings(active_edges(graph, seed, part, parts), labels), own, seed, cap)
 
 
 def finish_round(graph: Graph, labels: DataFrame, rated: DataFrame, own: DataFrame, seed: int, cap: int | None) -> DataFrame:
@@ -111,38 +119,13 @@ LIGHT = "id long, cluster long, rating long"
 
 
 def light_ratings(near: DataFrame, t_bump: int, rating_map: str = "hash") -> DataFrame:
-    """Phase one: neighbourhoods stream by, each with a table of fewer than t_bump clusters; a vertex that reaches t_bump is
-    given up at once and comes out with a null cluster. near: (src, dst, cluster, w) of whole neighbourhoods."""
+    """Phase one: whole neighbourhoods of fewer than t_bump edges, each summed where its vertex is. near: (src, dst, cluster, w).
 
-    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, sums, heavy = None, {}, False
-        ids, clusters, values = [], [], []
-
-        def close() -> None:
-            if heavy:
-                ids.append(at), clusters.append(None), values.append(None)
-            else:
-                ids.extend([at] * len(sums)), clusters.extend(sums), values.extend(sums.values())
-
-        def flushed() -> pa.RecordBatch:
-            out = pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(clusters, pa.int64()), pa.array(values, pa.int64())], names=["id", "cluster", "rating"])
-            ids.clear(), clusters.clear(), values.clear()
-            return out
-
-        for rows in batches:
-            for src, cluster, w in zip(*(rows.column(c).to_pylist() for c in ("src", "cluster", "w")), strict=True):
-                if src != at:
-                    if at is not None:
-                        close()
-                    at, sums, heavy = src, {}, False
-                if not heavy:
-                    sums[cluster] = sums.get(cluster, 0) + w
-                    if len(sums) >= t_bump:
-                        sums, heavy = {}, True
-            yield flushed()
-        if at is not None:
-            close()
-            yield flushed()
+    hash: the JVM's hash aggregate, after one exchange by the vertex; sums over (vertex, cluster) need no other. sparse: one scratch
+    array over a batch's clusters and the list of its non-zero places."""
+    whole = near.select("src", "cluster", "w").repartition("src")
+    if rating_map == "hash":
+        return whole.groupBy(F.col("src").alias("id"), "cluster").agg(F.sum("w").alias("rating"))
 
     def sparse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """The same with one scratch array over the batch's clusters and a list of its non-zero places."""
@@ -179,28 +162,32 @@ def light_ratings(near: DataFrame, t_bump: int, rating_map: str = "hash") -> Dat
                 scratch[used] = 0
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(clusters, pa.int64()), pa.array(values, pa.int64())], names=["id", "cluster", "rating"])
 
-    whole = near.select("src", "cluster", "w").repartition("src").sortWithinPartitions("src")
-    return whole.mapInArrow(sparse if rating_map == "sparse" else hashed, LIGHT)
+    return whole.sortWithinPartitions("src").mapInArrow(sparse, LIGHT)
 
 
-def two_phase_ratings(active: DataFrame, labels: DataFrame, t_bump: int, salts: int = 16, rating_map: str = "hash") -> tuple[DataFrame, DataFrame]:
-    """(ratings, bumped ids). A vertex of fewer than t_bump edges cannot be bumped and is rated whole, in one task; the edges of the
-    others are summed from many tasks, first by (vertex, salt, cluster), so that no vertex's edges meet in one place unsummed."""
-    degree = active.groupBy("src").agg(F.count("*").alias("degree"))
-    may = degree.where(F.col("degree") >= t_bump).select("src")  # at most 2m / t_bump vertices
+def may_be_heavy(graph: Graph, t_bump: int) -> DataFrame:
+    """(src) of the vertices of t_bump edges or more, at most 2m / t_bump; others cannot be bumped, whatever the labels."""
+    return graph.edges.groupBy("src").agg(F.count("*").alias("degree")).where(F.col("degree") >= t_bump).select("src")
+
+
+def two_phase_ratings(active: DataFrame, labels: DataFrame, t_bump: int, salts: int = 16, rating_map: str = "hash", may: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """(ratings, bumped (id, nc)). A vertex of fewer than t_bump edges cannot be bumped and is rated whole, in one task; the edges of
+    the others are summed from many tasks, first by (vertex, salt, cluster), so that no vertex's edges meet in one place unsummed.
+    may: the vertices that could be bumped, where they are known already (they are the same in each round)."""
+    if may is None:
+        may = active.groupBy("src").agg(F.count("*").alias("degree")).where(F.col("degree") >= t_bump).select("src")
     near = rated_edges(active, labels)
     light = light_ratings(near.join(may, "src", "left_anti"), t_bump, rating_map)
-    salted = near.join(may, "src").groupBy("src", (scramble("dst", 5) % salts).alias("salt"), "cluster").agg(F.sum("w").alias("w"))
+    salted = near.join(may, "src", "left_semi").groupBy("src", (scramble("dst", 5) % salts).alias("salt"), "cluster").agg(F.sum("w").alias("w"))
     heavy = salted.groupBy(F.col("src").alias("id"), "cluster").agg(F.sum("w").alias("rating"))
-    bumped = heavy.groupBy("id").agg(F.count("*").alias("nc")).where(F.col("nc") >= t_bump).select("id")
+    bumped = heavy.groupBy("id").agg(F.count("*").alias("nc")).where(F.col("nc") >= t_bump)
     return light.unionByName(heavy), bumped
 
 
-def lp_round_two_phase(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None, t_bump: int = T_BUMP, salts: int = 16, rating_map: str = "hash") -> DataFrame:
+def lp_round_two_phase(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None, t_bump: int = T_BUMP, salts: int = 16, rating_map: str = "hash", may: DataFrame | None = None) -> DataFrame:
     """As lp_round_single, with the same result, in two phases."""
     own = batch(graph.vertices, seed, part, parts).join(labels, "id")
-    active = graph.edges.join(own.select(F.col("id").alias("src")), "src", "left_semi") if parts > 1 else graph.edges
-    rated, _ = two_phase_ratings(active, labels, t_bump, salts, rating_map)
+    rated, _ = two_phase_ratings(active_edges(graph, seed, part, parts), labels, t_bump, salts, rating_map, may)
     return finish_round(graph, labels, rated, own, seed, cap)
 
 
@@ -213,23 +200,43 @@ def flush_stats(edges: DataFrame, labels: DataFrame, t_bump: int, salts: int = 1
     return sums.withColumn("updates_saved", F.col("edges") - F.col("updates"))
 
 
-def label_propagation(graph: Graph, rounds: int = ROUNDS, seed: int = 1, parts: int = 2, cap: int | None = None, two_phase: bool = False, t_bump: int = T_BUMP, labels: DataFrame | None = None, stats: RoundStats | None = None) -> DataFrame:
-    """Labels after some rounds. Each sub-batch's labels are written before the next reads them."""
+def label_propagation(graph: Graph, rounds: int = ROUNDS, seed: int = 1, parts: int = 2, cap: int | None = None, two_phase: bool = False, t_bump: int = T_BUMP, labels: DataFrame | None = None, stats: RoundStats | None = None, count_bumped: bool = False) -> DataFrame:
+    """Labels after some rounds. Each sub-batch's labels are written before the next reads them; what moved is counted as it is
+    written. In two phases, the vertices that may be heavy are found once; if there are none, no round has a second phase."""
     labels = cut(singletons(graph.vertices) if labels is None else labels)
+    may = cut(may_be_heavy(graph, t_bump)) if two_phase else None
+    heavy = may is not None and not may.isEmpty()
     for r in range(rounds):
-        moved = 0
+        moved = bumped = entries = 0
         for part in range(parts):
-            step = lp_round_two_phase(graph, labels, seed + r, part, parts, cap, t_bump) if two_phase else lp_round_single(graph, labels, seed + r, part, parts, cap)
-            after = cut(step.withColumnRenamed("cluster", "now").join(labels, "id").select("id", F.col("now").alias("cluster"), (F.col("now") != F.col("cluster")).alias("moved")))
-            moved += after.where("moved").count()
-            labels = after.select("id", "cluster")
+            if heavy and stats is not None and count_bumped:
+                found = two_phase_ratings(active_edges(graph, seed + r, part, parts), labels, t_bump, may=may)[1].agg(F.count("*"), F.coalesce(F.sum("nc"), F.lit(0))).first()
+                bumped, entries = bumped + found[0], entries + found[1]
+            if heavy:
+                step = lp_round_two_phase(graph, labels, seed + r, part, parts, cap, t_bump, may=may)
+            elif two_phase:
+                step = lp_round_light(graph, labels, seed + r, part, parts, cap, t_bump)
+            else:
+                step = lp_round_single(graph, labels, seed + r, part, parts, cap)
+            seen = Observation()
+            both = step.withColumnRenamed("cluster", "now").join(labels, "id").observe(seen, F.coalesce(F.sum((F.col("now") != F.col("cluster")).cast("long")), F.lit(0)).alias("moved"))
+            labels = cut(both.select("id", F.col("now").alias("cluster")))
+            moved += seen.get["moved"]
         if stats is not None:
             stats.moved.append(moved)
+            stats.bumped.append(bumped)
+            stats.entries.append(entries)
         if not moved:
             break
     return labels
 
 
+def lp_round_light(graph: Graph, labels: DataFrame, seed: int, part: int, parts: int, cap: int | None, t_bump: int) -> DataFrame:
+    """The first phase alone, where no vertex has t_bump edges."""
+    own = batch(graph.vertices, seed, part, parts).join(labels, "id")
+    return finish_round(graph, labels, light_ratings(rated_edges(active_edges(graph, seed, part, parts), labels), t_bump), own, seed, cap)
+
+
 def favourites(graph: Graph, labels: DataFrame, seed: int = 1) -> DataFrame:
     """(id, favourite): the best-rated cluster other than the vertex's own, whether there is room or not."""
     own = graph.vertices.join(labels, "id")

@@ -65,12 +65,12 @@ def contract_twice(graph: Graph, labels: DataFrame) -> tuple[Graph, DataFrame, D
 
 def two_phase_edges(edges: DataFrame, labels: DataFrame, t_bump: int, salts: int = 16) -> DataFrame:
     """coarse_edges in two phases: clusters with few inter-cluster edges are summed whole, those that may have t_bump coarse
-    neighbours are summed by (cluster, salt, neighbour) first."""
+    neighbours are summed by (cluster, neighbour, salt) first. Their edges are counted before, by vertex, not by pair."""
+    sizes = edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("n")).join(labels, "id").groupBy(F.col("cluster").alias("a")).agg(F.sum("n").alias("n"))
+    heavy = sizes.where(F.col("n") >= t_bump).select("a", F.lit(salts).alias("salts"))  # at most 2m / t_bump clusters
     far = edges.join(labels.select(F.col("id").alias("src"), F.col("cluster").alias("a")), "src").join(labels.select(F.col("id").alias("dst"), F.col("cluster").alias("b")), "dst").where("a <> b").select("a", "b", "w", "src")
-    heavy = far.groupBy("a").agg(F.count("*").alias("n")).where(F.col("n") >= t_bump).select("a")
-    light = far.join(heavy, "a", "left_anti").groupBy("a", "b").agg(F.sum("w").alias("w"))
-    salted = far.join(heavy, "a").groupBy("a", "b", (scramble("src", 5) % salts).alias("salt")).agg(F.sum("w").alias("w"))
-    return light.unionByName(salted.groupBy("a", "b").agg(F.sum("w").alias("w")))
+    salted = far.join(heavy, "a", "left").groupBy("a", "b", (scramble("src", 5) % F.coalesce("salts", F.lit(1))).alias("salt")).agg(F.sum("w").alias("w"))
+    return salted.groupBy("a", "b").agg(F.sum("w").alias("w"))
 
 
 def reserve(sizes: DataFrame) -> DataFrame:
@@ -85,12 +85,13 @@ def contract_one_pass(graph: Graph, labels: DataFrame, t_bump: int | None = None
 
     Returns rows (id, cluster, w, degree, first_edge), parents (id, coarse), and the coarse graph. A task numbers its finished
     neighbourhoods and edges from 0; its counts, one row, reserve its ranges of ids and of the edge array; ends are renamed last.
+    Tasks have ranges of clusters, so ids are ranks, as in the other forms.
     """
     spark = graph.vertices.sparkSession
     edges = cut(coarse_edges(graph.edges, labels) if t_bump is None else two_phase_edges(graph.edges, labels, t_bump))
     degrees = edges.groupBy(F.col("a").alias("cluster")).agg(F.count("*").alias("degree"))
     found = coarse_vertices(graph.vertices, labels).join(degrees, "cluster", "left").withColumn("degree", F.coalesce("degree", F.lit(0)))
-    placed = found.repartition("cluster").sortWithinPartitions("cluster")
+    placed = found.repartitionByRange("cluster").sortWithinPartitions("cluster")
     placed = cut(placed.withColumn("part", F.spark_partition_id()).withColumn("at", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)))
     sizes = [(r["part"], 0, r["n"], r["e"]) for r in placed.groupBy("part").agg(F.count("*").alias("n"), F.sum("degree").alias("e")).collect()]
     starts = reserve(spark.createDataFrame(sizes or [(0, 0, 0, 0)], "part int, buffer int, vertices long, edges long")).select("part", "s", "d")

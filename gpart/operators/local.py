@@ -11,6 +11,8 @@ from collections.abc import Sequence
 from dataclasses import dataclass
 from heapq import heappop, heappush
 
+from gpart.operators.probe import ProbeTable
+
 Adjacency = list[list[tuple[int, int]]]
 
 
@@ -100,10 +102,55 @@ def grow(g: LocalGraph, target: int, method: str, rng: random.Random) -> list[in
     return blocks
 
 
-def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[int], rng: random.Random, patience: int = 200, once: set[int] | None = None) -> list[tuple[int, int, int]]:
+class MapTable:
+    """Affinities in a dictionary."""
+
+    def __init__(self):
+        self.values: dict[int, int] = {}
+
+    def add(self, block: int, delta: int) -> None:
+        self.values[block] = self.values.get(block, 0) + delta
+
+    def items(self) -> dict[int, int]:
+        return self.values
+
+
+class RowTable:
+    """Affinities in a row with an entry for each block."""
+
+    def __init__(self, k: int):
+        self.values = [0] * k
+
+    def add(self, block: int, delta: int) -> None:
+        self.values[block] += delta
+
+    def items(self) -> dict[int, int]:
+        return {b: a for b, a in enumerate(self.values) if a}
+
+
+Affinities = MapTable | RowTable | ProbeTable
+
+
+def affinities_of(g: LocalGraph, blocks: Sequence[int], v: int, k: int, table: str) -> Affinities:
+    near = g.adjacent[v]
+    if table == "full" or (table == "hybrid" and len(near) > k):
+        out: Affinities = RowTable(k)
+    elif table == "hybrid":
+        out = ProbeTable(len(near), sum(w for _, w in near))
+    else:
+        out = MapTable()
+    for u, w in near:
+        out.add(blocks[u], w)
+    return out
+
+
+def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[int], rng: random.Random, patience: int = 200, once: set[int] | None = None, table: str = "map") -> list[tuple[int, int, int]]:
     """Localised search: moves (vertex, from, to), best first from the seeds outward, losses too, each vertex at most once; what
     comes after the best prefix is undone. blocks changes to the result. On the way a block may be too heavy by one vertex, else
-    full blocks could never exchange vertices; a prefix with fewer blocks too heavy is better than any other."""
+    full blocks could never exchange vertices; a prefix with fewer blocks too heavy is better than any other.
+
+    table: how the affinities of a vertex that has been looked at are held: `map` in a dictionary, `full` in a row of k entries,
+    `hybrid` in such a row or, with at most k edges, in a small probing table, `none` not at all. All give the same moves."""
     k = len(caps)
     heaviest = max((g.weights[v] for v in range(len(g.weights)) if once is None or v not in once), default=0)
     rooms = [c + heaviest for c in caps]
@@ -112,14 +159,15 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
     stamp: dict[int, int] = {}
     heap: list[tuple[int, int, int, int, int]] = []
 
-    table: dict[int, dict[int, int]] = {}  # affinities of the vertices seen so far
+    held: dict[int, Affinities] = {}
 
     def push(v: int) -> None:
-        inside = table.get(v)
-        if inside is None:
-            inside = table[v] = {}
-            for u, w in g.adjacent[v]:
-                inside[blocks[u]] = inside.get(blocks[u], 0) + w
+        found = held.get(v)
+        if found is None:
+            found = affinities_of(g, blocks, v, k, table)
+            if table != "none":
+                held[v] = found
+        inside = found.items()
         own = blocks[v]
         kept = inside.get(own, 0)
         fits = [(a - kept, -loads[b], b) for b, a in inside.items() if b != own and a and loads[b] + g.weights[v] <= rooms[b]]
@@ -162,9 +210,9 @@ def search(g: LocalGraph, blocks: list[int], caps: list[int], seeds: Sequence[in
         else:
             idle += 1
         for u, w in g.adjacent[v]:
-            if (held := table.get(u)) is not None:
-                held[own] -= w
-                held[to] = held.get(to, 0) + w
+            if (found := held.get(u)) is not None:
+                found.add(own, -w)
+                found.add(to, w)
             if u not in moved:
                 push(u)
     for v, own, _ in reversed(log[best_at:]):

@@ -8,11 +8,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from gpart.functions.columns import scramble
+from gpart.functions.columns import admitted_within, running_sum, scramble
 from gpart.operators import local
 from gpart.operators.clustering import label_propagation, lp_round_single
 from gpart.operators.gains import GainTable, affinity
-from gpart.operators.initial import local_copy
 from gpart.session import cut
 from gpart.sources.graphs import Graph
 
@@ -64,8 +63,8 @@ def rebalance_round(graph: Graph, partition: DataFrame, k: int, cap: int, seed:
     best = to_near.unionAll(to_light).groupBy("id").agg(F.max(F.struct("gain", (-scramble(F.col("block").cast("long"), seed)).alias("t"), (-F.col("block")).alias("b"), "own", "w", "excess", "room")).alias("x"))
     moves = best.select("id", "x.gain", (-F.col("x.b")).alias("to"), "x.own", "x.w", "x.excess", "x.room").withColumn("rate", F.col("gain") / F.col("w"))
     order = [F.desc("rate"), scramble("id", seed), F.col("id")]
-    leaving = moves.withColumn("gone", F.coalesce(F.sum("w").over(Window.partitionBy("own").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).where("gone < excess")
-    fitting = leaving.withColumn("come", F.sum("w").over(Window.partitionBy("to").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))).where("come <= room")
+    leaving = admitted_within(moves, "own", order, "w", F.col("excess"), inclusive=False, seed=seed)
+    fitting = admitted_within(leaving, "to", order, "w", F.col("room"), seed=seed + 1)
     return partition.join(fitting.select("id", F.col("to").cast("int").alias("to")), "id", "left").select("id", F.coalesce("to", "block").alias("block"))
 
 
@@ -110,14 +109,12 @@ def prefixes(moves: DataFrame, graph: Graph, partition: DataFrame, cap: int) ->
     weighed = moves.join(graph.vertices, "id")
     changes = weighed.select("pos", F.col("from_block").alias("block"), (-F.col("w")).alias("w")).unionAll(weighed.select("pos", F.col("to_block").alias("block"), "w"))
     start = block_weights(graph.vertices, partition)
-    line = Window.partitionBy("block").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    loads = changes.join(F.broadcast(start), "block", "left").withColumn("after", F.coalesce("weight", F.lit(0)) + F.sum("w").over(line))
+    loads = running_sum(changes, ["block"], "pos", F.col("w"), "run").join(F.broadcast(start), "block", "left").withColumn("after", F.coalesce("weight", F.lit(0)) + F.col("run"))
     turns = loads.withColumn("turn", (F.col("after") > cap).cast("int") - (F.col("after") - F.col("w") > cap).cast("int")).groupBy("pos").agg(F.sum("turn").alias("turn"))
     heavy = start.agg(F.coalesce(F.sum((F.col("weight") > cap).cast("int")), F.lit(0)).alias("heavy"))
-    # moves of one round are ordered by a dense position; their sums run in one task per round, over movers only
-    run = Window.orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    both = exact.join(turns, "pos").crossJoin(F.broadcast(heavy))
-    return both.select("pos", "gain", F.sum("gain").over(run).alias("total"), (F.col("heavy") + F.sum("turn").over(run)).alias("over"))
+    both = running_sum(exact.join(turns, "pos"), [], "pos", F.col("gain"), "total")
+    both = running_sum(both, [], "pos", F.col("turn"), "over")
+    return both.crossJoin(F.broadcast(heavy)).select("pos", "gain", "total", (F.col("heavy") + F.col("over")).alias("over"))
 
 
 def best_prefix(moves: DataFrame, graph: Graph, partition: DataFrame, cap: int) -> tuple[int, int]:
@@ -155,34 +152,23 @@ def region_moves(graph: Graph, partition: DataFrame, cap: int, seed: int, region
         adjacent = [edges + [(n + b, w) for b, w in outside[i].items() if w] for i, edges in enumerate(near)] + [[] for _ in range(k)]
         g = local.LocalGraph([r["w"] for r in found] + stand_in, adjacent)
         rng = random.Random(seed * 7919 + (key[0].as_py() or 0))
-        log = local.search(g, blocks, [cap] * k, list(range(n)), rng, once=set(range(n, n + k)))
+        log = local.search(g, blocks, [cap] * k, list(range(n)), rng, once=set(range(n, n + k)), table=table)
         return pa.table({"region": pa.array([key[0].as_py()] * len(log), pa.int64()), "step": pa.array(list(range(len(log))), pa.int32()), "id": pa.array([found[v]["id"] for v, _, _ in log], pa.int64()), "from_block": pa.array([a for _, a, _ in log], pa.int32()), "to_block": pa.array([b for _, _, b in log], pa.int32())})
 
     return rows.groupBy("region").applyInArrow(run, "region long, step int, id long, from_block int, to_block int")
 
 
-def refine_fm(graph: Graph, partition: DataFrame, k: int, cap: int, table: str = "hybrid", rounds: int = 3, seed: int = 1, seeds_per_region: int = 2000, fits: int = 200_000) -> DataFrame:
-    """k-way local search. A level of at most `fits` directed edges is searched as one graph; of a larger one, regions are searched
-    side by side and the best prefix of all their moves, by exact joint gains, is kept. The cut never grows."""
-    spark = graph.vertices.sparkSession
-    if graph.edges.count() <= fits:
-        ids, g = local_copy(graph)
-        held, blocks_of = spark.sparkContext.broadcast((ids, g)), {r["id"]: r["block"] for r in partition.collect()}
-        start = spark.sparkContext.broadcast([blocks_of[v] for v in ids])
-
-        def whole(batches):
-            for b in batches:
-                for s in b.column("id").to_pylist():
-                    ids, g = held.value
-                    blocks = local.improve(g, list(start.value), [cap] * k, random.Random(seed + s), rounds)
-                    yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(blocks, pa.int32())], names=["id", "block"])
-
-        return cut(spark.range(1).mapInArrow(whole, "id long, block int"))
+def refine_fm(graph: Graph, partition: DataFrame, k: int, cap: int, table: str = "hybrid", rounds: int = 3, seed: int = 1, seeds_per_region: int = 2000) -> DataFrame:
+    """k-way local search: regions around the boundary are searched side by side, each in a task with a gain table of the form that
+    `table` names, and the best prefix of all their moves, by exact joint gains, is kept. The cut never grows."""
     for r in range(rounds):
         seeds = boundary(graph.edges, partition).count()
-        proposed = region_moves(graph, partition, cap, seed + r, max(1, seeds // seeds_per_region), table, k)
-        line = Window.orderBy("region", "step")  # movers of a round only
-        moves = cut(proposed.withColumn("pos", F.row_number().over(line).cast("long")).select("pos", "id", "from_block", "to_block"))
+        if not seeds:
+            break
+        proposed = cut(region_moves(graph, partition, cap, seed + r, max(1, seeds // seeds_per_region), table, k))
+        sizes = proposed.groupBy("region").agg(F.count("*").alias("n"))
+        before = sizes.select("region", (F.sum("n").over(Window.orderBy("region")) - F.col("n")).alias("before"))  # a row for each region
+        moves = proposed.join(F.broadcast(before), "region").select((F.col("before") + F.col("step") + 1).alias("pos"), "id", "from_block", "to_block")
         kept, gain = best_prefix(moves, graph, partition, cap)
         if not gain:
             break

@@ -13,7 +13,6 @@ PAIRS: dict[str, str] = {
     "event_window": "o AS (SELECT event_id AS e, row_number() OVER (ORDER BY ts, event_id) AS r FROM events), pairs AS (SELECT least(x.e, y.e) AS a, greatest(x.e, y.e) AS b, 1 AS w FROM o x JOIN o y ON y.r BETWEEN x.r + 1 AND x.r + 4), more AS (SELECT event_id AS k FROM events)",
     "page_host": "d AS (SELECT DISTINCT page_id AS p, regexp_extract(url, '//([^/]+)/', 1) AS h FROM pages), pairs AS (SELECT x.p AS a, y.p AS b, count(*) AS w FROM d x JOIN d y ON x.h = y.h AND x.p < y.p WHERE x.h <> '' GROUP BY 1, 2)",
     "page_path": "t AS (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS t FROM pages), pairs AS (SELECT 'p' || page_id AS a, 't' || t AS b, count(*) AS w FROM t GROUP BY 1, 2)",
-    "doc_lines": "l AS (SELECT DISTINCT doc_id AS p, trim(t, ' ') AS h FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS t FROM documents) WHERE len(trim(t, ' ')) > 20), s AS (SELECT h FROM l GROUP BY 1 HAVING count(*) BETWEEN 2 AND 50), pairs AS (SELECT x.p AS a, y.p AS b, count(*) AS w FROM l x JOIN s USING (h) JOIN l y ON x.h = y.h AND x.p < y.p GROUP BY 1, 2)",
     "doc_line_links": "l AS (SELECT DISTINCT doc_id AS p, trim(t, ' ') AS h FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS t FROM documents) WHERE len(trim(t, ' ')) > 20), s AS (SELECT h FROM l GROUP BY 1 HAVING count(*) >= 2), pairs AS (SELECT 'd' || p AS a, 'l' || md5(h) AS b, 1 AS w FROM l JOIN s USING (h))",
     "token_bigram": "t AS (SELECT list_filter(regexp_split_to_array(lower(text), '[ \\n\\t\\r]+'), lambda x: x <> '') AS ws FROM documents), g AS (SELECT unnest(ws[1:len(ws) - 1]) AS x, unnest(ws[2:len(ws)]) AS y FROM t WHERE len(ws) > 1), pairs AS (SELECT least(x, y) AS a, greatest(x, y) AS b, count(*) AS w FROM g WHERE x <> y GROUP BY 1, 2)",
     "knn8": "v AS (SELECT vec_id AS i, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings), n AS (SELECT x.i AS x, y.i AS y, row_number() OVER (PARTITION BY x.i ORDER BY round(list_dot_product(x.v, y.v) / (sqrt(list_dot_product(x.v, x.v)) * sqrt(list_dot_product(y.v, y.v))), 9) DESC, y.i) AS r FROM v x JOIN v y ON x.i <> y.i), pairs AS (SELECT DISTINCT least(x, y) AS a, greatest(x, y) AS b, 1 AS w FROM n WHERE r <= 8)",

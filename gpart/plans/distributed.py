@@ -8,9 +8,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gpart.operators import refinement
-from gpart.operators.initial import attempts, local_arrays
+from gpart.operators.initial import MOST_EDGES, attempts, local_arrays
 from gpart.operators.metrics import block_cap
-from gpart.plans.multilevel import MultilevelConfig, Result, coarsen, compressed_input
+from gpart.plans.multilevel import MultilevelConfig, Result, coarsen, compressed_input, first_partition
 from gpart.session import cut
 from gpart.sources.graphs import Graph
 
@@ -44,14 +44,16 @@ def partition_distributed(graph: Graph, k: int, parts: int = 8, compress: bool =
     levels = coarsen(graph, k, cfg)
     total = levels[0].graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
     cap, relaxed = block_cap(total, k, cfg.eps)
-    ids, arrays = local_arrays(levels[-1].graph)
-    spark = graph.vertices.sparkSession
-    best = attempts(spark, arrays, k, cap, [cfg.seed * 1000 + p for p in range(parts)], tries=1).orderBy("overload", "cut", "seed").first()
-    found = spark.createDataFrame(list(zip(ids.tolist(), best["blocks"], strict=True)), "id long, block int")
+    if levels[-1].m <= MOST_EDGES:
+        ids, arrays = local_arrays(levels[-1].graph)
+        spark = graph.vertices.sparkSession
+        best = attempts(spark, arrays, k, cap, [cfg.seed * 1000 + p for p in range(parts)], tries=1).orderBy("overload", "cut", "seed").first()
+        found = spark.createDataFrame(list(zip(ids.tolist(), best["blocks"], strict=True)), "id long, block int")
+    else:
+        found = first_partition(levels[-1], k, cap, cfg)
     for number in range(len(levels) - 1, -1, -1):
         level = levels[number]
-        if number < len(levels) - 1 or cfg.task_edges == 0:  # the coarsest level has been refined where it was solved
-            found = cut(refinement.refine_lp(level.graph, found, cap, cfg.refine_rounds, cfg.seed, cfg.parts))
+        found = cut(refinement.refine_lp(level.graph, found, cap, cfg.refine_rounds, cfg.seed, cfg.parts))
         found = refinement.rebalance(level.graph, found, k, cap, cfg.seed)
         if number:
             found = cut(refinement.project(found, level.parents))

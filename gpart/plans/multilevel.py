@@ -26,7 +26,6 @@ class MultilevelConfig:
     hub_degree: int = codec.HUB_DEGREE
     chunk: int = codec.CHUNK
     contraction_limit: int = 2000  #: coarsest vertices for each block
-    task_edges: int = 1_500_000  #: a level of no more directed edges is solved further within one task; 0: never by this rule
     least_shrink: float = 0.95  #: a level with more of its vertices left is the last
     two_hop_above: float = 0.6  #: pair up lonely vertices if more of a level's vertices would be left
     refine_rounds: int = 3
@@ -60,7 +59,7 @@ class Result:
 
 def level_of(graph: Graph, parents: DataFrame | None) -> Level:
     graph = graph.persisted()
-    return Level(graph, cut(parents) if parents is not None else None, graph.vertices.count(), graph.edges.count())
+    return Level(graph, cut(parents) if parents is not None else None, graph.vertices.count(), graph.count_edges())
 
 
 def should_stop(n: int, before: int | None, k: int, cfg: MultilevelConfig) -> bool:
@@ -77,10 +76,9 @@ def coarsen_once(level: Level, total: int, k: int, cfg: MultilevelConfig, counte
     labels = clustering.label_propagation(graph, cfg.rounds, cfg.seed, cfg.parts, cap, cfg.two_phase, cfg.t_bump, stats=counters)
     if labels.select("cluster").distinct().count() > cfg.two_hop_above * level.n:
         labels = cut(clustering.two_hop(graph, labels, clustering.favourites(graph, labels, cfg.seed), cap))
-    # ids by rank in every form, so that all steps of the ladder see the same coarse graph
+    # ids are ranks in every form, so that all steps of the ladder see the same coarse graph
     if cfg.one_pass:
-        edges = contraction.two_phase_edges(graph.edges, labels, cfg.t_bump) if cfg.two_phase else contraction.coarse_edges(graph.edges, labels)
-        coarse, parents = contraction._renamed(contraction.number(contraction.coarse_vertices(graph.vertices, labels), ["cluster"], "coarse"), edges, labels)
+        _, parents, coarse = contraction.contract_one_pass(graph, labels, cfg.t_bump if cfg.two_phase else None)
     else:
         coarse, parents = contraction.contract_buffered(graph, labels)
     return level_of(coarse, parents)
@@ -90,7 +88,7 @@ def coarsen(graph: Graph, k: int, cfg: MultilevelConfig, counters: clustering.Ro
     """Levels from the input to the coarsest."""
     levels = [level_of(graph, None)]
     total = graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
-    while levels[-1].m > cfg.task_edges and not should_stop(levels[-1].n, levels[-2].n if len(levels) > 1 else None, k, cfg):
+    while not should_stop(levels[-1].n, levels[-2].n if len(levels) > 1 else None, k, cfg):
         levels.append(coarsen_once(levels[-1], total, k, cfg, counters or clustering.RoundStats()))
     return levels
 
@@ -99,16 +97,26 @@ def require_levels(levels: list[Level], k: int, cfg: MultilevelConfig) -> None:
     """Fails if a graph that the settings mean to coarsen, with room for clusters of two, got no smaller level."""
     top = levels[0]
     total = top.graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
-    if top.m > cfg.task_edges and not should_stop(top.n, None, k, cfg) and cluster_cap(total, top.n, k, cfg) > 1 and levels[-1].n >= top.n:
+    if not should_stop(top.n, None, k, cfg) and cluster_cap(total, top.n, k, cfg) > 1 and levels[-1].n >= top.n:
         raise RuntimeError(f"{top.n} vertices and {top.m} directed edges were not coarsened")
 
 
 def compressed_input(graph: Graph, cfg: MultilevelConfig) -> tuple[Graph, int]:
-    """The graph whose edges are decoded from coded rows wherever they are read, and the coded bytes."""
+    """The graph as coded rows, whose edges are decoded wherever they are read and never written, and the coded bytes."""
     weighted = not graph.edges.where("w <> 1").isEmpty()
     coded = cut(codec.compress(codec.to_csr(graph, cfg.hub_degree, cfg.chunk), weighted=weighted))
     size = coded.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0]
-    return Graph(graph.vertices, codec.decompress(coded, weighted).select("src", "dst", "w"), graph.keys), size
+    return Graph(graph.vertices, codec.decompress(coded, weighted).select("src", "dst", "w"), graph.keys, coded, weighted), size
+
+
+def first_partition(level: Level, k: int, cap: int, cfg: MultilevelConfig) -> DataFrame:
+    """A partition of the coarsest level: solved in tasks, or, where it did not shrink enough to fit one, by label propagation from
+    blocks of consecutive ids."""
+    if level.m <= initial.MOST_EDGES:
+        return initial.initial_partition(level.graph, k, cfg.eps, cfg.seed, cfg.tries, fm=cfg.fm)
+    start = level.graph.vertices.select("id", F.floor(F.col("id") * k / F.lit(max(level.n, 1))).cast("int").alias("block"))
+    spread = refinement.refine_lp(level.graph, cut(start), cap, cfg.rounds, cfg.seed, cfg.parts)
+    return refinement.rebalance(level.graph, spread, k, cap, cfg.seed)
 
 
 def refine(level: Level, partition: DataFrame, k: int, cap: int, cfg: MultilevelConfig) -> DataFrame:
@@ -128,9 +136,9 @@ def partition(graph: Graph, k: int, preset: str = "lean-lp", cfg: MultilevelConf
     levels = coarsen(graph, k, cfg, counters)
     total = levels[0].graph.vertices.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
     cap, relaxed = block_cap(total, k, cfg.eps)
-    found = initial.initial_partition(levels[-1].graph, k, cfg.eps, cfg.seed, cfg.tries, fm=cfg.fm)
+    found = first_partition(levels[-1], k, cap, cfg)
     for number in range(len(levels) - 1, -1, -1):
-        found = cut(refine(levels[number], found, k, cap, cfg)) if number < len(levels) - 1 or cfg.task_edges == 0 else cut(found)
+        found = cut(refine(levels[number], found, k, cap, cfg))
         if number == 0:
             found = refinement.rebalance(levels[0].graph, found, k, cap, cfg.seed)
         else:
@@ -156,7 +164,7 @@ def partition_extending(graph: Graph, k: int, first: int = 2, cfg: MultilevelCon
         return [k * (i + 1) // count - k * i // count for i in range(count)]
 
     now = min(first, k)
-    found = initial.initial_partition(levels[-1].graph, now, cfg.eps, cfg.seed, cfg.tries)
+    found = first_partition(levels[-1], now, block_cap(total, now, cfg.eps)[0], cfg)
     for number in range(len(levels) - 1, -1, -1):
         level = levels[number]
         goal = k if number == 0 else max(now, min(k, now * max(1, level.n // max(1, cfg.contraction_limit * now))))

@@ -234,7 +234,7 @@ def _(s, d):
 
 @register("lp_bumped_cust_supp", lp_sql("cust_supp", 1, "SELECT e.src AS id FROM edges e JOIN labels l ON l.id = e.dst GROUP BY 1 HAVING count(DISTINCT l.c) >= 16"))
 def _(s, d):
-    return clustering.two_phase_ratings(built(s, d, "cust_supp").edges, labelled(s, d, "cust_supp", 1), 16)[1]
+    return clustering.two_phase_ratings(built(s, d, "cust_supp").edges, labelled(s, d, "cust_supp", 1), 16)[1].select("id")
 
 
 @register("lp_flush_stats", lp_sql("cust_supp", 1, f"SELECT count(DISTINCT src) AS heavy, CAST(sum(n) AS BIGINT) AS edges, CAST(sum(c) AS BIGINT) AS updates, CAST(sum(ceil(c / 16)) AS BIGINT) AS flushes, CAST(sum(n) - sum(c) AS BIGINT) AS updates_saved FROM (SELECT e.src, {sql.h('e.dst', 5)} % 16 AS salt, count(*) AS n, count(DISTINCT l.c) AS c FROM edges e JOIN labels l ON l.id = e.dst WHERE e.src IN (SELECT e.src FROM edges e JOIN labels l ON l.id = e.dst GROUP BY 1 HAVING count(DISTINCT l.c) >= 16) GROUP BY 1, 2)"))
@@ -466,7 +466,7 @@ def sound_sql(name: str) -> str:
 
 
 #: The tables' graphs are small: their levels are made and refined in Spark down to a few vertices, with thresholds of their scale.
-IN_SPARK = multilevel.MultilevelConfig(task_edges=0, contraction_limit=100, t_bump=64)
+IN_SPARK = multilevel.MultilevelConfig(contraction_limit=100, t_bump=64)
 
 
 def solved(s: SparkSession, g: Graph, result: multilevel.Result, k: int, cfg: multilevel.MultilevelConfig = IN_SPARK) -> DataFrame:
@@ -488,7 +488,7 @@ for _name in ("cust_supp", "event_window", "page_host", "fk_tree", "page_path"):
 @register("partition_levels_in_spark_cust_supp", sound_sql("cust_supp"))
 def _(s, d):
     g = built(s, d, "cust_supp")
-    cfg = multilevel.MultilevelConfig(task_edges=80_000, contraction_limit=40, t_bump=64, rounds=1, parts=2, refine_rounds=1)
+    cfg = multilevel.MultilevelConfig(contraction_limit=40, t_bump=64, rounds=1, parts=2, refine_rounds=1)
     return soundness(s, g, multilevel.partition(g, 4, "lean-lp", cfg).partition, 4)
 
 

@@ -22,11 +22,29 @@ class Graph:
     vertices: DataFrame
     edges: DataFrame
     keys: DataFrame | None = None  # (key, id)
+    coded: DataFrame | None = None  # neighbourhoods as bytes; `edges` are then decoded from them in every scan
+    weighted: bool = True
 
     def persisted(self) -> Graph:
-        """Written to the shared checkpoint folder, for iterative methods."""
+        """Written to the shared checkpoint folder, for iterative methods; a coded graph keeps its bytes only."""
+        if self.coded is not None:
+            return Graph(cut(self.vertices), self.edges, self.keys, self.coded, self.weighted)
         return Graph(cut(self.vertices), cut(self.edges), self.keys)
 
+    def edges_of(self, chosen) -> DataFrame:
+        """The edges of the vertices that chosen(id column) says; of a coded graph, no others are decoded."""
+        if self.coded is None:
+            return self.edges.where(chosen(F.col("src")))
+        from gpart.operators.codec import decompress
+
+        return decompress(self.coded.where(chosen(F.col("id"))), self.weighted).select("src", "dst", "w")
+
+    def count_edges(self) -> int:
+        """Directed edges; a coded graph knows its degrees."""
+        if self.coded is None:
+            return self.edges.count()
+        return self.coded.agg(F.coalesce(F.sum("degree"), F.lit(0))).first()[0]
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -92,13 +110,6 @@ def long_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.where(F.length("line") > 20)
 
 
-def doc_lines(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
-    """Pairs of documents, of lines in 2 to 50 documents only: a line in d documents makes d (d - 1) / 2 pairs. doc_line_links has every shared line."""
-    own = long_lines(spark, sf_dir).distinct()
-    shared = own.groupBy("line").count().where("count BETWEEN 2 AND 50").select("line")
-    return pairs_within(own.join(shared, "line"), "line", "doc_id"), None
-
-
 def doc_line_links(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame | None]:
     """Documents and every line that two or more share, however many: one edge for each document of a line, so none has to be left out.
     Lines travel and are named by a digest of 128 bits."""
@@ -149,7 +160,7 @@ def doc_label(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame |
 
 
 BUILDERS: dict[str, Callable[[SparkSession, str], tuple[DataFrame, DataFrame | None]]] = {
-    f.__name__: f for f in (copurchase, cust_supp, fk_tree, event_chain, event_window, page_host, page_path, doc_lines, doc_line_links, token_bigram, knn8, bench_overlap, conv_turns, doc_label)
+    f.__name__: f for f in (copurchase, cust_supp, fk_tree, event_chain, event_window, page_host, page_path, doc_line_links, token_bigram, knn8, bench_overlap, conv_turns, doc_label)
 }
 
 

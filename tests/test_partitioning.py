@@ -92,7 +92,7 @@ def test_rebalance_and_regions(spark, mesh):
     skewed = mesh.vertices.select("id", F.when(F.col("id") < 400, 0).otherwise(F.col("id") % 4).cast("int").alias("block"))
     even = refinement.rebalance(mesh, skewed, 4, cap)
     assert refinement.overload(mesh.vertices, even, cap) == 0
-    better = refinement.refine_fm(mesh, even, 4, cap, rounds=1, seeds_per_region=100, fits=0)
+    better = refinement.refine_fm(mesh, even, 4, cap, rounds=1, seeds_per_region=100)
     assert cut(mesh, better) <= cut(mesh, even) and refinement.overload(mesh.vertices, better, cap) == 0
 
 
@@ -106,7 +106,7 @@ def test_which_method_wins(spark, mesh):
 
 
 def test_levels_in_spark_are_balanced(spark, mesh):
-    cfg = multilevel.MultilevelConfig(task_edges=2000, contraction_limit=30, rounds=2, refine_rounds=1, t_bump=8)
+    cfg = multilevel.MultilevelConfig(contraction_limit=30, rounds=2, refine_rounds=1, t_bump=8)
     for result in (multilevel.partition(mesh, 4, "lean-lp", cfg), distributed.partition_distributed(mesh, 4, 2, True, cfg)):
         assert len(result.levels) > 1 and metrics.balance(mesh.vertices, result.partition, 4).where("NOT feasible").count() == 0
 

@@ -38,4 +38,4 @@ def test_solver_queries_coarsen_in_spark(spark, duck, monkeypatch):
     (levels,) = seen
     assert len(levels) > 1 and levels[-1].n < levels[0].n
     with pytest.raises(RuntimeError):
-        multilevel.require_levels(levels[:1], 4, multilevel.MultilevelConfig(task_edges=0, contraction_limit=100))
+        multilevel.require_levels(levels[:1], 4, multilevel.MultilevelConfig(contraction_limit=10))
