@@ -64,15 +64,15 @@ def running_sum(rows: DataFrame, by: list[str], order: str, value: Column, name:
 ADMISSION_PARTS = 64
 
 
-def admitted_within(moves: DataFrame, target: str, order: list, weight: str, room: Column, inclusive: bool = True, seed: int = 0) -> DataFrame:
+def admitted_within(moves: DataFrame, target: str, order: list, weight: str, room: Column, spread: Column, inclusive: bool = True) -> DataFrame:
     """Of the moves into (or out of) each target, in the order given, those whose running weight is within the room (inclusive), or
     begins below it (not inclusive).
 
-    A target's moves are first cut short in parts by the id's hash: what a part's own running weight puts beyond the room is beyond
+    A target's moves are first cut short in parts by `spread`, a hash of theirs: what a part's own running weight puts beyond the room is beyond
     it in the whole order too, and what stays up to and including the first beyond it in each part is enough to put all that
     follow beyond it. So one window per target sees at most ADMISSION_PARTS times its room, however many wish to move.
     """
-    part = scramble("id", seed + 77) % ADMISSION_PARTS
+    part = spread % ADMISSION_PARTS
     short = Window.partitionBy(target, "_part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
     whole = Window.partitionBy(target).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
     gone = lambda line: F.coalesce(F.sum(weight).over(line), F.lit(0))

@@ -69,17 +69,46 @@ def cluster_weights(vertices: DataFrame, labels: DataFrame) -> DataFrame:
     return vertices.join(labels, "id").groupBy("cluster").agg(F.sum("w").alias("weight"))
 
 
-def within_room(rated: DataFrame, vertices: DataFrame, labels: DataFrame, cap: int) -> DataFrame:
-    """Ratings of the clusters that a vertex is in or could join alone."""
-    weights = cluster_weights(vertices, labels)
-    own = vertices.join(labels, "id").select("id", F.col("cluster").alias("own"), "w")
-    return rated.join(weights, "cluster").join(own, "id").where((F.col("cluster") == F.col("own")) | (F.col("weight") + F.col("w") <= cap)).select("id", "cluster", "rating")
-
-
-def admitted(moves: DataFrame, weights: DataFrame, cap: int, seed: int) -> DataFrame:
-    """Of the wished moves (id, best, rating, w), those that fit: best first into each cluster, while the running weight is within its room."""
-    room = moves.join(weights.select(F.col("cluster").alias("best"), "weight"), "best", "left").withColumn("weight", F.coalesce("weight", F.lit(0)))
-    return admitted_within(room, "best", [F.desc("rating"), scramble("id", seed), F.col("id")], "w", F.lit(cap) - F.col("weight"), seed=seed).select("id", "best")
+def prepared(state: DataFrame, seed: int, part: int, parts: int) -> DataFrame:
+    """state (id, w, cluster) with what the next sub-batch goes by: `tie`, the cluster's hash, `ord`, the vertex's, and whether it is
+    the vertex's turn. As columns of a table they leave the round's own code the same for every seed, so it is compiled once."""
+    turn = scramble("id", seed) % parts == part if parts > 1 else F.lit(True)
+    return state.select("id", "w", "cluster", scramble("cluster", seed).alias("tie"), scramble("id", seed).alias("ord"), turn.alias("turn"))
+
+
+def advanced(now: DataFrame, edges: DataFrame, cap: int | None, may: DataFrame | None = None, light: bool = False, salts: int = 16, rating_map: str = "hash") -> DataFrame:
+    """One synchronous sub-batch from a prepared state and the edges of its vertices: (id, w, cluster, before).
+
+    Without `may` or `light`, every vertex is rated alike, by a plain aggregate (one phase). light: all are rated whole, in one task
+    each; may: but for these, whose sums are made in parts. The cluster's weight travels with the label, so that ratings of full
+    clusters go where they are made, and a vertex's ratings meet its own row once. Moves are admitted best first: by rating,
+    then by the vertex's hash, then by id, while the running weight is within the cluster's room.
+    """
+    far = now.join(now.groupBy("cluster").agg(F.sum("w").alias("weight")), "cluster") if cap is not None else now.withColumn("weight", F.lit(0).cast("long"))
+    near = edges.join(far.select(F.col("id").alias("dst"), "cluster", "tie", "weight"), "dst").select("src", "dst", "cluster", "tie", "weight", "w")
+    same = [F.first("tie").alias("tie"), F.first("weight").alias("weight")]
+    total = F.sum("w").alias("rating")
+    if may is None and not light:
+        rated = near.groupBy("src", "cluster").agg(total, *same)
+    else:
+        few = near.join(may, "src", "left_anti") if may is not None else near
+        if rating_map == "hash":
+            rated = few.repartition("src").groupBy("src", "cluster").agg(total, *same)
+        else:
+            rated = sparse_ratings(few).select("src", "cluster", "rating").join(far.select("cluster", "tie", "weight").distinct(), "cluster").select("src", "cluster", "rating", "tie", "weight")
+        if may is not None:
+            parts = near.join(may, "src", "left_semi").groupBy("src", (scramble("dst", 5) % salts).alias("salt"), "cluster").agg(F.sum("w").alias("w"), *same)
+            rated = rated.unionByName(parts.groupBy("src", "cluster").agg(total, *same))
+    own = now.where("turn").select(F.col("id").alias("src"), F.col("cluster").alias("own"), F.col("w").alias("vw"), "ord")
+    keyed = rated.join(own, "src")
+    if cap is not None:
+        keyed = keyed.where((F.col("cluster") == F.col("own")) | (F.col("weight") + F.col("vw") <= cap))
+    key = F.struct("rating", (F.col("cluster") == F.col("own")).cast("int").alias("own"), (-F.col("tie")).alias("tie"), (-F.col("cluster")).alias("last"), "weight")
+    best = keyed.groupBy("src").agg(F.max(key).alias("k"), F.first("own").alias("own"), F.first("vw").alias("vw"), F.first("ord").alias("ord"))
+    moves = best.where(-F.col("k.last") != F.col("own")).select(F.col("src").alias("id"), (-F.col("k.last")).alias("best"), "k.rating", "k.weight", "vw", "ord")
+    if cap is not None:
+        moves = admitted_within(moves, "best", [F.desc("rating"), F.col("ord"), F.col("id")], "vw", F.lit(cap) - F.col("weight"), F.col("ord"))
+    return now.select("id", "w", F.col("cluster").alias("before")).join(moves.select("id", "best"), "id", "left").select("id", "w", F.coalesce("best", "before").alias("cluster"), "before")
 
 
 def apply_moves(labels: DataFrame, moves: DataFrame) -> DataFrame:
@@ -100,35 +129,23 @@ def active_edges(graph: Graph, seed: int, part: int, parts: int) -> DataFrame:
     return graph.edges_of(in_batch(seed, part, parts)) if parts > 1 else graph.edges
 
 
-def lp_round_single(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None) -> DataFrame:
-    """One synchronous sub-batch, all vertices treated alike: labels afterwards."""
-    own = batch(graph.vertices, seed, part, parts).join(labels, "id")
-    return finish_round(graph, labels, ratings(active_edges(graph, seed, part, parts), labels), own, seed, cap)
+def state_of(graph: Graph, labels: DataFrame, seed: int, part: int, parts: int) -> DataFrame:
+    return prepared(graph.vertices.join(labels, "id").select("id", "w", "cluster"), seed, part, parts)
 
 
-def finish_round(graph: Graph, labels: DataFrame, rated: DataFrame, own: DataFrame, seed: int, cap: int | None) -> DataFrame:
-    if cap is not None:
-        rated = within_room(rated, graph.vertices, labels, cap)
-    moves = choose(rated, own, seed).where("best <> own")
-    if cap is not None:
-        moves = admitted(moves, cluster_weights(graph.vertices, labels), cap, seed)
-    return apply_moves(labels, moves)
-
+def lp_round_single(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None) -> DataFrame:
+    """One synchronous sub-batch, all vertices treated alike: labels afterwards."""
+    return advanced(state_of(graph, labels, seed, part, parts), active_edges(graph, seed, part, parts), cap).select("id", "cluster")
 
-LIGHT = "id long, cluster long, rating long"
 
+LIGHT = "src long, cluster long, rating long"
 
-def light_ratings(near: DataFrame, t_bump: int, rating_map: str = "hash") -> DataFrame:
-    """Phase one: whole neighbourhoods of fewer than t_bump edges, each summed where its vertex is. near: (src, dst, cluster, w).
 
-    hash: the JVM's hash aggregate, after one exchange by the vertex; sums over (vertex, cluster) need no other. sparse: one scratch
-    array over a batch's clusters and the list of its non-zero places."""
-    whole = near.select("src", "cluster", "w").repartition("src")
-    if rating_map == "hash":
-        return whole.groupBy(F.col("src").alias("id"), "cluster").agg(F.sum("w").alias("rating"))
+def sparse_ratings(near: DataFrame) -> DataFrame:
+    """(src, cluster, rating) of whole neighbourhoods, near: (src, cluster, w), with one scratch array over a batch's clusters and the
+    list of its non-zero places, in place of a hash aggregate."""
 
     def sparse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """The same with one scratch array over the batch's clusters and a list of its non-zero places."""
         import numpy as np
 
         kept: pa.Table | None = None
@@ -153,16 +170,13 @@ def light_ratings(near: DataFrame, t_bump: int, rating_map: str = "hash") -> Dat
             for a, b in zip(starts, np.r_[starts[1:], len(src)], strict=True):
                 np.add.at(scratch, place[a:b], w[a:b])
                 used = np.unique(place[a:b])
-                if len(used) >= t_bump:
-                    ids.append(int(src[a])), clusters.append(None), values.append(None)
-                else:
-                    ids += [int(src[a])] * len(used)
-                    clusters += names[used].tolist()
-                    values += scratch[used].tolist()
+                ids += [int(src[a])] * len(used)
+                clusters += names[used].tolist()
+                values += scratch[used].tolist()
                 scratch[used] = 0
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(clusters, pa.int64()), pa.array(values, pa.int64())], names=["id", "cluster", "rating"])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(clusters, pa.int64()), pa.array(values, pa.int64())], names=["src", "cluster", "rating"])
 
-    return whole.sortWithinPartitions("src").mapInArrow(sparse, LIGHT)
+    return near.select("src", "cluster", "w").repartition("src").sortWithinPartitions("src").mapInArrow(sparse, LIGHT)
 
 
 def may_be_heavy(graph: Graph, t_bump: int) -> DataFrame:
@@ -170,25 +184,21 @@ def may_be_heavy(graph: Graph, t_bump: int) -> DataFrame:
     return graph.edges.groupBy("src").agg(F.count("*").alias("degree")).where(F.col("degree") >= t_bump).select("src")
 
 
-def two_phase_ratings(active: DataFrame, labels: DataFrame, t_bump: int, salts: int = 16, rating_map: str = "hash", may: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """(ratings, bumped (id, nc)). A vertex of fewer than t_bump edges cannot be bumped and is rated whole, in one task; the edges of
-    the others are summed from many tasks, first by (vertex, salt, cluster), so that no vertex's edges meet in one place unsummed.
-    may: the vertices that could be bumped, where they are known already (they are the same in each round)."""
+def bumped(active: DataFrame, labels: DataFrame, t_bump: int, may: DataFrame | None = None, salts: int = 16) -> DataFrame:
+    """(id, nc) of the vertices with t_bump neighbouring clusters or more; may: those that could be bumped, where they are known."""
     if may is None:
         may = active.groupBy("src").agg(F.count("*").alias("degree")).where(F.col("degree") >= t_bump).select("src")
-    near = rated_edges(active, labels)
-    light = light_ratings(near.join(may, "src", "left_anti"), t_bump, rating_map)
-    salted = near.join(may, "src", "left_semi").groupBy("src", (scramble("dst", 5) % salts).alias("salt"), "cluster").agg(F.sum("w").alias("w"))
-    heavy = salted.groupBy(F.col("src").alias("id"), "cluster").agg(F.sum("w").alias("rating"))
-    bumped = heavy.groupBy("id").agg(F.count("*").alias("nc")).where(F.col("nc") >= t_bump)
-    return light.unionByName(heavy), bumped
+    parts = rated_edges(active.join(may, "src", "left_semi"), labels).groupBy("src", (scramble("dst", 5) % salts).alias("salt"), "cluster").agg(F.sum("w").alias("w"))
+    heavy = parts.groupBy(F.col("src").alias("id"), "cluster").agg(F.sum("w").alias("rating"))
+    return heavy.groupBy("id").agg(F.count("*").alias("nc")).where(F.col("nc") >= t_bump)
 
 
-def lp_round_two_phase(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None, t_bump: int = T_BUMP, salts: int = 16, rating_map: str = "hash", may: DataFrame | None = None) -> DataFrame:
-    """As lp_round_single, with the same result, in two phases."""
-    own = batch(graph.vertices, seed, part, parts).join(labels, "id")
-    rated, _ = two_phase_ratings(active_edges(graph, seed, part, parts), labels, t_bump, salts, rating_map, may)
-    return finish_round(graph, labels, rated, own, seed, cap)
+def lp_round_two_phase(graph: Graph, labels: DataFrame, seed: int = 1, part: int = 0, parts: int = 1, cap: int | None = None, t_bump: int = T_BUMP, salts: int = 16, rating_map: str = "hash") -> DataFrame:
+    """As lp_round_single, with the same result, in two phases. A vertex of fewer than t_bump edges cannot be bumped and is rated whole,
+    in one task, after one exchange by the vertex; the edges of the others are summed from many tasks, first by (vertex, salt,
+    cluster), so that no vertex's edges meet in one place unsummed."""
+    edges = active_edges(graph, seed, part, parts)
+    return advanced(state_of(graph, labels, seed, part, parts), edges, cap, may_be_heavy(graph, t_bump), True, salts, rating_map).select("id", "cluster")
 
 
 def flush_stats(edges: DataFrame, labels: DataFrame, t_bump: int, salts: int = 16) -> DataFrame:
@@ -203,38 +213,29 @@ def flush_stats(edges: DataFrame, labels: DataFrame, t_bump: int, salts: int = 1
 def label_propagation(graph: Graph, rounds: int = ROUNDS, seed: int = 1, parts: int = 2, cap: int | None = None, two_phase: bool = False, t_bump: int = T_BUMP, labels: DataFrame | None = None, stats: RoundStats | None = None, count_bumped: bool = False) -> DataFrame:
     """Labels after some rounds. Each sub-batch's labels are written before the next reads them; what moved is counted as it is
     written. In two phases, the vertices that may be heavy are found once; if there are none, no round has a second phase."""
-    labels = cut(singletons(graph.vertices) if labels is None else labels)
+    start = graph.vertices.join(labels, "id").select("id", "w", "cluster") if labels is not None else graph.vertices.select("id", "w", F.col("id").alias("cluster"))
+    now = cut(prepared(start, seed, 0, parts))
     may = cut(may_be_heavy(graph, t_bump)) if two_phase else None
-    heavy = may is not None and not may.isEmpty()
+    if may is not None and may.isEmpty():
+        may = None
     for r in range(rounds):
-        moved = bumped = entries = 0
+        moved = heavy = entries = 0
         for part in range(parts):
-            if heavy and stats is not None and count_bumped:
-                found = two_phase_ratings(active_edges(graph, seed + r, part, parts), labels, t_bump, may=may)[1].agg(F.count("*"), F.coalesce(F.sum("nc"), F.lit(0))).first()
-                bumped, entries = bumped + found[0], entries + found[1]
-            if heavy:
-                step = lp_round_two_phase(graph, labels, seed + r, part, parts, cap, t_bump, may=may)
-            elif two_phase:
-                step = lp_round_light(graph, labels, seed + r, part, parts, cap, t_bump)
-            else:
-                step = lp_round_single(graph, labels, seed + r, part, parts, cap)
-            seen = Observation()
-            both = step.withColumnRenamed("cluster", "now").join(labels, "id").observe(seen, F.coalesce(F.sum((F.col("now") != F.col("cluster")).cast("long")), F.lit(0)).alias("moved"))
-            labels = cut(both.select("id", F.col("now").alias("cluster")))
+            edges = active_edges(graph, seed + r, part, parts)
+            if may is not None and stats is not None and count_bumped:
+                found = bumped(edges, now.select("id", "cluster"), t_bump, may).agg(F.count("*"), F.coalesce(F.sum("nc"), F.lit(0))).first()
+                heavy, entries = heavy + found[0], entries + found[1]
+            step, seen = advanced(now, edges, cap, may, two_phase), Observation()
+            step = step.observe(seen, F.coalesce(F.sum((F.col("cluster") != F.col("before")).cast("long")), F.lit(0)).alias("moved"))
+            now = cut(prepared(step, *((seed + r, part + 1) if part + 1 < parts else (seed + r + 1, 0)), parts))
             moved += seen.get["moved"]
         if stats is not None:
             stats.moved.append(moved)
-            stats.bumped.append(bumped)
+            stats.bumped.append(heavy)
             stats.entries.append(entries)
         if not moved:
             break
-    return labels
-
-
-def lp_round_light(graph: Graph, labels: DataFrame, seed: int, part: int, parts: int, cap: int | None, t_bump: int) -> DataFrame:
-    """The first phase alone, where no vertex has t_bump edges."""
-    own = batch(graph.vertices, seed, part, parts).join(labels, "id")
-    return finish_round(graph, labels, light_ratings(rated_edges(active_edges(graph, seed, part, parts), labels), t_bump), own, seed, cap)
+    return now.select("id", "cluster")
 
 
 def favourites(graph: Graph, labels: DataFrame, seed: int = 1) -> DataFrame:

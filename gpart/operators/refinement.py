@@ -63,8 +63,8 @@ def rebalance_round(graph: Graph, partition: DataFrame, k: int, cap: int, seed:
     best = to_near.unionAll(to_light).groupBy("id").agg(F.max(F.struct("gain", (-scramble(F.col("block").cast("long"), seed)).alias("t"), (-F.col("block")).alias("b"), "own", "w", "excess", "room")).alias("x"))
     moves = best.select("id", "x.gain", (-F.col("x.b")).alias("to"), "x.own", "x.w", "x.excess", "x.room").withColumn("rate", F.col("gain") / F.col("w"))
     order = [F.desc("rate"), scramble("id", seed), F.col("id")]
-    leaving = admitted_within(moves, "own", order, "w", F.col("excess"), inclusive=False, seed=seed)
-    fitting = admitted_within(leaving, "to", order, "w", F.col("room"), seed=seed + 1)
+    leaving = admitted_within(moves, "own", order, "w", F.col("excess"), scramble("id", seed), inclusive=False)
+    fitting = admitted_within(leaving, "to", order, "w", F.col("room"), scramble("id", seed))
     return partition.join(fitting.select("id", F.col("to").cast("int").alias("to")), "id", "left").select("id", F.coalesce("to", "block").alias("block"))
 
 

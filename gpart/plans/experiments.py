@@ -61,12 +61,15 @@ def run_table(spark: SparkSession, inputs: dict[str, Graph], algos: list[str], k
 
 
 def ladder_equal(g: Graph, k: int, cfg: multilevel.MultilevelConfig) -> DataFrame:
-    """The number of steps of the ladder, and of different cuts among them: the optimisations do not change the result."""
-    results = [multilevel.partition(g, k, step, cfg) for step in ("base", "tp", "tp-gc", "lean-lp")]
+    """The number of steps of the ladder, of different cuts among them (the optimisations do not change the result), and of different
+    physical plans for the first sub-batch and contraction of the input level (they do change how it is reached)."""
+    steps = ("base", "tp", "tp-gc", "lean-lp")
+    results = [multilevel.partition(g, k, step, cfg) for step in steps]
     for result in results:
         multilevel.require_levels(result.levels, k, cfg)
     cuts = [metrics.edge_cut(g.edges, result.partition).first()[0] for result in results]
-    return g.vertices.sparkSession.createDataFrame([("presets", len(cuts)), ("different_cuts", len(set(cuts)))], "check_name string, value long")
+    plans = {multilevel.shape_of_plans(result.levels[0].graph, multilevel.replace(cfg, **multilevel.PRESETS[step])) for step, result in zip(steps, results, strict=True)}
+    return g.vertices.sparkSession.createDataFrame([("presets", len(cuts)), ("different_cuts", len(set(cuts))), ("different_plans", len(plans))], "check_name string, value long")
 
 
 # Workloads, on the tables of a folder or on generated graphs. The thresholds of the paper's large graphs are scaled by callers.

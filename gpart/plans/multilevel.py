@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
@@ -146,6 +147,14 @@ def partition(graph: Graph, k: int, preset: str = "lean-lp", cfg: MultilevelConf
     return Result(found, cap, relaxed, levels, coded, counters)
 
 
+def shape_of_plans(graph: Graph, cfg: MultilevelConfig) -> str:
+    """The operators of a sub-batch's plan on a level, without names and numbers, and the form of contraction."""
+    labels = clustering.singletons(graph.vertices)
+    step = clustering.lp_round_two_phase(graph, labels, cfg.seed, 0, cfg.parts, None, cfg.t_bump) if cfg.two_phase else clustering.lp_round_single(graph, labels, cfg.seed, 0, cfg.parts)
+    lines = step._jdf.queryExecution().executedPlan().toString().splitlines()
+    return "\n".join([*(re.sub(r"[^A-Za-z].*", "", line.lstrip(" :+-*()0123456789")) for line in lines), "one pass" if cfg.one_pass else "buffered"])
+
+
 def hierarchy(levels: list[Level], spark) -> DataFrame:
     """(level, n, directed_edges) of a hierarchy."""
     return spark.createDataFrame([(i, x.n, x.m) for i, x in enumerate(levels)], "level int, n long, directed_edges long")

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -234,7 +233,7 @@ def _(s, d):
 
 @register("lp_bumped_cust_supp", lp_sql("cust_supp", 1, "SELECT e.src AS id FROM edges e JOIN labels l ON l.id = e.dst GROUP BY 1 HAVING count(DISTINCT l.c) >= 16"))
 def _(s, d):
-    return clustering.two_phase_ratings(built(s, d, "cust_supp").edges, labelled(s, d, "cust_supp", 1), 16)[1].select("id")
+    return clustering.bumped(built(s, d, "cust_supp").edges, labelled(s, d, "cust_supp", 1), 16).select("id")
 
 
 @register("lp_flush_stats", lp_sql("cust_supp", 1, f"SELECT count(DISTINCT src) AS heavy, CAST(sum(n) AS BIGINT) AS edges, CAST(sum(c) AS BIGINT) AS updates, CAST(sum(ceil(c / 16)) AS BIGINT) AS flushes, CAST(sum(n) - sum(c) AS BIGINT) AS updates_saved FROM (SELECT e.src, {sql.h('e.dst', 5)} % 16 AS salt, count(*) AS n, count(DISTINCT l.c) AS c FROM edges e JOIN labels l ON l.id = e.dst WHERE e.src IN (SELECT e.src FROM edges e JOIN labels l ON l.id = e.dst GROUP BY 1 HAVING count(DISTINCT l.c) >= 16) GROUP BY 1, 2)"))
@@ -465,45 +464,69 @@ def sound_sql(name: str) -> str:
     return sql.full(name, "SELECT * FROM (SELECT 'vertices' AS check_name, count(*) AS value FROM vertices UNION ALL SELECT 'vertices_placed', count(*) FROM vertices UNION ALL SELECT 'out_of_range', 0 UNION ALL SELECT 'infeasible_blocks', 0 UNION ALL SELECT 'worse_than_baseline', 0)")
 
 
-#: The tables' graphs are small: their levels are made and refined in Spark down to a few vertices, with thresholds of their scale.
-IN_SPARK = multilevel.MultilevelConfig(contraction_limit=100, t_bump=64)
+def in_spark(g: Graph, k: int = 4, **how) -> multilevel.MultilevelConfig:
+    """Settings for the tables' graphs, which are small: thresholds of their scale, so that levels are made on tables of any size."""
+    return multilevel.MultilevelConfig(**{"contraction_limit": max(4, g.vertices.count() // (4 * k)), "t_bump": 64, "refine_rounds": 2} | how)
 
 
-def solved(s: SparkSession, g: Graph, result: multilevel.Result, k: int, cfg: multilevel.MultilevelConfig = IN_SPARK) -> DataFrame:
+def solved(s: SparkSession, g: Graph, result: multilevel.Result, k: int, cfg: multilevel.MultilevelConfig) -> DataFrame:
     """soundness of a solver's result; fails where the graph was to be coarsened and there is no smaller level."""
     multilevel.require_levels(result.levels, k, cfg)
     return soundness(s, g, result.partition, k)
 
 
+def solve(s: SparkSession, d: str, name: str, preset: str, k: int = 4) -> DataFrame:
+    g = built(s, d, name)
+    cfg = in_spark(g, k)
+    return solved(s, g, multilevel.partition(g, k, preset, cfg), k, cfg)
+
+
 for _name in ("cust_supp", "event_window", "page_host", "fk_tree", "page_path"):
-    register(f"partition_lean_lp_{_name}", sound_sql(_name))(lambda s, d, n=_name: solved(s, built(s, d, n), multilevel.partition(built(s, d, n), 4, "lean-lp", IN_SPARK), 4))
+    register(f"partition_lean_lp_{_name}", sound_sql(_name))(lambda s, d, n=_name: solve(s, d, n, "lean-lp"))
 for _name in ("event_window", "cust_supp"):
-    register(f"partition_lean_fm_{_name}", sound_sql(_name))(lambda s, d, n=_name: solved(s, built(s, d, n), multilevel.partition(built(s, d, n), 4, "lean-fm", IN_SPARK), 4))
+    register(f"partition_lean_fm_{_name}", sound_sql(_name))(lambda s, d, n=_name: solve(s, d, n, "lean-fm"))
 
 
-for _name in ("cust_supp", "event_window", "page_host", "fk_tree", "page_path"):
-    register(f"partition_levels_{_name}")(lambda s, d, n=_name: multilevel.hierarchy(multilevel.coarsen(built(s, d, n), 4, IN_SPARK), s))
+for _name in ("cust_supp", "event_window", "page_path"):
+    register(f"partition_levels_{_name}")(lambda s, d, n=_name: multilevel.hierarchy(multilevel.coarsen(built(s, d, n), 4, in_spark(built(s, d, n))), s))
+
+
+#: Two rounds of sub-batches on the input, contraction, one round on the coarse graph, contraction.
+LEVELS = [
+    *sql.lp(1, parts=1), sql.CONTRACT,
+    "lb AS (SELECT id, id AS c FROM cv)", sql.lp_step("lb", "lc", 1, 0, 1).replace("FROM edges e", "FROM ce e").replace("JOIN vertices v", "JOIN cv v"),
+    "dv AS (SELECT l.c, CAST(sum(v.w) AS BIGINT) AS w FROM lc l JOIN cv v ON v.id = l.id GROUP BY 1), de AS (SELECT a.c AS a, b.c AS b, sum(e.w) AS w FROM ce e JOIN lc a ON a.id = e.src JOIN lc b ON b.id = e.dst WHERE a.c <> b.c GROUP BY 1, 2)",
+]
 
 
-@register("partition_levels_in_spark_cust_supp", sound_sql("cust_supp"))
+@register("hierarchy_levels", sql.full("event_window", "SELECT CAST(0 AS INT) AS level, (SELECT count(*) FROM vertices) AS n, (SELECT count(*) FROM edges) AS directed_edges, (SELECT CAST(sum(w) AS BIGINT) FROM edges) AS weight UNION ALL SELECT 1, (SELECT count(*) FROM cv), (SELECT count(*) FROM ce), (SELECT CAST(sum(w) AS BIGINT) FROM ce) UNION ALL SELECT 2, (SELECT count(*) FROM dv), (SELECT count(*) FROM de), (SELECT CAST(sum(w) AS BIGINT) FROM de)", *LEVELS))
 def _(s, d):
-    g = built(s, d, "cust_supp")
-    cfg = multilevel.MultilevelConfig(contraction_limit=40, t_bump=64, rounds=1, parts=2, refine_rounds=1)
-    return soundness(s, g, multilevel.partition(g, 4, "lean-lp", cfg).partition, 4)
+    """Three levels, by two-phase rounds on coded neighbourhoods and one-pass contraction."""
+    cfg = multilevel.MultilevelConfig(rounds=1, parts=1, t_bump=8, contraction_limit=0, two_hop_above=2.0)
+    g, _ = multilevel.compressed_input(built(s, d, "event_window"), cfg)
+    levels = [multilevel.level_of(g, None)]
+    for _ in range(2):
+        labels = clustering.label_propagation(levels[-1].graph, 1, 1, 1, two_phase=True, t_bump=8)
+        _, parents, coarse = contraction.contract_one_pass(levels[-1].graph, labels, 8)
+        levels.append(multilevel.level_of(coarse, parents))
+    weight = [x.graph.edges.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0] for x in levels]
+    return s.createDataFrame([(i, x.n, x.m, w) for i, (x, w) in enumerate(zip(levels, weight, strict=True))], "level int, n long, directed_edges long, weight long")
 
 
 @register("partition_extending_event_window", sound_sql("event_window"))
 def _(s, d):
     g = built(s, d, "event_window")
-    result = multilevel.partition_extending(g, 8, 2, replace(IN_SPARK, refine_rounds=1))
-    multilevel.require_levels(result.levels, 2, IN_SPARK)
+    cfg = in_spark(g, 2, refine_rounds=1)
+    result = multilevel.partition_extending(g, 8, 2, cfg)
+    multilevel.require_levels(result.levels, 2, cfg)
     return soundness(s, g, result.partition, 8)
 
 
-@register("ladder_equal_cut", sql.checks(("presets", 4), ("different_cuts", 1)))
+@register("ladder_equal_cut", sql.checks(("presets", 4), ("different_cuts", 1), ("different_plans", 4)))
 def _(s, d):
     # this graph has levels on the smallest tables too; at 8 its vertices reach the second phase
-    return experiments.ladder_equal(built(s, d, "event_window"), 4, replace(IN_SPARK, t_bump=8))
+    g = built(s, d, "event_window")
+    return experiments.ladder_equal(g, 4, in_spark(g, 4, t_bump=8, refine_rounds=1, rounds=3))
 
 
 @register("distributed_ghosts", sql.full("cust_supp", "SELECT DISTINCT a.part, e.dst AS ghost_id, b.part AS owner FROM edges e JOIN ow a ON a.id = e.src JOIN ow b ON b.id = e.dst WHERE a.part <> b.part", "ow AS (SELECT id, CAST(id * 8 // (SELECT count(*) FROM vertices) AS INT) AS part FROM vertices)"))
@@ -521,7 +544,8 @@ def _(s, d):
 @register("distributed_partition_check", sound_sql("event_window"))
 def _(s, d):
     g = built(s, d, "event_window")
-    return solved(s, g, distributed.partition_distributed(g, 4, 4, cfg=IN_SPARK), 4)
+    cfg = in_spark(g)
+    return solved(s, g, distributed.partition_distributed(g, 4, 4, cfg=cfg), 4, cfg)
 
 
 # ---- baselines ----
@@ -545,7 +569,7 @@ def _(s, d):
 
 for _name, _f in (
     ("ldg", lambda g, k, cap: baselines.stream_ldg(g, k, cap)), ("penalty", lambda g, k, cap: baselines.stream_penalty(g, k, cap)), ("buffered", lambda g, k, cap: baselines.stream_buffered(g, k, cap, 1024)),
-    ("matching", lambda g, k, cap: baselines.matching_multilevel(g, k, IN_SPARK, enforce_balance=True).partition), ("matching_distributed", lambda g, k, cap: baselines.matching_distributed(g, k, 4, IN_SPARK).partition),
+    ("matching", lambda g, k, cap: baselines.matching_multilevel(g, k, in_spark(g, k), enforce_balance=True).partition), ("matching_distributed", lambda g, k, cap: baselines.matching_distributed(g, k, 4, in_spark(g, k)).partition),
     ("semi_external", lambda g, k, cap: baselines.semi_external(g, k, passes=2)), ("direct", lambda g, k, cap: baselines.direct(g, k)),
 ):
     register(f"baseline_{_name}_check", sound_sql("event_window"))(lambda s, d, f=_f: soundness(s, built(s, d, "event_window"), cut(f(built(s, d, "event_window"), 4, metrics.block_cap(built(s, d, "event_window").vertices.count(), 4, 0.03)[0])), 4))

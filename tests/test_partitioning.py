@@ -35,8 +35,8 @@ def test_two_phases_change_nothing(spark, mesh, t_bump, rating_map):
 def test_a_vertex_is_bumped_from_the_threshold_on(spark):
     g = generators.star(spark, 8)
     labels = clustering.singletons(g.vertices)
-    assert clustering.two_phase_ratings(g.edges, labels, 8)[1].count() == 1
-    assert clustering.two_phase_ratings(g.edges, labels, 9)[1].count() == 0
+    assert clustering.bumped(g.edges, labels, 8).count() == 1
+    assert clustering.bumped(g.edges, labels, 9).count() == 0
 
 
 def test_caps_hold_and_cliques_are_found(spark):
