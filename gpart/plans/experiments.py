@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gpart.operators import baselines, codec, gains, memory, metrics
+from gpart.operators import baselines, clustering, codec, contraction, gains, memory, metrics, refinement
 from gpart.plans import distributed, multilevel
 from gpart.session import cut
 from gpart.sources import generators, graphs
@@ -17,47 +19,100 @@ from gpart.sources.graphs import Graph
 RUNS = "graph string, algo string, k int, eps double, seed int, cut long, m_w long, max_block long, imbalance double, feasible boolean, seconds double, peak_bytes long, status string"
 LIMIT_S = 3600.0
 
-Solver = Callable[[Graph, int, int, int], DataFrame]
+Config = multilevel.MultilevelConfig
+Solver = Callable[[Graph, int, int, Config], DataFrame | multilevel.Result]
 
 
-def preset(name: str, **changes) -> Solver:
-    return lambda g, k, cap, seed: multilevel.partition(g, k, name, multilevel.MultilevelConfig(seed=seed, **changes)).partition
+def preset(name: str) -> Solver:
+    return lambda g, k, cap, cfg: multilevel.partition(g, k, name, cfg)
 
 
 SOLVERS: dict[str, Solver] = {
     "base": preset("base"), "tp": preset("tp"), "tp-gc": preset("tp-gc"), "lean-lp": preset("lean-lp"), "lean-fm": preset("lean-fm"),
-    "dist-base": lambda g, k, cap, seed: distributed.partition_distributed(g, k, 8, False, multilevel.MultilevelConfig(seed=seed)).partition,
-    "dist-lean": lambda g, k, cap, seed: distributed.partition_distributed(g, k, 8, True, multilevel.MultilevelConfig(seed=seed)).partition,
-    "match-sm": lambda g, k, cap, seed: baselines.matching_multilevel(g, k, multilevel.MultilevelConfig(seed=seed)).partition,
-    "match-dm": lambda g, k, cap, seed: baselines.matching_distributed(g, k, 8, multilevel.MultilevelConfig(seed=seed)).partition,
-    "flat-dm": lambda g, k, cap, seed: baselines.flat_lp(g, k, cap, seed=seed),
-    "stream-hash": lambda g, k, cap, seed: baselines.stream_hash(g.vertices, k, seed),
-    "stream-ldg": lambda g, k, cap, seed: baselines.stream_ldg(g, k, cap),
-    "stream-penalty": lambda g, k, cap, seed: baselines.stream_penalty(g, k, cap),
-    "stream-buf": lambda g, k, cap, seed: baselines.stream_buffered(g, k, cap, seed=seed),
-    "semi-ext": lambda g, k, cap, seed: baselines.semi_external(g, k, seed=seed),
-    "direct": lambda g, k, cap, seed: baselines.direct(g, k, seed=seed),
+    "dist-base": lambda g, k, cap, cfg: distributed.partition_distributed(g, k, 8, False, cfg),
+    "dist-lean": lambda g, k, cap, cfg: distributed.partition_distributed(g, k, 8, True, cfg),
+    "match-sm": lambda g, k, cap, cfg: baselines.matching_multilevel(g, k, cfg),
+    "match-dm": lambda g, k, cap, cfg: baselines.matching_distributed(g, k, 8, cfg),
+    "flat-dm": lambda g, k, cap, cfg: baselines.flat_lp(g, k, cap, seed=cfg.seed),
+    "stream-hash": lambda g, k, cap, cfg: baselines.stream_hash(g.vertices, k, cfg.seed),
+    "stream-ldg": lambda g, k, cap, cfg: baselines.stream_ldg(g, k, cap),
+    "stream-penalty": lambda g, k, cap, cfg: baselines.stream_penalty(g, k, cap),
+    "stream-buf": lambda g, k, cap, cfg: baselines.stream_buffered(g, k, cap, seed=cfg.seed),
+    "semi-ext": lambda g, k, cap, cfg: baselines.semi_external(g, k, cfg.rounds, seed=cfg.seed, limit=cfg.contraction_limit),
+    "direct": lambda g, k, cap, cfg: baselines.direct(g, k, seed=cfg.seed),
 }
 
 
-def measured(name: str, g: Graph, algo: str, k: int, seed: int, eps: float = 0.03) -> tuple:
-    """One row of RUNS: a solver on a graph, timed without building the graph. A failure is a row too."""
+def scaled(n: int, k: int, seed: int = 1) -> Config:
+    """Settings for runs on small graphs: thresholds of their scale and few rounds."""
+    return Config(seed=seed, contraction_limit=max(4, n // (3 * k)), t_bump=64, rounds=2, refine_rounds=1)
+
+
+def modelled_peak(g: Graph, found: DataFrame | multilevel.Result, algo: str, n: int, k: int) -> int | None:
+    """The largest phase of the memory model, from the sizes of the run's own levels; for the solvers whose structures it knows."""
+    step = {"base": "base", "tp": "tp", "tp-gc": "tp-gc", "lean-lp": "lean", "lean-fm": "lean"}.get(algo)
+    if step is None or not isinstance(found, multilevel.Result):
+        return None
+    coarse = found.levels[min(1, len(found.levels) - 1)]
+    entries = gains.gain_table_bytes(g, k).first()["entries"] if algo == "lean-fm" else 0
+    sizes = memory.Sizes(n, found.levels[0].m // 2, coarse.n, coarse.m // 2, found.coded_bytes or 0, k=k, degree_sum_k=entries)
+    by_phase: dict[str, int] = {}
+    for phase, _, size in memory.components_of(sizes, *memory.LADDER[step], "fm" if algo == "lean-fm" else "lp"):
+        by_phase[phase] = by_phase.get(phase, 0) + size
+    return max(by_phase.values())
+
+
+def measured(name: str, g: Graph, algo: str, k: int, seed: int, eps: float = 0.03, limit: float = LIMIT_S) -> tuple:
+    """One row of RUNS: a solver on a graph, timed without building the graph. Failures are rows too: jobs of a run beyond the time
+    limit are cancelled, and running out of memory, in Python or the JVM, ends the run and not the table."""
     n, total = g.vertices.agg(F.count("*"), F.sum("w")).first()
     cap, _ = metrics.block_cap(total, k, eps)
+    context = g.vertices.sparkSession.sparkContext
+    group, late = f"run-{uuid.uuid4().hex}", threading.Event()
+
+    def stop() -> None:
+        late.set()
+        context.cancelJobGroup(group)
+
+    timer = threading.Timer(limit, stop)
+    context.setJobGroup(group, f"{algo} on {name}", True)
+    timer.start()
     began = time.time()
     try:
-        found = cut(SOLVERS[algo](g, k, cap, seed))
-    except MemoryError:
-        return (name, algo, k, eps, seed, None, None, None, None, False, time.time() - began, None, "OOM")
+        result = SOLVERS[algo](g, k, cap, scaled(n, k, seed))
+        found = cut(result.partition if isinstance(result, multilevel.Result) else result)
+    except Exception as failure:  # noqa: BLE001
+        if not late.is_set() and not isinstance(failure, MemoryError) and "OutOfMemory" not in str(failure) and "MemoryError" not in str(failure):
+            raise
+        return (name, algo, k, eps, seed, None, None, None, None, False, time.time() - began, None, "OOT" if late.is_set() else "OOM")
+    finally:
+        timer.cancel()
+        context.setLocalProperty("spark.jobGroup.id", None)
     seconds = time.time() - began
     cut_w, m_w = metrics.cut_fraction(g.edges, found).select("cut", "m_w").first()
     heaviest, _, off = metrics.imbalance(g.vertices, found, k).first()
-    status = "OOT" if seconds > LIMIT_S else "ok" if heaviest <= cap else "imbalanced"
-    return (name, algo, k, eps, seed, cut_w, m_w, heaviest, off, heaviest <= cap, seconds, None, status)
+    return (name, algo, k, eps, seed, cut_w, m_w, heaviest, off, heaviest <= cap, seconds, modelled_peak(g, result, algo, n, k), "ok" if heaviest <= cap else "imbalanced")
 
 
-def run_table(spark: SparkSession, inputs: dict[str, Graph], algos: list[str], ks: list[int], seeds: list[int]) -> DataFrame:
-    return spark.createDataFrame([measured(name, g, algo, k, seed) for name, g in inputs.items() for algo in algos for k in ks for seed in seeds], RUNS)
+_MEASURED: dict[tuple, tuple] = {}
+
+
+def run_table(spark: SparkSession, inputs: dict[str, Graph], algos: list[str], ks: list[int], seeds: list[int], home: str = "") -> DataFrame:
+    """RUNS of every combination; a run that this application has done (on the graph of that name from `home`) is not repeated."""
+    rows = []
+    for name, g in inputs.items():
+        for algo in algos:
+            for k in ks:
+                for seed in seeds:
+                    key = (spark.sparkContext.applicationId, home, name, algo, k, seed)
+                    if not home or key not in _MEASURED:
+                        _MEASURED[key] = measured(name, g, algo, k, seed)
+                    rows.append(_MEASURED[key])
+    return spark.createDataFrame(rows, RUNS)
+
+
+def runs_so_far(spark: SparkSession, home: str) -> DataFrame:
+    return spark.createDataFrame([row for key, row in _MEASURED.items() if key[:2] == (spark.sparkContext.applicationId, home)], RUNS)
 
 
 def ladder_equal(g: Graph, k: int, cfg: multilevel.MultilevelConfig) -> DataFrame:
@@ -83,52 +138,65 @@ def inputs(spark: SparkSession, sf_dir: str, names) -> dict[str, Graph]:
     return {name: graphs.build_graph(spark, sf_dir, name).persisted() for name in names}
 
 
-def ladder(spark: SparkSession, sf_dir: str, names=SET_A, ks=(8, 37, 64, 91, 128), seeds=(1, 2, 3, 4, 5)) -> DataFrame:
-    """Base and its optimisations one by one, and the rival (HEAVY for the subset of high degree)."""
-    return run_table(spark, inputs(spark, sf_dir, names), ["base", "tp", "tp-gc", "lean-lp", "match-sm"], list(ks), list(seeds))
+LADDER = ["base", "tp", "tp-gc", "lean-lp", "match-sm"]
 
 
-def compression(spark: SparkSession, sf_dir: str, names=SET_A) -> DataFrame:
-    """Coded sizes by graph, gaps alone and with intervals."""
-    out = None
-    for name, g in inputs(spark, sf_dir, names).items():
-        row = codec.compression_report(g).withColumn("graph", F.lit(name))
-        out = row if out is None else out.unionByName(row)
-    return out
+def ladder(spark: SparkSession, given: dict[str, Graph], ks=(8, 37, 64, 91, 128), seeds=(1, 2, 3, 4, 5), home: str = "") -> DataFrame:
+    """Base and its optimisations one by one, and the rival (graphs of HEAVY for the subset of high degree)."""
+    return run_table(spark, given, LADDER, list(ks), list(seeds), home)
+
+
+def large_only(runs: DataFrame, at_least: int) -> DataFrame:
+    """The runs on graphs of at least so much edge weight."""
+    return runs.where(F.col("m_w") >= at_least)
 
 
-def local_search(spark: SparkSession, sf_dir: str, names=SET_A, ks=(8, 37, 64, 91, 128, 1000), seeds=(1, 2, 3, 4, 5)) -> DataFrame:
+def local_search(spark: SparkSession, given: dict[str, Graph], ks=(8, 37, 64, 91, 128, 1000), seeds=(1, 2, 3, 4, 5), home: str = "") -> DataFrame:
     """Label propagation against k-way local search."""
-    return run_table(spark, inputs(spark, sf_dir, names), ["lean-lp", "lean-fm"], list(ks), list(seeds))
+    return run_table(spark, given, ["lean-lp", "lean-fm"], list(ks), list(seeds), home)
+
+
+def table_cuts(g: Graph, k: int, rounds: int = 2, seeds_per_region: int = 200) -> DataFrame:
+    """(gain_table, cut, start_cut, overload): k-way local search from blocks of consecutive ids, with each of the three gain tables."""
+    spark = g.vertices.sparkSession
+    n, total = g.vertices.agg(F.count("*"), F.sum("w")).first()
+    cap, _ = metrics.block_cap(total, k, 0.03)
+    start = cut(g.vertices.select("id", F.least(F.floor(F.col("id") * k / F.lit(n)), F.lit(k - 1)).cast("int").alias("block")))
+    before, rows = metrics.edge_cut(g.edges, start).first()[0], []
+    for table in ("none", "full", "hybrid"):
+        after = refinement.refine_fm(g, start, k, cap, table, rounds, seeds_per_region=seeds_per_region)
+        rows.append((table, metrics.edge_cut(g.edges, after).first()[0], before, refinement.overload(g.vertices, after, cap)))
+    return spark.createDataFrame(rows, "gain_table string, cut long, start_cut long, overload long")
 
 
-def gain_tables(spark: SparkSession, sf_dir: str, k: int = 1000, names=SET_A) -> DataFrame:
+def gain_tables(spark: SparkSession, given: dict[str, Graph], k: int = 1000) -> DataFrame:
     """Bytes of the three gain tables by graph; where the full one first outgrows a limit."""
     out = None
-    for name, g in inputs(spark, sf_dir, names).items():
+    for name, g in given.items():
         row = gains.gain_table_bytes(g, k).withColumn("graph", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
 
 
-def growing(spark: SparkSession, logs=range(10, 15), avg_deg: float = 16, k: int = 64, parts: int = 8, family: str = "rgg2d", seeds=(1, 2, 3)) -> DataFrame:
+def generated(spark: SparkSession, family: str, log_n: int, avg_deg: float) -> Graph:
+    return (generators.rgg2d if family == "rgg2d" else generators.rhg)(spark, 1 << log_n, avg_deg).persisted()
+
+
+def growing(spark: SparkSession, logs=range(10, 15), avg_deg: float = 16, k: int = 64, family: str = "rgg2d", seeds=(1, 2, 3), algos=("dist-lean", "dist-base", "match-dm", "flat-dm"), home: str = "") -> DataFrame:
     """Generated graphs of growing size: the distributed forms and their rivals."""
-    make = generators.rgg2d if family == "rgg2d" else generators.rhg
-    return run_table(spark, {f"{family}{x}": make(spark, 1 << x, avg_deg).persisted() for x in logs}, ["dist-lean", "dist-base", "match-dm", "flat-dm"], [k], list(seeds))
+    return run_table(spark, {f"{family}{x}": generated(spark, family, x, avg_deg) for x in logs}, list(algos), [k], list(seeds), home)
 
 
-def streaming_comparison(spark: SparkSession, inputs_: dict[str, Graph], ks=(8, 64), seeds=(1, 2, 3)) -> DataFrame:
-    return run_table(spark, inputs_, ["stream-hash", "stream-ldg", "stream-penalty", "stream-buf", "lean-lp"], list(ks), list(seeds))
+def streaming_comparison(spark: SparkSession, given: dict[str, Graph], ks=(8, 64), seeds=(1, 2, 3), home: str = "") -> DataFrame:
+    return run_table(spark, given, ["stream-hash", "stream-ldg", "stream-penalty", "stream-buf", "lean-lp"], list(ks), list(seeds), home)
 
 
-def semi_external_comparison(spark: SparkSession, sf_dir: str, names=WEB, k: int = 16, seeds=(1,)) -> DataFrame:
-    return run_table(spark, inputs(spark, sf_dir, names), ["semi-ext", "lean-lp"], [k], list(seeds))
+def semi_external_comparison(spark: SparkSession, given: dict[str, Graph], k: int = 16, seeds=(1,), home: str = "") -> DataFrame:
+    return run_table(spark, given, ["semi-ext", "lean-lp"], [k], list(seeds), home)
 
 
 def memory_breakdown(spark: SparkSession, g: Graph, k: int = 64, processors: int = 96, t_bump: int = 10_000, refine: str = "fm") -> DataFrame:
-    """Modelled bytes by step of the ladder, phase and component for one graph and one clustering of it."""
-    from gpart.operators import clustering, contraction
-
+    """Modelled bytes by step of the ladder, phase and component for one graph and the clustering of one round of it."""
     n, m = g.vertices.count(), g.edges.count() // 2
     labels = clustering.label_propagation(g, 1)
     coarse, _ = contraction.contract(g, labels)
@@ -137,34 +205,61 @@ def memory_breakdown(spark: SparkSession, g: Graph, k: int = 64, processors: int
     return memory.memory_model(spark, memory.Sizes(n, m, coarse.vertices.count(), coarse.edges.count() // 2, coded, processors, t_bump, k, entries), refine)
 
 
-def io_overhead(spark: SparkSession, g: Graph) -> dict[str, float]:
-    """Seconds to load and keep a graph plain and coded, in one pass and in two, and the ratios."""
-    from gpart.sources.io import scratch
-
-    took = {}
+def io_overhead(spark: SparkSession, g: Graph) -> DataFrame:
+    """(form, directed_edges, seconds, bytes): a graph loaded and kept plain, coded in one pass, and coded in two; edges as they are
+    read back, bytes of the rows' payloads or lists."""
+    rows = []
     for name, make in (("plain", lambda: codec.to_csr(g)), ("coded", lambda: codec.compress(codec.to_csr(g))), ("two_pass", lambda: codec.compress_two_pass(g))):
         began = time.time()
-        make().write.parquet(scratch(spark))
-        took[name] = time.time() - began
-    return took | {"coded_over_plain": took["coded"] / took["plain"], "two_pass_over_coded": took["two_pass"] / took["coded"]}
+        kept = cut(make())
+        seconds = time.time() - began
+        size = F.col("n_bytes") if "n_bytes" in kept.columns else 16 * F.col("degree") + 8
+        edges = kept.select(F.explode("nbrs")) if name == "plain" else codec.decompress(kept)
+        rows.append((name, edges.count(), seconds, kept.agg(F.coalesce(F.sum(size), F.lit(0)).cast("long")).first()[0]))
+    return spark.createDataFrame(rows, "form string, directed_edges long, seconds double, bytes long")
 
 
 def weak_scaling(spark: SparkSession, base_log: int = 10, steps: int = 4, avg_deg: float = 16) -> DataFrame:
     """(parts, part, vertices, directed_edges, ghosts): work per part while parts and vertices double together."""
     out = None
     for i in range(steps):
-        g = generators.rgg2d(spark, 1 << (base_log + i), avg_deg).persisted()
+        g = generated(spark, "rgg2d", base_log + i, avg_deg)
         rows = distributed.work_per_part(g, distributed.owned(g.vertices, 1 << (base_log + i), 1 << i)).withColumn("parts", F.lit(1 << i))
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
-def self_speedups(times: DataFrame) -> DataFrame:
-    """times (instance, p, seconds), one session for each p: the cumulative harmonic curve."""
-    return metrics.speedup_curve(times)
+def self_speedups(spark: SparkSession, given: dict[str, Graph], tasks=(1, 2, 4)) -> DataFrame:
+    """The cumulative harmonic curve of rating sums and choices of every graph, with their work dealt over p tasks at a time."""
+    rows = []
+    for at, (_, g) in enumerate(given.items()):
+        labels = cut(clustering.singletons(g.vertices))
+        for p in tasks:
+            edges = cut(g.edges.repartition(p, "src"))
+            began = time.time()
+            step = clustering.choose(clustering.ratings(edges.coalesce(p), labels).coalesce(p), g.vertices.join(labels, "id"), 1)
+            step.write.format("noop").mode("overwrite").save()
+            rows.append((at, p, time.time() - began))
+    return metrics.speedup_curve(spark.createDataFrame(rows, "instance long, p int, seconds double"))
+
+
+def measures_of(runs: DataFrame, base: str) -> DataFrame:
+    """(measure, algo, value): the measures of runs over one run table, as numbers by algorithm."""
+    rows = [
+        metrics.status_counts(runs).select(F.lit("ok").alias("measure"), "algo", F.col("ok").cast("double").alias("value")),
+        metrics.geo_mean(runs).select(F.lit("geo_mean_seconds"), "algo", "mean"),
+        metrics.relative_cut(runs, base).groupBy("algo").agg(F.round(metrics.geo(F.greatest("relative", F.lit(1e-9))), 6).alias("value")).select(F.lit("relative_cut"), "algo", "value"),
+        metrics.performance_profile(runs, [1.1]).select(F.lit("within_1.1_of_best"), "algo", "share"),
+        runs.groupBy("algo").agg(F.max("peak_bytes").cast("double").alias("value")).where("value IS NOT NULL").select(F.lit("modelled_peak_bytes"), "algo", "value"),
+    ]
+    out = rows[0]
+    for row in rows[1:]:
+        out = out.union(row)
+    return out
 
 
-# Evaluation of runs. The registered queries evaluate a table of made-up runs that is a function of `orders`.
+# Evaluation of runs. For exact comparison with SQL the measures are registered on a table of made-up runs, a function of `orders`; the
+# workloads of gpart.workloads evaluate real ones.
 
 RUNS_SQL = """runs AS (SELECT 'g' || (o_custkey % 12) AS graph, 'a' || (o_orderkey % 3) AS algo, CAST(8 * (1 + o_custkey % 2) AS INT) AS k, CAST(o_orderkey // 3 % 5 AS INT) AS seed,
   CAST(1000 + sum(o_custkey * 7 % 101) % 500 AS BIGINT) AS cut, CAST(1 + count(*) AS DOUBLE) AS seconds, CAST(sum(o_custkey) % 100000 AS BIGINT) AS peak_bytes,

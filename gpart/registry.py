@@ -111,6 +111,8 @@ for _name in CODED:
     register(f"codec_gap_bytes_{_name}", sql.full(_name, "SELECT id, n_bytes FROM sizes", *sql.coded(False)))(lambda s, d, n=_name: codec.compress(codec.to_csr(built(s, d, n)), intervals=False).select("id", F.col("n_bytes").cast("long").alias("n_bytes")))
     register(f"codec_sizes_{_name}", sql.full(_name, "SELECT id, n_bytes FROM sizes", *sql.coded()))(lambda s, d, n=_name: codec.coded_sizes(built(s, d, n)))
     register(f"codec_roundtrip_{_name}", sql.full(_name, "SELECT src, dst, w FROM edges"))(lambda s, d, n=_name: codec.decompress(codec.compress(codec.to_csr(built(s, d, n)), weighted=True), True).select("src", "dst", "w"))
+
+for _name in graphs.BUILDERS:
     register(
         f"compression_report_{_name}",
         sql.full(_name, "SELECT n, m, 8 * (n + 1) + 16 * m AS plain_bytes, gap_bytes, interval_bytes, round((8 * (n + 1) + 16 * m) / gap_bytes, 6) AS gap_ratio, round((8 * (n + 1) + 16 * m) / interval_bytes, 6) AS interval_ratio, round(interval_bytes / m, 6) AS bytes_per_edge FROM (SELECT (SELECT count(*) FROM vertices) AS n, CAST((SELECT count(*) FROM edges) / 2 AS BIGINT) AS m, (SELECT CAST(sum(n_bytes) AS BIGINT) FROM sizes) AS interval_bytes, (SELECT CAST(sum(b) AS BIGINT) FROM gb) AS gap_bytes)", *sql.coded(),
@@ -609,3 +611,8 @@ from gpart import surface  # noqa: E402  (registers with the functions above)
 
 for _name, (_query, _oracle) in surface.QUERIES.items():
     register(_name, _oracle)(_query)
+
+from gpart import workloads  # noqa: E402
+
+for _name, (_query, _oracle) in workloads.QUERIES.items():
+    register(_name, _oracle)(_query)
