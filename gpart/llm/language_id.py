@@ -62,17 +62,25 @@ class LanguageModel:
         return out[:, :-1] / np.sqrt(np.maximum(out[:, -1:], 1))
 
 
-def fit(marks: np.ndarray, labels: list[str], landmarks: int, ridge: float, most_n: int, seed: int = 0) -> LanguageModel:
+def fit(bits: np.ndarray, labels: list[str], landmarks: int, ridge: float, most_n: int, seed: int = 0) -> LanguageModel:
+    """bits: packed presence bits, a row for each text. They are unpacked a few rows at a time, so that the driver holds the landmarks'
+    vectors and the kernel, never those of all texts."""
     languages = sorted(set(labels))
     target = np.where(np.array(labels)[:, None] == np.array(languages)[None, :], 1.0, -1.0)
-    unit = marks / np.sqrt(np.maximum(marks.sum(1, keepdims=True, dtype=np.float32), 1))
-    chosen = unit[np.random.default_rng(seed).permutation(len(unit))[:landmarks]]
-    among, across = (chosen @ chosen.T).astype(float), (unit @ chosen.T).astype(float)
+
+    def unit(rows: np.ndarray) -> np.ndarray:
+        marks = np.unpackbits(rows, axis=1).astype(np.float32)
+        marks /= np.sqrt(np.maximum(marks.sum(1, keepdims=True, dtype=np.float32), 1))
+        return marks
+
+    chosen = unit(bits[np.random.default_rng(seed).permutation(len(bits))[:landmarks]])
+    among = (chosen @ chosen.T).astype(float)
+    across = np.concatenate([unit(bits[at : at + BATCH]) @ chosen.T for at in range(0, len(bits), BATCH)]).astype(float)
     balance = 1 / np.array([labels.count(x) for x in labels])  # each language weighs the same
     system = (across * balance[:, None]).T @ across + ridge * len(languages) * among + 1e-8 * np.eye(len(chosen))
     solved = np.linalg.solve(system, (across * balance[:, None]).T @ target)
-    weights = np.concatenate([chosen.T @ solved, np.ones((1 << BITS, 1))], axis=1)
-    return LanguageModel(languages, weights.astype(np.float32), most_n)
+    weights = np.concatenate([chosen.T @ solved.astype(np.float32), np.ones((1 << BITS, 1), dtype=np.float32)], axis=1)
+    return LanguageModel(languages, weights, most_n)
 
 
 def train(labelled: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_language: int = 300, most_languages: int = 256, landmarks: int = 256, ridge: float = 1e-4, most_n: int = 3) -> LanguageModel | None:
@@ -96,8 +104,7 @@ def train(labelled: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
     sample.sort(key=lambda r: (r["lang"], bytes(r["bits"])))
     if not sample:
         return None
-    marks = np.unpackbits(np.array([np.frombuffer(r["bits"], dtype=np.uint8) for r in sample]), axis=1).astype(np.float32)
-    return fit(marks, [r["lang"] for r in sample], landmarks, ridge, most_n)
+    return fit(np.array([np.frombuffer(r["bits"], dtype=np.uint8) for r in sample]), [r["lang"] for r in sample], landmarks, ridge, most_n)
 
 
 def predict(docs: DataFrame, model: LanguageModel | None, *, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:

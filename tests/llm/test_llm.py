@@ -103,7 +103,7 @@ def test_language_held_out(spark):
 
 
 def test_language_of_nothing(spark, odd, none):
-    model = language_id.fit(np.ones((2, 1 << language_id.BITS), dtype=np.float32), ["a", "b"], 2, 1e-3, 3)
+    model = language_id.fit(np.full((2, 1 << language_id.BITS - 3), 255, dtype=np.uint8), ["a", "b"], 2, 1e-3, 3)
     found = language_id.predict(odd, model)
     assert found.count() == odd.count() and {r["doc_id"] for r in found.where("lang_pred = 'und'").collect()} >= {0, 1, 2, 10}
     assert language_id.predict(odd, None).where("lang_pred <> 'und'").count() == 0 and language_id.predict(none, model).count() == 0
