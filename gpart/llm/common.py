@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -11,7 +12,7 @@ from pyspark.sql import types as T
 
 from gpart.session import checkpointed as cut
 
-__all__ = ["cut", "of", "scan", "table", "utf8", "pieces", "Memo"]
+__all__ = ["cut", "of", "scan", "table", "utf8", "pieces", "release", "Memo"]
 
 #: ASCII lower-casing, the only case folding of the word contracts.
 ASCII_UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -36,6 +37,7 @@ def scan(df: DataFrame, rows: Callable[[pa.RecordBatch], dict[str, list]], schem
             for part in pieces(batch):
                 out = rows(part)
                 yield pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
+        release()
 
     return df.mapInArrow(run, schema)
 
@@ -57,6 +59,16 @@ def utf8(batch: pa.RecordBatch, name: str) -> list[bytes | None]:
     return batch.column(name).cast(pa.large_binary()).to_pylist()
 
 
+def release() -> None:
+    """Gives back what a worker has freed, at the end of a task's scan: workers serve many stages one after another, and both the
+    Arrow pool and the C library would keep it."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 class Memo(dict):
     """A dict that computes what it lacks and starts afresh when it holds `most` entries; long keys are not kept.
 
@@ -65,7 +77,7 @@ class Memo(dict):
 
     active: Memo | None = None
 
-    def __init__(self, make: Callable, most: int = 300_000, longest: int = 64):
+    def __init__(self, make: Callable, most: int = 200_000, longest: int = 64):
         super().__init__()
         self.make, self.most, self.longest = make, most, longest
 

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gpart.llm.common import Memo, cut, of, pieces, table, utf8
+from gpart.llm.common import Memo, cut, of, pieces, release, table, utf8
 from gpart.llm.components import components, forest
 
 LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -104,6 +104,8 @@ def described(n: int, seed: int):
             parts = np.minimum(counts, 65535).astype("<u2").reshape(-1, 1 << CHUNK_BITS)
             none = [None] * len(parts)
             yield rows(none, none, none, none, none, list(range(len(parts))), [zlib.compress(p.tobytes(), 1) for p in parts])
+        del counts
+        release()
 
     return run
 
@@ -173,6 +175,8 @@ class Join:
                             parts = np.maximum(1, np.ceil(2.0 ** (seen_often[order] / 8) / HOT)).astype(np.int64)
                             places.append(np.where(parts > 1, node % parts + 1, 0))  # 0: the whole column
                     yield pa.RecordBatch.from_arrays([pa.array(nodes, type=pa.int64()), pa.array(sizes, type=pa.int32()), pa.array(leading, type=pa.list_(pa.int64())), pa.array(places, type=pa.list_(pa.int64()))], names=["node", "n", "grams", "parts"])
+            seen.clear()
+            release()
 
         leading = self.docs.select("text").mapInArrow(run, "node long, n int, grams array<long>, parts array<long>").dropDuplicates(["node"])
         entries = leading.select("node", "n", F.posexplode(F.arrays_zip("grams", "parts")).alias("pos", "x")).select("node", "n", "pos", F.col("x.grams").alias("gram"), F.col("x.parts").cast("int").alias("part"))
@@ -200,6 +204,7 @@ class Join:
                     kept = [i for i, own in enumerate(sets) if len(own) and names_of(own, seed)[0] == nodes[i]]
                     keys = batch.column("keys").take(pa.array(kept, pa.int64()))
                     yield pa.RecordBatch.from_arrays([keys, pa.array([nodes[i] for i in kept], pa.int64()), pa.array([sets[i].view(np.int64) for i in kept], pa.list_(pa.int64()))], names=["keys", "node", "grams"])
+            release()
 
         return texts.mapInArrow(run, f"keys array<{key}>, node long, grams array<long>").select(F.explode("keys").alias("key"), "node", "grams").select("key.*", "node", "grams")
 
@@ -268,7 +273,7 @@ class Join:
             shared = counts[where] > 1  # what one set has alone overlaps with nothing
             row, column = row[shared], (np.cumsum(counts > 1) - 1)[where[shared]]
             overlap = np.zeros((len(left), len(right)), dtype=np.float32)
-            width = 4096
+            width = 1024
             for start in range(0, int((counts > 1).sum()), width):
                 part = (column >= start) & (column < start + width)
                 incidence = np.zeros((len(sets), width), dtype=np.float32)

@@ -44,5 +44,5 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The pieces of all documents with their places in training sequences."""
     ship(spark)
-    return packing.pack(docs, memo=500_000)
+    return packing.pack(docs, memo=250_000)
 
