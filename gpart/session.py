@@ -23,10 +23,14 @@ def ship(spark: SparkSession) -> None:
 
 
 def checkpoint_dir(spark: SparkSession) -> None:
-    """Make sure a checkpoint folder is set: the one the cluster names, else a temporary one (tests, local runs)."""
+    """Make sure a checkpoint folder is set: the one that spark.checkpoint.dir names; without one, a temporary folder, but only where
+    driver and executors are one machine."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint-"))
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
