@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gpart.functions.columns import scramble
+from gpart.functions.columns import MODULUS, scramble
 from gpart.operators import contraction, local, refinement
 from gpart.operators.clustering import label_propagation
 from gpart.operators.codec import to_csr
@@ -37,11 +37,12 @@ def flat_lp_step(graph: Graph, k: int, cap: int, seed: int = 1) -> DataFrame:
 
 def matching_round(graph: Graph, mates: DataFrame, cap: int, seed: int = 1) -> DataFrame:
     """Each unmatched vertex proposes to its heaviest unmatched neighbour, ties by a hash of the pair; mutual proposals match.
-    mates: (id, cluster), cluster = id where unmatched; a pair's cluster is its smaller id."""
+    mates: (id, cluster), cluster = id where unmatched; a pair's cluster is its smaller id. The hash is a product: a linear one rises
+    or falls along consecutive ids, so that on chains and windows everyone proposes the same way and nothing is mutual."""
     pairs = mates.groupBy("cluster").agg(F.count("*").alias("n")).where("n = 1").select(F.col("cluster").alias("id"))
     free = graph.vertices.join(pairs, "id").select("id", "w")
     a, b = (free.select(F.col("id").alias(s), F.col("w").alias(t)) for s, t in (("src", "wa"), ("dst", "wb")))
-    tie = -scramble(F.least("src", "dst") + F.greatest("src", "dst") * 7, seed)
+    tie = -(scramble(F.least("src", "dst"), seed) * scramble(F.greatest("src", "dst"), seed + 7) % MODULUS)
     open_ = graph.edges.join(a, "src").join(b, "dst").where(F.col("wa") + F.col("wb") <= cap)
     wish = open_.groupBy("src").agg(F.max(F.struct("w", tie.alias("t"), (-F.col("dst")).alias("d"))).alias("x")).select("src", (-F.col("x.d")).alias("dst"))
     back = wish.select(F.col("dst").alias("src"), F.col("src").alias("dst"))

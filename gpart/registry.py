@@ -563,7 +563,7 @@ def _(s, d):
     return baselines.flat_lp_step(built(s, d, "cust_supp"), 8, 250)
 
 
-@register("baseline_matching_round", sql.full("cust_supp", "SELECT v.id, coalesce(m.s, v.id) AS cluster FROM vertices v LEFT JOIN (SELECT x.src AS s, x.dst AS id FROM wish x JOIN wish y ON x.src = y.dst AND x.dst = y.src WHERE x.src < x.dst) m ON m.id = v.id", f"wish AS (SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY w DESC, {sql.h('least(src, dst) + greatest(src, dst) * 7', 1)}, dst) AS p FROM edges) WHERE p = 1)"))
+@register("baseline_matching_round", sql.full("cust_supp", "SELECT v.id, coalesce(m.s, v.id) AS cluster FROM vertices v LEFT JOIN (SELECT x.src AS s, x.dst AS id FROM wish x JOIN wish y ON x.src = y.dst AND x.dst = y.src WHERE x.src < x.dst) m ON m.id = v.id", f"wish AS (SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY w DESC, ({sql.h('least(src, dst)', 1)}) * ({sql.h('greatest(src, dst)', 8)}) % {sql.M}, dst) AS p FROM edges) WHERE p = 1)"))
 def _(s, d):
     g = built(s, d, "cust_supp")
     return baselines.matching_round(g, clustering.singletons(g.vertices), 2)
@@ -576,9 +576,12 @@ for _name, _f in (
     register(f"baseline_{_name}_check", sound_sql("event_window"))(lambda s, d, f=_f: soundness(s, built(s, d, "event_window"), cut(f(built(s, d, "event_window"), 4, metrics.block_cap(built(s, d, "event_window").vertices.count(), 4, 0.03)[0])), 4))
 
 
-#: On event_window hardly any proposals are mutual (its ties point one way), so matchings are checked where they make levels.
-for _name, _f in (("matching", lambda g, k, cfg: baselines.matching_multilevel(g, k, cfg, enforce_balance=True)), ("matching_distributed", lambda g, k, cfg: baselines.matching_distributed(g, k, 4, cfg))):
-    register(f"baseline_{_name}_check", sound_sql("conv_turns"))(lambda s, d, f=_f: solved(s, built(s, d, "conv_turns"), f(built(s, d, "conv_turns"), 4, in_spark(built(s, d, "conv_turns"))), 4, in_spark(built(s, d, "conv_turns"))))
+for _name, _graph, _f in (
+    ("matching_check", "conv_turns", lambda g, k, cfg: baselines.matching_multilevel(g, k, cfg, enforce_balance=True)),
+    ("matching_distributed_check", "conv_turns", lambda g, k, cfg: baselines.matching_distributed(g, k, 4, cfg)),
+    ("matching_event_window", "event_window", lambda g, k, cfg: baselines.matching_multilevel(g, k, cfg, enforce_balance=True)),
+):
+    register(f"baseline_{_name}", sound_sql(_graph))(lambda s, d, f=_f, n=_graph: solved(s, built(s, d, n), f(built(s, d, n), 4, in_spark(built(s, d, n))), 4, in_spark(built(s, d, n))))
 
 
 # ---- measures ----

@@ -121,3 +121,12 @@ def test_small_k(spark):
     g = generators.path(spark, 3)
     assert metrics.block_cap(3, 5, 0.03) == (1, True)
     assert multilevel.partition(g, 1).partition.where("block <> 0").count() == 0
+
+
+def test_matchings_do_not_stall_where_ids_follow_the_edges(spark):
+    g = generators.ring(spark, 512)
+    mates = clustering.singletons(g.vertices)
+    for r in range(2):
+        mates = baselines.matching_round(g, mates, 2, 1 + r)
+    sizes = [x["n"] for x in mates.groupBy("cluster").agg(F.count("*").alias("n")).collect()]
+    assert max(sizes) == 2 and len(sizes) < 0.7 * 512
